@@ -102,9 +102,9 @@ def references(docs: DataFrame, *, min_words: int = 50) -> dict[str, list[list[f
     return {"chars": [m[:N_CLASSES].tolist() for m in means], "words": [m[N_CLASSES:].tolist() for m in means]}
 
 
-def judge(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 50, max_char: float = 0.35, max_word: float = 0.62) -> DataFrame:
+def judge(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 150, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
     """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, char_js, word_js, kept."""
-    refs = refs or references(docs, min_words=min_words)
+    refs = refs or references(docs)
     char_refs, word_refs = np.array(refs["chars"]), np.array(refs["words"])
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
