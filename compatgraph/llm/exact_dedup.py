@@ -16,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import materialise
+
 SALTS = 16
 
 
@@ -29,12 +31,12 @@ def group_rows(docs: DataFrame, *, salts: int = SALTS, digest=lambda text: F.sha
     local = rows.withColumn("salt", F.pmod(F.spark_partition_id(), F.lit(salts)))
     salted = local.groupBy("digest", "salt", "norm").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n"))
     groups = salted.groupBy("digest", "norm").agg(F.min("first").alias("keep_id"), F.sum("n").alias("group_size"))
-    # one row a text here: how many texts share a digest, and the text only where there are two or more
-    by_digest = groups.groupBy("digest").agg(F.count(F.lit(1)).alias("texts"), F.min("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"))
-    alone = by_digest.filter("texts = 1").drop("texts")
-    clashing = by_digest.filter("texts > 1").select("digest")
+    # one row a digest: how many texts share it (the texts themselves stay behind)
+    table = groups.groupBy("digest").agg(F.count(F.lit(1)).alias("texts"), F.min("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"))
+    table = materialise(table, "dedup-groups")
     ids = rows.select("doc_id", "digest")
-    sure = ids.join(alone, "digest")
-    unsure = rows.join(clashing, "digest", "left_semi").join(groups.join(clashing, "digest", "left_semi"), ["digest", "norm"]).drop("norm")
-    out = sure.unionByName(unsure)
+    out = ids.join(table.filter("texts = 1").drop("texts"), "digest")
+    clashing = table.filter("texts > 1").select("digest")
+    if not clashing.isEmpty():
+        out = out.unionByName(rows.join(clashing, "digest").join(groups.join(clashing, "digest", "left_semi"), ["digest", "norm"]).drop("norm"))
     return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.col("digest").alias("text_sha256"))
