@@ -8,8 +8,13 @@ pair is beyond that distance with probability 2e-5; every candidate is confirmed
 
 1. Each index key links its nodes to its smallest node (a star), which is confirmed on the full sets.
 2. Components of the confirmed links.  Keys whose nodes are all in one component are done.
-3. In the other keys, nodes of different components are compared by signature, in blocks of at most ``BLOCK`` nodes, and
-   pairs within the distance confirmed.  So no key's pairs are all emitted, and no link between components is lost.
+3. In the other keys, nodes of different components are compared in blocks of at most ``BLOCK`` nodes, and pairs within the
+   distance confirmed; a pair comes from the first key that it shares.
+
+Before a pair is confirmed, two bounds that lose no link thin the pairs out: the sets' sizes, and parity sketches.  A
+sketch has one bit for each of ``PARITY`` cells, set if an odd number of shingles falls into it; sets differ in at least as
+many shingles as their sketches differ in bits, and linked sets differ in at most a seventh of their sizes' sum (at 75 %).
+So no key's pairs are all emitted, and no link between components is lost.
 
 Null and empty texts have the empty set and are linked with nothing.  Rows of one doc_id are one document.  Null doc_ids
 count as one document below all others.
@@ -28,7 +33,7 @@ from .common import col, map_text, materialise, texts
 from .components import connected
 from .substring_dedup import gram_hashes, mixed, word_hashes
 
-SHINGLE, HASHES, CHUNKS, DISTANCE, BLOCK = 5, 64, 16, 31, 4_000
+SHINGLE, HASHES, CHUNKS, DISTANCE, BLOCK, PARITY = 5, 64, 16, 31, 4_000, 2_048
 #: Ids broadcast at most (8 bytes each); beyond it the texts are shuffled to them.
 BROADCAST_IDS = 2_000_000
 NONE = -(2**63)
@@ -76,15 +81,30 @@ def index_keys(sig: np.ndarray) -> np.ndarray:
     return np.stack(keys, 1)
 
 
+def parity_sketch(s: np.ndarray) -> bytes:
+    return np.packbits((np.bincount((s >> np.uint64(7)).astype(np.int64) % PARITY, minlength=PARITY) & 1).astype(np.uint8)).tobytes()
+
+
+def _array(batch, column: str, kind, width: int) -> np.ndarray:
+    return np.frombuffer(b"".join(batch.column(column).to_pylist()), kind).reshape(-1, width)
+
+
+def may_link(oa: np.ndarray, ob: np.ndarray, na: np.ndarray, nb: np.ndarray, percent: int) -> np.ndarray:
+    """False only where sizes and sketches rule out ``percent`` similarity: 100 * both >= percent * either."""
+    apart = np.bitwise_count(oa ^ ob).sum(-1).astype(np.int64)
+    return (100 * np.minimum(na, nb) >= percent * np.maximum(na, nb)) & ((100 + percent) * apart <= (100 - percent) * (na + nb))
+
+
 def _signed(batch: pa.RecordBatch) -> pa.RecordBatch:
     sets = shingle_sets(texts(batch))
     full = [i for i, s in enumerate(sets) if len(s)]
     sigs: list = [None] * len(sets)
     digests: list = [None] * len(sets)
+    odds: list = [None] * len(sets)
     if full:
         for i, s in zip(full, signatures([sets[i] for i in full]), strict=True):
-            sigs[i], digests[i] = s.tobytes(), hashlib.blake2b(sets[i].tobytes(), digest_size=16).digest()
-    return pa.RecordBatch.from_arrays([col(batch, "did"), pa.array([len(s) for s in sets], pa.int64()), pa.array(digests, pa.binary()), pa.array(sigs, pa.binary())], names=["did", "n", "digest", "sig"])
+            sigs[i], digests[i], odds[i] = s.tobytes(), hashlib.blake2b(sets[i].tobytes(), digest_size=16).digest(), parity_sketch(sets[i])
+    return pa.RecordBatch.from_arrays([col(batch, "did"), pa.array([len(s) for s in sets], pa.int64()), pa.array(digests, pa.binary()), pa.array(sigs, pa.binary()), pa.array(odds, pa.binary())], names=["did", "n", "digest", "sig", "odd"])
 
 
 def _keyed(batches):
@@ -95,12 +115,17 @@ def _keyed(batches):
             yield pa.RecordBatch.from_arrays([pa.array(keys.ravel()), part.column(0).take(pa.array(np.repeat(np.arange(len(keys)), keys.shape[1])))], names=["key", "id"])
 
 
-def _close(batches):
-    """Pairs of (a, sa, b, sb) within the signature distance."""
-    for batch in batches:
-        if batch.num_rows:
-            x, y = (np.frombuffer(b"".join(col(batch, c).to_pylist()), np.uint16).reshape(-1, HASHES) for c in ("sa", "sb"))
-            yield pa.RecordBatch.from_arrays([col(batch, "a"), col(batch, "b")], names=["a", "b"]).filter(pa.array((x != y).sum(1) <= DISTANCE))
+def _close(percent: int):
+    """Of pairs (a, na, sa, oa, b, nb, sb, ob) those within the signature distance that may link."""
+
+    def run(batches):
+        for batch in batches:
+            if batch.num_rows:
+                keep = (_array(batch, "sa", np.uint16, HASHES) != _array(batch, "sb", np.uint16, HASHES)).sum(1) <= DISTANCE
+                keep &= may_link(_array(batch, "oa", np.uint64, PARITY // 64), _array(batch, "ob", np.uint64, PARITY // 64), col(batch, "na").to_numpy(), col(batch, "nb").to_numpy(), percent)
+                yield pa.RecordBatch.from_arrays([col(batch, "a"), col(batch, "b")], names=["a", "b"]).filter(pa.array(keep))
+
+    return run
 
 
 def _linked(percent: int):
@@ -116,28 +141,41 @@ def _linked(percent: int):
     return run
 
 
-def _across(table: pa.Table) -> pa.Table:
-    """Pairs of one key (and pair of blocks) that are in different components and within the distance."""
-    ids, comp = table.column("id").to_numpy(), table.column("comp").to_numpy()
-    own, n = table.column("block").to_numpy(), table.column("n").to_numpy()
-    x, y = table.column("x")[0].as_py(), table.column("y")[0].as_py()
-    sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint16).reshape(-1, HASHES)
-    a, b = [], []
-    left, right = np.flatnonzero(own == x), np.flatnonzero(own == y)
-    for i in left.tolist():
-        cand = right[(comp[right] != comp[i]) & ((ids[right] > ids[i]) if x == y else True)]
-        cand = cand[100 * np.minimum(n[cand], n[i]) >= 75 * np.maximum(n[cand], n[i])]
-        cand = cand[(sig[cand] != sig[i]).sum(1) <= DISTANCE]
-        a += [ids[i]] * len(cand)
-        b += ids[cand].tolist()
-    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+def first_shared(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Number of the first index key that signatures share (they share one)."""
+    same = (x == y).reshape(len(y), CHUNKS, HASHES // CHUNKS)
+    chunk = (same.sum(2) >= HASHES // CHUNKS - 1).argmax(1)
+    own = same[np.arange(len(y)), chunk]
+    return chunk * (HASHES // CHUNKS) + np.where(own.all(1), 0, (~own).argmax(1))
+
+
+def _across(percent: int):
+    """Pairs of one key (and pair of blocks) in different components that may link, where the key is the first they share."""
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, comp = table.column("id").to_numpy(), table.column("comp").to_numpy()
+        own, n = table.column("block").to_numpy(), table.column("n").to_numpy()
+        x, y, key = table.column("x")[0].as_py(), table.column("y")[0].as_py(), table.column("key")[0].as_py() >> 48
+        sig, odd = _array(table, "sig", np.uint16, HASHES), _array(table, "odd", np.uint64, PARITY // 64)
+        a, b = [], []
+        left, right = np.flatnonzero(own == x), np.flatnonzero(own == y)
+        for i in left.tolist():
+            cand = right[(comp[right] != comp[i]) & ((ids[right] > ids[i]) if x == y else True)]
+            cand = cand[may_link(odd[cand], odd[i], n[cand], n[i], percent)] if len(cand) else cand
+            cand = cand[(sig[cand] != sig[i]).sum(1) <= DISTANCE] if len(cand) else cand
+            cand = cand[first_shared(sig[i], sig[cand]) == key] if len(cand) else cand
+            a += [ids[i]] * len(cand)
+            b += ids[cand].tolist()
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return run
 
 
 def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every document; ``percent`` is the least similarity (75 at least)."""
     rows = docs.select(F.coalesce(F.col("`doc_id`"), F.lit(NONE)).alias("did"), F.col("`text`").alias("text"))
-    signed = materialise(map_text(rows, _signed, "did long, n long, digest binary, sig binary"), "near-signatures")
-    nodes = signed.filter("n > 0").groupBy("digest").agg(F.min("did").alias("id"), F.first("n").alias("n"), F.first("sig").alias("sig"))
+    signed = materialise(map_text(rows, _signed, "did long, n long, digest binary, sig binary, odd binary"), "near-signatures")
+    nodes = signed.filter("n > 0").groupBy("digest").agg(F.min("did").alias("id"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("odd").alias("odd"))
     nodes = materialise(nodes, "near-nodes")
     keys = nodes.select("id", "sig").mapInArrow(_keyed, "key long, id long")
     shared = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("top"), F.count(F.lit(1)).alias("size")).filter("lead < top").drop("top")
@@ -153,12 +191,12 @@ def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -
 
     # the node's own text only: of several rows of one doc_id each has its set
     sets = materialise(map_text(own, kept_sets, "did long, set binary"), "near-sets")
-    facts = nodes.select("id", "n", "sig")
+    facts = nodes.select("id", "n", "sig", "odd")
 
     def close(pairs: DataFrame) -> DataFrame:
-        a, b = facts.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("sig").alias("sa")), facts.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sb"))
-        near = pairs.join(a, "a").join(b, "b").filter(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
-        return near.select("a", "sa", "b", "sb").mapInArrow(_close, "a long, b long").distinct()
+        for side in ("a", "b"):
+            pairs = pairs.join(facts.select(F.col("id").alias(side), F.col("n").alias(f"n{side}"), F.col("sig").alias(f"s{side}"), F.col("odd").alias(f"o{side}")), side)
+        return pairs.mapInArrow(_close(percent), "a long, b long").distinct()
 
     def confirm(pairs: DataFrame) -> DataFrame:
         a, b = sets.select(F.col("did").alias("a"), F.col("set").alias("xa")), sets.select(F.col("did").alias("b"), F.col("set").alias("xb"))
@@ -173,11 +211,11 @@ def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -
     blocks = F.ceil(F.col("size") / block).cast("int")
     dealt = named.join(open_keys, "key").join(facts, "id").withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int"))
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).withColumn("x", F.least("block", "other")).withColumn("y", F.greatest("block", "other"))
-    rest = dealt.select("key", "x", "y", "id", "comp", "block", "n", "sig").groupBy("key", "x", "y").applyInArrow(_across, "a long, b long").distinct()
+    rest = dealt.select("key", "x", "y", "id", "comp", "block", "n", "sig", "odd").groupBy("key", "x", "y").applyInArrow(_across(percent), "a long, b long").distinct()
     more = materialise(confirm(rest), "near-links")
     comps = connected(links.unionByName(more))
 
-    member = signed.join(nodes.select("digest", F.col("id").alias("rep")), "digest", "left").join(comps.withColumnRenamed("node", "rep"), "rep", "left")
+    member = signed.select("did", "n", "digest").join(nodes.select("digest", F.col("id").alias("rep")), "digest", "left").join(comps.withColumnRenamed("node", "rep"), "rep", "left")
     comp = F.coalesce("comp", "rep", "did")
     # one component for a doc_id, whatever its rows
     return member.select(F.when(F.col("did") != NONE, F.col("did")).alias("doc_id"), F.col("n").alias("n_shingles"), F.when(comp != NONE, comp).alias("component_id"), (F.col("did") == comp).alias("kept"))
