@@ -17,15 +17,16 @@ import hashlib
 import heapq
 from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .common import col, map_text, narrow, texts
+from .common import Recent, col, map_text, narrow, texts
 
 LONG_PIECE = 256
-#: Pieces kept per worker before the cache starts anew: a bound on memory, never on what is encoded.
-CACHE_PIECES = 300_000
+#: Pieces in a generation of a worker's cache: a bound on memory, never on what is encoded.
+CACHE_PIECES = 400_000
 
 ENCODE_SQL = """
 with recursive st(w, p, t, live) as (
@@ -64,21 +65,13 @@ class Coder:
         self.con.register("pairs_in", pa.table({"pr": [p for p, _ in pairs], "k": pa.array([k for _, k in pairs], pa.int32())}))
         self.con.register("vocab_in", pa.table({"t": pa.array(list(ranks.values()), pa.int32()), "h": [b.hex() for b in ranks]}))
         self.con.execute("create table merges as select * from pairs_in; create table vocab as select * from vocab_in")
-        self.clear()
+        self.cache = Recent(CACHE_PIECES)
 
-    def clear(self) -> None:
-        self.ids: dict[str, tuple[int, ...]] = {}
-        self.written: dict[str, str] = {}
-        self.back: dict[str, bytes] = {}
-
-    def learn(self, pieces: set[str]) -> None:
-        """Encode and decode the pieces that the cache lacks."""
-        new = pieces.difference(self.ids)
+    def learn(self, pieces: set[str]) -> dict[str, tuple[str, bytes]]:
+        """The written ids and the decoded bytes of pieces, encoding and decoding those that the cache lacks."""
+        new = self.cache.missing(pieces)
         if not new:
-            return
-        if len(self.ids) + len(new) > CACHE_PIECES:
-            self.clear()
-            new = pieces
+            return self.cache.young
         found: dict[str, list[int]] = {}
         rows: list[tuple[str, bytes]] = []
         for piece in new:
@@ -92,14 +85,11 @@ class Coder:
         for i in range(0, len(rows), 50_000):
             part = rows[i : i + 50_000]
             found.update(zip((p for p, _ in part), self.contract([b for _, b in part]), strict=True))
-        names = list(found)
-        for piece, raw in zip(names, self.decode([found[p] for p in names]), strict=True):
-            ids = found[piece]
-            self.ids[piece], self.written[piece], self.back[piece] = tuple(ids), " ".join(map(str, ids)), raw
+        back = self.decode(list(found.values()))
+        self.cache.young.update((p, (" ".join(map(str, ids)), raw)) for (p, ids), raw in zip(found.items(), back, strict=True))
+        return self.cache.young
 
     def contract(self, words: list[bytes]) -> list[list[int]]:
-        import numpy as np
-
         size = np.array([len(w) for w in words])
         flat = np.frombuffer(b"".join(words), np.uint8)
         first = np.cumsum(size) - size
@@ -128,8 +118,6 @@ class Coder:
 
     def decode(self, groups: list[list[int]]) -> list[bytes]:
         """Bytes of each list of ids, by an ordered aggregation."""
-        import numpy as np
-
         size = np.array([len(g) for g in groups], np.int64)
         flat = np.fromiter(chain.from_iterable(groups), np.int32, int(size.sum()))
         self.con.register("ids", pa.table({"g": np.repeat(np.arange(len(groups), dtype=np.int32), size), "p": np.arange(len(flat)), "t": flat}))
@@ -164,12 +152,15 @@ def encode(docs: DataFrame, path: str, pattern: str, *, with_ids: bool = True) -
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         c = coder(key, shared, pattern)
         pieces = [c.split(t) for t in texts(batch)]
-        c.learn(set().union(*pieces))
-        written = [" ".join(map(c.written.__getitem__, p)) for p in pieces]
-        back = [hashlib.sha256(b"".join(map(c.back.__getitem__, p))).hexdigest() for p in pieces]
+        known = c.learn(set().union(*pieces)).__getitem__
+        written, back = [], []
+        for p in pieces:
+            ids, raw = zip(*map(known, p), strict=True) if p else ((), ())
+            written.append(" ".join(ids))
+            back.append(hashlib.sha256(b"".join(raw)).hexdigest())
         out = [col(batch, "doc_id"), pa.array([s.count(" ") + 1 if s else 0 for s in written], pa.int64())]
         if with_ids:
-            out.append(pa.array([list(chain.from_iterable(map(c.ids.__getitem__, p))) for p in pieces], pa.list_(pa.int32())))
+            out.append(pa.array([np.fromstring(s, np.int32, sep=" ") for s in written], pa.list_(pa.int32())))
         out += [pa.array([hashlib.sha256(s.encode()).hexdigest() for s in written]), pa.array(back)]
         return pa.RecordBatch.from_arrays(out, names=names)
 

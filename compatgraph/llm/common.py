@@ -67,6 +67,25 @@ def col(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 
 
+class Recent:
+    """A cache in two generations: when the young one is full it becomes the old one, and what is used again moves back.
+
+    Frequent keys stay, and memory is bounded by two generations (and the keys of one slice).
+    """
+
+    def __init__(self, most: int):
+        self.most, self.young, self.old = most, {}, {}
+
+    def missing(self, keys: set) -> set:
+        """Keys to compute and put into ``young``; afterwards all ``keys`` are there."""
+        new = keys.difference(self.young)
+        if len(self.young) + len(new) > self.most:
+            self.old, self.young, new = self.young, {}, keys
+        again = [k for k in new if k in self.old]
+        self.young.update(zip(again, map(self.old.__getitem__, again), strict=True))
+        return new.difference(again)
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

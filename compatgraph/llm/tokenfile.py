@@ -22,9 +22,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import col, narrow, shared_dir, slices, texts
+from .common import Recent, col, narrow, shared_dir, slices, texts
 
-CACHE_PIECES = 300_000
+#: Pieces in a generation of a worker's cache.
+CACHE_PIECES = 500_000
 _WORKERS: dict[str, "Encoder"] = {}
 
 
@@ -44,20 +45,14 @@ class Encoder:
             self.lib = Tokenizer.from_str(f.read())
         self.lib.no_truncation()
         self.special = [t.content for t in self.lib.get_added_tokens_decoder().values()]
-        self.split, self.ids = regex.compile(pattern).findall, {}
+        self.split, self.cache = regex.compile(pattern).findall, Recent(CACHE_PIECES)
 
     def __call__(self, batch: list[str]) -> list[np.ndarray]:
         whole = [any(s in t for s in self.special) for t in batch]
         pieces = [[] if w else self.split(t) for t, w in zip(batch, whole, strict=True)]
-        new = list(set().union(*pieces).difference(self.ids))
-        if len(self.ids) + len(new) > CACHE_PIECES:
-            self.ids = {}
-            new = list(set().union(*pieces))
-        for i in range(0, len(new), 20_000):
-            part = new[i : i + 20_000]
-            for p, e in zip(part, self.lib.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.ids[p] = np.array(e.ids, "<u4").tobytes()
-        get = self.ids.__getitem__
+        for p in self.cache.missing(set().union(*pieces)):
+            self.cache.young[p] = np.array(self.lib.encode(p, add_special_tokens=False).ids, "<u4").tobytes()
+        get = self.cache.young.__getitem__
         return [np.array(self.lib.encode(t, add_special_tokens=False).ids, "<u4") if w else np.frombuffer(b"".join(map(get, p)), "<u4") for t, p, w in zip(batch, pieces, whole, strict=True)]
 
 
