@@ -42,7 +42,7 @@ def op7_bpe_duckdb(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = tokenfile.write(documents(spark, sf_dir), public_tokenizers.path(TOKENIZER), public_tokenizers.PATTERN)
+    out = tokenfile.write(documents(spark, sf_dir), public_tokenizers.path(TOKENIZER))
     return tokenfile.read(spark, out)
 
 

@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import uuid
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -26,52 +27,70 @@ from .common import Recent, col, narrow, shared_dir, slices, texts
 
 #: Pieces in a generation of a worker's cache.
 CACHE_PIECES = 500_000
+#: Marks a word at the start of a line: a code point that is no character.
+FIRST = "\uffff"
 _WORKERS: dict[str, "Encoder"] = {}
 
 
 class Encoder:
-    """The tokenizers library with a cache of pre-token pieces.
+    """The tokenizers library with a cache of words.
 
-    A piece is cut by the vocabulary's own split pattern, so its ids don't depend on its neighbours;
-    each distinct piece goes through the library once.  Texts with the string of a special token go
-    through the library whole.
+    The vocabulary's split pattern starts a new piece at each single space or line end that stands between
+    characters other than white space, so what stands between two of these is encoded by the library on its own, once for
+    each distinct string.  Texts with other white space next to a space or line end, or with the string of a special
+    token, go through the library whole.
     """
 
-    def __init__(self, path: str, pattern: str):
-        import regex
+    def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         with open(path, encoding="utf-8") as f:
             self.lib = Tokenizer.from_str(f.read())
         self.lib.no_truncation()
         self.special = [t.content for t in self.lib.get_added_tokens_decoder().values()]
-        self.split, self.cache = regex.compile(pattern).findall, Recent(CACHE_PIECES)
-
-    def __call__(self, batch: list[str]) -> list[np.ndarray]:
-        whole = [any(s in t for s in self.special) for t in batch]
-        pieces = [[] if w else self.split(t) for t, w in zip(batch, whole, strict=True)]
-        for p in self.cache.missing(set().union(*pieces)):
-            self.cache.young[p] = np.array(self.lib.encode(p, add_special_tokens=False).ids, "<u4").tobytes()
-        get = self.cache.young.__getitem__
-        return [np.array(self.lib.encode(t, add_special_tokens=False).ids, "<u4") if w else np.frombuffer(b"".join(map(get, p)), "<u4") for t, p, w in zip(batch, pieces, whole, strict=True)]
-
-
-def encoder(path: str, pattern: str) -> Encoder:
+        self.cache = Recent(CACHE_PIECES)
+
+    def whole(self, text: str) -> bytes:
+        return array("I", self.lib.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def word(self, w: str) -> bytes | None:
+        """Ids of a word: with the space before it, or none after FIRST; None if it can't stand alone."""
+        if w == "\n":
+            return self.whole(w)
+        text = w.removeprefix(FIRST)
+        if not text or text[0].isspace() or text[-1].isspace():
+            return None
+        return self.whole(text if w[0] == FIRST else " " + text)
+
+    def __call__(self, batch: list[str]) -> list[bytes]:
+        words = [[] if FIRST in t or any(s in t for s in self.special) else (FIRST + t.replace("\n", " \n " + FIRST)).split(" ") for t in batch]
+        for w in self.cache.missing(set().union(*words)):
+            self.cache.young[w] = self.word(w)
+        get, out = self.cache.young.__getitem__, []
+        for t, own in zip(batch, words, strict=True):
+            ids = list(map(get, own))
+            out.append(b"".join(ids) if ids and None not in ids else self.whole(t))
+        return out
+
+
+def encoder(path: str) -> Encoder:
     if path not in _WORKERS:
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        _WORKERS[path] = Encoder(path, pattern)
+        _WORKERS[path] = Encoder(path)
     return _WORKERS[path]
 
 
-def write(docs: DataFrame, tokenizer: str, pattern: str, *, end_id: int = 0, out: str | None = None, vocab_size: int = 50_257) -> str:
+def write(docs: DataFrame, tokenizer: str, *, end_id: int = 0, out: str | None = None, vocab_size: int = 50_257) -> str:
     """Write the token files of ``docs`` and return their folder."""
     spark = docs.sparkSession
     out = out or f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
     kind = "<u2" if vocab_size <= 1 << 16 else "<u4"
     pafs.FileSystem.from_uri(out)[0].create_dir(pafs.FileSystem.from_uri(out)[1], recursive=True)
 
+    end = np.array([end_id], "<u4").tobytes()
+
     def run(batches):
         fs, base = pafs.FileSystem.from_uri(out)
         task = TaskContext.get()
@@ -80,9 +99,9 @@ def write(docs: DataFrame, tokenizer: str, pattern: str, *, end_id: int = 0, out
         with fs.open_output_stream(temp) as f:
             for batch in batches:
                 for part in slices(batch, "text"):
-                    for ids in encoder(tokenizer, pattern)(texts(part)):
-                        sizes.append(len(ids) + 1)
-                        f.write(np.append(ids, np.uint32(end_id)).astype(kind).tobytes())
+                    coded = encoder(tokenizer)(texts(part))
+                    sizes += [len(ids) // 4 + 1 for ids in coded]
+                    f.write(np.frombuffer(end.join([*coded, b""]), "<u4").astype(kind).tobytes())
                     docs_in.append(col(part, "doc_id").fill_null(-1).to_numpy())
         if not sizes:
             fs.delete_file(temp)
