@@ -29,6 +29,9 @@ from .common import Recent, col, narrow, shared_dir, slices, texts
 CACHE_PIECES = 500_000
 #: Marks a word at the start of a line: a code point that is no character.
 FIRST = "\uffff"
+#: The byte-level alphabet: printable Latin-1 stands for itself, the other bytes for code points from 256 on, in order.
+_PLAIN = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
+BYTES = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in set(_PLAIN))}
 _WORKERS: dict[str, "Encoder"] = {}
 
 
@@ -60,12 +63,23 @@ class Encoder:
         text = w.removeprefix(FIRST)
         if not text or text[0].isspace() or text[-1].isspace():
             return None
+        if text[-1] in ".," and text[-2:-1].isalpha():
+            return self.known(w[:-1]) + self.known(FIRST + text[-1])  # a mark after a letter is a piece of its own
+        if text.isalpha():  # one piece: straight to the library's model, in its byte alphabet
+            piece = (text if w[0] == FIRST else " " + text).encode().decode("latin-1").translate(BYTES)
+            return array("I", [t.id for t in self.lib.model.tokenize(piece)]).tobytes()
         return self.whole(text if w[0] == FIRST else " " + text)
 
+    def known(self, w: str) -> bytes | None:
+        young = self.cache.young
+        if w not in young:
+            young[w] = self.cache.old[w] if w in self.cache.old else self.word(w)
+        return young[w]
+
     def __call__(self, batch: list[str]) -> list[bytes]:
         words = [[] if FIRST in t or any(s in t for s in self.special) else (FIRST + t.replace("\n", " \n " + FIRST)).split(" ") for t in batch]
         for w in self.cache.missing(set().union(*words)):
-            self.cache.young[w] = self.word(w)
+            self.known(w)
         get, out = self.cache.young.__getitem__, []
         for t, own in zip(batch, words, strict=True):
             ids = list(map(get, own))
