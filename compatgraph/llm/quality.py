@@ -102,24 +102,42 @@ def references(docs: DataFrame, *, min_words: int = 50) -> dict[str, list[list[f
     return {"chars": [m[:N_CLASSES].tolist() for m in means], "words": [m[N_CLASSES:].tolist() for m in means]}
 
 
+NAMES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "char_js", "word_js", "kept"]
+
+
+def _judge(batch: pa.RecordBatch, refs: dict, min_chars: int, min_words: int, max_char: float, max_word: float) -> list[tuple]:
+    char_refs, word_refs = np.array(refs["chars"]), np.array(refs["words"])
+    rows = []
+    for text in texts(batch):
+        raw = text.encode()
+        words, *counts = base_counts(raw)
+        n = len(words)
+        chars, common = histograms(raw, words)
+        failed = n < 10 or 100 * counts[3] > 20 * n
+        c, w = js_distance(chars, char_refs), js_distance(common, word_refs)
+        odd = len(raw) >= min_chars and c > max_char or n >= min_words and w > max_word
+        rows.append((n, *counts, failed, c, w, not failed and not odd))
+    return rows
+
+
 def judge(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 150, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
     """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, char_js, word_js, kept."""
     refs = refs or references(docs)
-    char_refs, word_refs = np.array(refs["chars"]), np.array(refs["words"])
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        rows = []
-        for text in texts(batch):
-            raw = text.encode()
-            words, *counts = base_counts(raw)
-            n = len(words)
-            chars, common = histograms(raw, words)
-            failed = n < 10 or 100 * counts[3] > 20 * n
-            c, w = js_distance(chars, char_refs), js_distance(common, word_refs)
-            odd = len(raw) >= min_chars and c > max_char or n >= min_words and w > max_word
-            rows.append((n, *counts, failed, c, w, not failed and not odd))
+        rows = _judge(batch, refs, min_chars, min_words, max_char, max_word)
         arrays = [pa.array(x, t) for x, t in zip(zip(*rows, strict=True), chain([pa.int64()] * 5, [pa.bool_(), pa.float64(), pa.float64(), pa.bool_()]), strict=True)]
-        return pa.RecordBatch.from_arrays([col(batch, "doc_id"), *arrays], names=["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "char_js", "word_js", "kept"])
+        return pa.RecordBatch.from_arrays([col(batch, "doc_id"), *arrays], names=["doc_id", *NAMES])
 
     schema = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, char_js double, word_js double, kept boolean"
     return map_text(narrow(docs, "doc_id", "text"), run, schema)
+
+
+def keep(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 150, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
+    """The rows of ``docs`` that ``judge`` keeps, with all their columns: a map, no shuffle."""
+    refs = refs or references(docs)
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        return batch.filter(pa.array([r[-1] for r in _judge(batch, refs, min_chars, min_words, max_char, max_word)], pa.bool_()))
+
+    return map_text(docs, run, docs.schema)
