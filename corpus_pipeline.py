@@ -18,12 +18,12 @@ ORACLE_SQL = None
 
 
 def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """The rows of the ids.  Narrow ids are written first: their known size decides between broadcast and shuffle."""
-    return docs.join(materialise(ids.select("doc_id").distinct(), "kept-ids"), "doc_id", "left_semi").select(docs.columns)
+    """The rows of the ids.  Ids grow with the documents, so both sides are shuffled at every size."""
+    return docs.join(materialise(ids.select("doc_id").distinct(), "kept-ids").hint("merge"), "doc_id", "left_semi").select(docs.columns)
 
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _only(docs, quality.judge(docs).filter("kept"))
+    return quality.keep(docs)
 
 
 def one_of_each_text(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,7 +37,7 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def mixed_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as many times as the mix takes it."""
     times = materialise(mixing.mix(docs).filter("copies > 0").select("doc_id", F.col("copies").cast("int").alias("copies")).distinct(), "mix-copies")
-    return docs.join(times, "doc_id").withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))).select(docs.columns)
+    return docs.join(times.hint("merge"), "doc_id").withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))).select(docs.columns)
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
