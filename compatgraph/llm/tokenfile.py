@@ -29,9 +29,8 @@ from .common import Recent, col, narrow, shared_dir, slices, texts
 CACHE_PIECES = 500_000
 #: Marks a word at the start of a line: a code point that is no character.
 FIRST = "\uffff"
-#: The byte-level alphabet: printable Latin-1 stands for itself, the other bytes for code points from 256 on, in order.
-_PLAIN = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
-BYTES = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in set(_PLAIN))}
+#: Marks that may end a word; an apostrophe is none of them, as it can begin a contraction.
+MARKS = ".,;:!?#*$%&|"
 _WORKERS: dict[str, "Encoder"] = {}
 
 
@@ -51,6 +50,9 @@ class Encoder:
             self.lib = Tokenizer.from_str(f.read())
         self.lib.no_truncation()
         self.special = [t.content for t in self.lib.get_added_tokens_decoder().values()]
+        vocab = self.lib.get_vocab()
+        self.spaced = np.zeros(max(vocab.values()) + 1, bool)
+        self.spaced[[i for t, i in vocab.items() if t[0] == self.lib.encode(" ").tokens[0]]] = True
         self.cache = Recent(CACHE_PIECES)
 
     def whole(self, text: str) -> bytes:
@@ -63,13 +65,20 @@ class Encoder:
         text = w.removeprefix(FIRST)
         if not text or text[0].isspace() or text[-1].isspace():
             return None
-        if text[-1] in ".," and text[-2:-1].isalpha():
-            return self.known(w[:-1]) + self.known(FIRST + text[-1])  # a mark after a letter is a piece of its own
-        if text.isalpha():  # one piece: straight to the library's model, in its byte alphabet
-            piece = (text if w[0] == FIRST else " " + text).encode().decode("latin-1").translate(BYTES)
-            return array("I", [t.id for t in self.lib.model.tokenize(piece)]).tobytes()
+        core = text.rstrip(MARKS)
+        if core != text and core[-1:].isalpha():
+            return self.known(w[: len(core) - len(text)]) + self.known(FIRST + text[len(core) :])  # marks after a letter are a piece of their own
         return self.whole(text if w[0] == FIRST else " " + text)
 
+    def letters(self, words: list[str]) -> None:
+        """Encode words of letters only, each one piece with its space, many in a call: ids are cut at the tokens that begin with a space."""
+        parts = [words[i : i + 256] for i in range(0, len(words), 256)]
+        for own, e in zip(parts, self.lib.encode_batch_fast([" " + " ".join(p) for p in parts], add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, "<u4")
+            cuts, raw = [*np.flatnonzero(self.spaced[ids]).tolist(), len(ids)], ids.tobytes()
+            if len(cuts) == len(own) + 1:
+                self.cache.young.update(zip(own, [raw[4 * a : 4 * b] for a, b in zip(cuts, cuts[1:], strict=False)], strict=True))
+
     def known(self, w: str) -> bytes | None:
         young = self.cache.young
         if w not in young:
@@ -78,7 +87,10 @@ class Encoder:
 
     def __call__(self, batch: list[str]) -> list[bytes]:
         words = [[] if FIRST in t or any(s in t for s in self.special) else (FIRST + t.replace("\n", " \n " + FIRST)).split(" ") for t in batch]
-        for w in self.cache.missing(set().union(*words)):
+        new = self.cache.missing(set().union(*words))
+        cores = {w.rstrip(MARKS) for w in new}
+        self.letters([w for w in cores if w.isalpha() and w not in self.cache.young and w not in self.cache.old])
+        for w in new:
             self.known(w)
         get, out = self.cache.young.__getitem__, []
         for t, own in zip(batch, words, strict=True):
