@@ -88,7 +88,7 @@ def flaws(arcs: DataFrame) -> DataFrame:
     return arcs.withColumn("bad", (F.col("src") == F.col("dst")) | (F.row_number().over(order) > 1))
 
 
-def repair(arcs: DataFrame, rounds: int = 8, seed: int = 1) -> tuple[DataFrame, int]:
+def repair(arcs: DataFrame, rounds: int = 40, seed: int = 1) -> tuple[DataFrame, int]:
     """Swap the targets of flawed arcs with others of their class pair until none is flawed; marginals stay.  Also the number left."""
     left = 0
     for i in range(rounds):
@@ -107,7 +107,7 @@ def repair(arcs: DataFrame, rounds: int = 8, seed: int = 1) -> tuple[DataFrame,
     return arcs.select("src", "dst", "c", "d"), int(left)
 
 
-def planted_graph(keys: DataFrame, K: np.ndarray, degree: float, *, alpha=None, delta: float = 0.3, seed: int = 1, directed: bool = False, rounds: int = 8) -> tuple[DataFrame, DataFrame, np.ndarray]:
+def planted_graph(keys: DataFrame, K: np.ndarray, degree: float, *, alpha=None, delta: float = 0.3, seed: int = 1, directed: bool = False, rounds: int = 40) -> tuple[DataFrame, DataFrame, np.ndarray]:
     """edges, labels, budget: an undirected graph (or arcs) over ``keys(node)`` whose class-pair counts are in proportion to K exactly."""
     k = len(K)
     alpha = alpha if alpha is not None else [1 / k] * k

@@ -240,7 +240,7 @@ def planted_check(spark, d):
 @query("planted_labelled")
 def planted_labelled(spark, d):
     """Generate, hide, estimate over several hops, propagate, predict."""
-    edges, labels, _ = graph9(spark, d, 25)
+    edges, labels, _ = graph9(spark, d, 10)
     seeds = L.hide_labels(labels, 0.1)
     return estimate.label_graph(edges, seeds, 3)
 
