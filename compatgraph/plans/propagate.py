@@ -72,9 +72,9 @@ def spectral_radius(P: DataFrame, rounds: int = 20, tol: float = 1e-4) -> float:
 def stability_limit(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0) -> float:
     """The eps at which the update stops converging: 1 / (radius(P) radius(K centred)).
 
-    Row, column and symmetric scaling without clamping have radius 1, so no pass is made.
+    Row, column and symmetric scaling have radius 1, and at most 1 when clamped: that bound is used and no pass is made.
     """
-    rho = 1.0 if alpha + beta == 1 and gamma == 0 else spectral_radius(operator(edges, seeds, alpha, beta, gamma))
+    rho = 1.0 if alpha + beta == 1 else spectral_radius(operator(edges, seeds, alpha, beta, gamma))
     r = rho * radius(center(K))
     return 1 / r if r > 1e-12 else float("inf")
 
