@@ -22,8 +22,11 @@ def neighbor_counts(edges: DataFrame, seeds: DataFrame, k: int) -> DataFrame:
     return _send(edges.select("src", "dst"), one_hot(seeds, k), k)
 
 
-def hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False) -> list[DataFrame]:
-    """N_1 .. N_lmax.  Without backtracking: N_2 = A N_1 - D X and N_l = A N_(l-1) - (D - I) N_(l-2)."""
+def hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False, keep: bool = False) -> list[DataFrame]:
+    """N_1 .. N_lmax.  Without backtracking: N_2 = A N_1 - D X and N_l = A N_(l-1) - (D - I) N_(l-2).
+
+    ``keep`` persists each state, for callers that act on every hop (the caller unpersists).
+    """
     cols, A = names(k), edges.select("src", "dst")
     deg = A.groupBy(F.col("src").alias("node")).agg(F.count(F.lit(1)).alias("deg"))
     states = [one_hot(seeds, k), neighbor_counts(edges, seeds, k)]
@@ -33,7 +36,7 @@ def hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracki
             factor = F.col("deg") if l == 2 else F.col("deg") - 1
             echo = states[-2].join(deg, "node").select("node", *[(-factor * F.col(c)).alias(c) for c in cols])
             new = new.unionByName(echo).groupBy("node").agg(*[F.sum(c).alias(c) for c in cols])
-        states.append(new)
+        states.append(new.persist() if keep else new)
     return states[1:]
 
 
@@ -48,12 +51,14 @@ def pair_counts(N: DataFrame, seeds: DataFrame, k: int) -> DataFrame:
 def count_matrices(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False) -> list[np.ndarray]:
     """M_1 .. M_lmax on the driver: k x k numbers a hop."""
     edges = edges.select("src", "dst").repartition("dst").persist()
-    out = []
-    for N in hop_counts(edges, seeds, k, lmax, backtracking):
+    out, states = [], hop_counts(edges, seeds, k, lmax, backtracking, keep=True)
+    for N in states:
         M = np.zeros((k, k))
         for r in seeds.join(N, "node").groupBy("cls").agg(*[F.sum(x).alias(x) for x in names(k)]).collect():
             M[r.cls] = r[1:]
         out.append(M)
+    for N in states[1:]:
+        N.unpersist()
     edges.unpersist()
     return out
 
