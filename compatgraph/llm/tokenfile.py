@@ -18,15 +18,18 @@ from array import array
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Recent, col, narrow, shared_dir, slices, texts
+from .common import Recent, col, narrow, shared_dir, slices
 
 #: Pieces in a generation of a worker's cache.
 CACHE_PIECES = 500_000
+#: Code points of the longest word that is cached.
+LONGEST = 100
 #: Marks a word at the start of a line: a code point that is no character.
 FIRST = "\uffff"
 #: Marks that may end a word; an apostrophe is none of them, as it can begin a contraction.
@@ -81,22 +84,40 @@ class Encoder:
 
     def known(self, w: str) -> bytes | None:
         young = self.cache.young
-        if w not in young:
-            young[w] = self.cache.old[w] if w in self.cache.old else self.word(w)
-        return young[w]
-
-    def __call__(self, batch: list[str]) -> list[bytes]:
-        words = [[] if FIRST in t or any(s in t for s in self.special) else (FIRST + t.replace("\n", " \n " + FIRST)).split(" ") for t in batch]
-        new = self.cache.missing(set().union(*words))
+        if w in young:
+            return young[w]
+        ids = self.cache.old[w] if w in self.cache.old else self.word(w)
+        if len(w) <= LONGEST:
+            young[w] = ids
+        return ids
+
+    def __call__(self, batch: pa.Array) -> list[bytes]:
+        """Ids of each text, as little-endian 32-bit integers.
+
+        Arrow splits the texts, numbers their words and gathers the ids of the words; Python sees each distinct word once.
+        """
+        batch = pc.fill_null(batch.cast(pa.large_string()), "")
+        apart = pc.match_substring(batch, FIRST)
+        for s in self.special:
+            apart = pc.or_(apart, pc.match_substring(batch, s))
+        lines = pc.replace_substring(pc.if_else(apart, "", batch), "\n", " \n " + FIRST)
+        words = pc.split_pattern(pc.binary_join_element_wise(*[pa.scalar(x, pa.large_string()) if isinstance(x, str) else x for x in (FIRST, lines, "")]), " ")
+        numbered = words.values.dictionary_encode()
+        names = numbered.dictionary.to_numpy(zero_copy_only=False).tolist()
+        new = self.cache.missing({w for w in names if len(w) <= LONGEST})
         cores = {w.rstrip(MARKS) for w in new}
         self.letters([w for w in cores if w.isalpha() and w not in self.cache.young and w not in self.cache.old])
         for w in new:
             self.known(w)
-        get, out = self.cache.young.__getitem__, []
-        for t, own in zip(batch, words, strict=True):
-            ids = list(map(get, own))
-            out.append(b"".join(ids) if ids and None not in ids else self.whole(t))
-        return out
+        young = self.cache.young
+        ids = pa.array([young[w] if w in young else self.known(w) for w in names], pa.large_binary()).take(numbered.indices)
+        first = words.offsets.to_numpy()
+        whole = set(np.flatnonzero(apart.to_numpy(zero_copy_only=False)).tolist())
+        if ids.null_count:
+            alone = np.flatnonzero(ids.is_null().to_numpy(zero_copy_only=False))
+            whole.update((np.searchsorted(first, alone, "right") - 1).tolist())
+        at, raw = np.frombuffer(ids.buffers()[1], "<i8")[first].tolist(), memoryview(ids.buffers()[2])
+        return [self.whole(batch[i].as_py()) if i in whole else raw[a:b] for i, (a, b) in enumerate(zip(at, at[1:], strict=False))]
 
 
 def encoder(path: str) -> Encoder:
@@ -125,7 +146,7 @@ def write(docs: DataFrame, tokenizer: str, *, end_id: int = 0, out: str | None =
         with fs.open_output_stream(temp) as f:
             for batch in batches:
                 for part in slices(batch, "text"):
-                    coded = encoder(tokenizer)(texts(part))
+                    coded = encoder(tokenizer)(col(part, "text"))
                     sizes += [len(ids) // 4 + 1 for ids in coded]
                     f.write(np.frombuffer(end.join([*coded, b""]), "<u4").astype(kind).tobytes())
                     docs_in.append(col(part, "doc_id").fill_null(-1).to_numpy())
