@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.functions import udtf
 
 from ..functions.compat import fit_powers, nearest_compat, normalize_counts, solve_energy
 from ..operators.labels import names, one_hot, predict
@@ -41,3 +43,35 @@ def label_graph(edges: DataFrame, seeds: DataFrame, k: int, estimator: str = "mu
     """Estimate K from the seeds, propagate with it, and predict every reached node."""
     K = ESTIMATORS[estimator](edges, seeds, k)
     return predict(propagate(edges, seeds, K, **({"beta": 1.0, "gamma": 0.5, "s": 3.0} | options)), k)
+
+
+def compat_by_group(pairs: DataFrame, group: str, classes: list, variant: int = 1) -> DataFrame:
+    """group, c, d, v: a one-hop K of each group from its class-pair counts (a, b, n); a group's task gets its k x k counts only."""
+    at = {c: i for i, c in enumerate(classes)}
+    kind = pairs.schema[group].dataType.simpleString()
+    counted = pairs.groupBy(group, "a", "b").agg(F.sum("n").alias("n"))
+
+    def solve(frame):
+        M = np.zeros((len(at), len(at)))
+        for a, b, n in zip(frame["a"], frame["b"], frame["n"], strict=True):
+            M[at[a], at[b]] += n
+            M[at[b], at[a]] += n
+        K = nearest_compat(normalize_counts(M, variant))
+        own = [(frame[group].iloc[0], i, j, float(K[i, j])) for i in range(len(at)) for j in range(len(at))]
+        return pd.DataFrame(own, columns=[group, "c", "d", "v"])
+
+    return counted.groupBy(group).applyInPandas(solve, f"{group} {kind}, c int, d int, v double")
+
+
+class CompatRows:
+    """SQL table function: ``compat_rows(cells)`` turns row-major K, as an array, into rows (c, d, v)."""
+
+    def eval(self, cells):
+        k = round(len(cells) ** 0.5)
+        for i, v in enumerate(cells):
+            yield i // k, i % k, v
+
+
+def register_sql(spark) -> None:
+    """Make ``compat_rows`` known to the session's SQL."""
+    spark.udtf.register("compat_rows", udtf(CompatRows, returnType="c int, d int, v double"))

@@ -13,16 +13,26 @@ from pyspark.sql import functions as F
 
 from ..functions.compat import center, radius
 from ..operators.labels import modulate, names, one_hot, residual
-from ..operators.scaling import COL, RAW, ROW, SYM, clamp_edges, echo_diagonal, scale_edges
+from ..operators.scaling import COL, RAW, ROW, SYM, clamp_edges, degrees, echo_diagonal, scale_edges
 from .lineage import cut
 
 CUT = 5
 
 
-def send(P: DataFrame, state: DataFrame, k: int) -> DataFrame:
-    """P times the state, over nodes that have a neighbour with a state."""
+def spread_hubs(P: DataFrame, most: int) -> tuple[DataFrame, DataFrame]:
+    """P with a salt, and (dst, parts) of the nodes with over ``most`` edges: these are cut into parts of about ``most`` by a hash of ``src``."""
+    hubs = P.groupBy("dst").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > most).select("dst", F.ceil(F.col("n") / most).cast("int").alias("parts")).persist()
+    salt = F.pmod(F.xxhash64("src"), F.coalesce("parts", F.lit(1))).cast("int")
+    return P.join(hubs, "dst", "left").select("src", "dst", "w", salt.alias("salt")), hubs
+
+
+def send(P: DataFrame, state: DataFrame, k: int, hubs: DataFrame | None = None) -> DataFrame:
+    """P times the state, over nodes that have a neighbour with a state; the states of ``hubs`` go to each part of their edges."""
     cols = names(k)
-    return P.join(state.withColumnRenamed("node", "dst"), "dst").groupBy(F.col("src").alias("node")).agg(*[F.sum(F.col("w") * F.col(c)).alias(c) for c in cols])
+    there = state.withColumnRenamed("node", "dst")
+    if hubs is not None:
+        there = there.join(hubs, "dst", "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("parts")
+    return P.join(there, ["dst"] if hubs is None else ["dst", "salt"]).groupBy(F.col("src").alias("node")).agg(*[F.sum(F.col("w") * F.col(c)).alias(c) for c in cols])
 
 
 def add(parts: list[tuple[DataFrame, float]], k: int) -> DataFrame:
@@ -35,10 +45,10 @@ def add(parts: list[tuple[DataFrame, float]], k: int) -> DataFrame:
     return both.groupBy("node").agg(*[F.sum(c).alias(c) for c in cols])
 
 
-def step(P: DataFrame, X: DataFrame, B: DataFrame, K: np.ndarray, eps: float, Q: DataFrame | None) -> DataFrame:
+def step(P: DataFrame, X: DataFrame, B: DataFrame, K: np.ndarray, eps: float, Q: DataFrame | None, hubs: DataFrame | None = None) -> DataFrame:
     """X + eps P B K, less eps^2 Q B K^2 where the echo is taken out."""
     k = len(K)
-    parts = [(X, 1.0), (send(P, B.select("node", *modulate(k, K)), k), eps)]
+    parts = [(X, 1.0), (send(P, B.select("node", *modulate(k, K)), k, hubs), eps)]
     if Q is not None:
         own = B.select("node", *modulate(k, K @ K)).join(Q, "node").select("node", *[(F.col("q") * F.col(c)).alias(c) for c in names(k)])
         parts.append((own, -eps * eps))
@@ -79,23 +89,25 @@ def stability_limit(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=
     return 1 / r if r > 1e-12 else float("inf")
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, eps: float | None = None, s: float | None = None, r: int = 4, echo: bool = False, centred: bool = True, tol: float | None = None) -> DataFrame:
+def propagate(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, eps: float | None = None, s: float | None = None, r: int = 4, echo: bool = False, centred: bool = True, tol: float | None = None, hub_edges: int | None = None) -> DataFrame:
     """node, b0.. after ``r`` updates (or until the largest change is below ``tol``) from residual seeds.
 
-    Give ``eps``, or ``s`` as a share of the stability limit (s > 1 diverges on purpose: few steps are meant).
+    Give ``eps``, or ``s`` as a share of the stability limit (s > 1 diverges on purpose: few steps are meant).  With ``hub_edges``
+    the edges of nodes that have more are cut into parts of about that size, so that no task gets all edges of a hub.
     """
     k = len(K)
     if eps is None:
         eps = (1.0 if s is None else s) * min(stability_limit(edges, seeds, K, alpha=alpha, beta=beta, gamma=gamma), 1e6)
     K = center(K) if centred else K
     P = operator(edges, seeds, alpha, beta, gamma)
-    if r > 1:
-        P = P.repartition("dst").persist()
     Q = echo_diagonal(P) if echo else None
+    P, hubs = spread_hubs(P, hub_edges) if hub_edges else (P, None)
+    if r > 1:
+        P = P.repartition(*(["dst", "salt"] if hub_edges else ["dst"])).persist()
     X = residual(seeds, k)
     B = X
     for i in range(1, r + 1):
-        new = step(P, X, B, K, eps, Q)
+        new = step(P, X, B, K, eps, Q, hubs)
         if tol is not None or i % CUT == 0:
             new = cut(new)
         if tol is not None:
@@ -162,6 +174,26 @@ def smooth_energy(edges: DataFrame, beliefs: DataFrame, seeds: DataFrame, K: np.
     return fit.crossJoin(smooth).select((F.col("f") + F.lit(mu / 2) * F.coalesce("s", F.lit(0.0))).alias("energy"))  # one row each
 
 
+def dot(a: list[str], b: list[str]):
+    return sum((F.col(x) * F.col(y) for x, y in zip(a, b, strict=True)), F.lit(0.0))
+
+
+def smoothness(edges: DataFrame, beliefs: DataFrame, K: np.ndarray, normalised: bool = False) -> DataFrame:
+    """energy: f'R(Kf) for the graph Laplacian R = D - W, or I - D^-1/2 W D^-1/2 where ``normalised``; low where neighbours agree by K."""
+    k = len(K)
+    b, m = names(k), names(k, "m")
+    there = beliefs.select("node", *[c.alias(f"m{d}") for d, c in enumerate(modulate(k, K))])
+    own = beliefs.join(there, "node").join(degrees(edges), "node").agg(F.sum((F.lit(1.0) if normalised else F.col("deg")) * dot(b, m)).alias("own"))
+    pairs = (scale_edges(edges, *SYM) if normalised else edges).join(beliefs.withColumnRenamed("node", "src"), "src").join(there.withColumnRenamed("node", "dst"), "dst")
+    return own.crossJoin(pairs.agg(F.sum(F.col("w") * dot(b, m)).alias("across"))).select((F.coalesce("own", F.lit(0.0)) - F.coalesce("across", F.lit(0.0))).alias("energy"))  # one row each
+
+
+def reconstruction_energy(edges: DataFrame, beliefs: DataFrame, k: int) -> DataFrame:
+    """energy: squared distance of beliefs from the weighted mean of their neighbours' beliefs."""
+    gap = add([(send(scale_edges(edges, *ROW), beliefs, k), -1.0), (beliefs, 1.0)], k)
+    return gap.agg(F.sum(dot(names(k), names(k))).alias("energy"))
+
+
 def closed_form(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, eps=0.1, echo=False, most: int = 6_000) -> dict[int, np.ndarray]:
     """Dense solution of the fixed point on the driver, for tests: at most ``most`` unknowns."""
     k, Kc = len(K), center(K)

@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.labels import names, one_hot
+from .lineage import cut
 
 
 def _send(A: DataFrame, N: DataFrame, k: int) -> DataFrame:
@@ -94,3 +95,22 @@ def enumerate_walks(edges: DataFrame, l: int, backtracking: bool = False) -> Dat
         nxt = edges.select(F.col("src").alias("at"), F.col("dst").alias("next"))
         walk = walk.join(nxt, "at").filter(F.lit(True) if backtracking else F.col("next") != F.col("prev")).select("start", F.col("at").alias("prev"), F.col("next").alias("at"))
     return walk.groupBy(F.col("start").alias("src"), F.col("at").alias("dst")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def weighted_hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int) -> list[DataFrame]:
+    """N_1 .. N_lmax of non-backtracking walks on a weighted graph, each walk counted by the product of its weights.
+
+    The n x k recurrence holds for simple graphs only.  Here the state is per ordered edge: what starts over (i, j) is w_ij times
+    all that starts at j, less what starts there over (j, i).  A hop is two joins and one aggregation, 2m rows of k columns.
+    """
+    cols, E = names(k), edges.repartition("dst").persist()
+    zero = [F.coalesce(c, F.lit(0)) for c in cols]
+    over = E.join(one_hot(seeds, k).withColumnRenamed("node", "dst"), "dst", "left").select("src", "dst", *[(F.col("w") * z).alias(c) for c, z in zip(cols, zero, strict=True)])
+    out = []
+    for l in range(1, lmax + 1):
+        if l > 1:
+            back = over.select(F.col("dst").alias("src"), F.col("src").alias("dst"), *[F.col(c).alias(f"r{i}") for i, c in enumerate(cols)])
+            ahead = E.join(out[-1].withColumnRenamed("node", "dst"), "dst").join(back, ["src", "dst"])
+            over = cut(ahead.select("src", "dst", *[(F.col("w") * (F.col(c) - F.col(f"r{i}"))).alias(c) for i, c in enumerate(cols)]))
+        out.append(over.groupBy(F.col("src").alias("node")).agg(*[F.sum(c).alias(c) for c in cols]))
+    return out

@@ -311,6 +311,95 @@ def csv_roundtrip(spark, d):
     T.turns(spark, d).write.csv(at, header=True)
     return T.read_edges(spark, at)
 
+# --- weighted walks, hubs, further energies, neighbour graphs
+_b5 = lambda expr: ", ".join(f"sum({expr.format(c)}) as b{c}" for c in range(5))
+_WEIGHTED = (
+    O.graph("trade", HALF)
+    + ", x as (select node, " + ", ".join(f"coalesce((cls = {c})::int, 0)::double as b{c}" for c in range(5)) + " from (select distinct src as node from edges) left join seeds using (node))"
+    + ", d2 as (select src as node, sum(w * w) as q from edges group by src)"
+    + "".join(f", a{i} as materialized (select e.src as node, {_b5('e.w * v.b{}')} from edges e join {'x' if i == 1 else f'a{i - 1}'} v on v.node = e.dst group by e.src)" for i in (1, 2, 3))
+    + f", ad as (select e.src as node, {_b5('e.w * d2.q * x.b{}')} from edges e join x on x.node = e.dst join d2 on d2.node = e.dst group by e.src)"
+    + f", cube as (select e.src as node, {_b5('pow(e.w, 3) * x.b{}')} from edges e join x on x.node = e.dst group by e.src)"
+    + ", n3 as (select node, " + ", ".join(f"a3.b{c} - d2.q * a1.b{c} - ad.b{c} + cube.b{c} as b{c}" for c in range(5)) + " from a3 join a1 using (node) join d2 using (node) join ad using (node) join cube using (node))"
+    + ", n2 as (select node, " + ", ".join(f"a2.b{c} - d2.q * x.b{c} as b{c}" for c in range(5)) + " from a2 join d2 using (node) join x using (node))"
+)
+for _l in (2, 3):
+    query(f"weighted_counts_l{_l}_trade", _WEIGHTED + f" select cls as c, {_b5('b{}')} from n{_l} join seeds using (node) group by cls")(
+        lambda s, d, l=_l: (lambda e, _, x: x.join(walks.weighted_hop_counts(e, x, 5, l)[-1], "node").groupBy(F.col("cls").alias("c")).agg(*[F.sum(b).alias(b) for b in L.names(5)]))(*trade(s, d))
+    )
+query("prop_trade_hubs", SQL["prop_trade_col"])(lambda s, d: rounded(propagate.propagate(*trade(s, d)[::2], K5, beta=1.0, gamma=0.5, eps=0.5, r=3, hub_edges=50), 5))
+_S2 = O.graph("turns", HALF) + O.scaled(1.0, 0.0) + O.residual(3) + O.iterate(center(K3), 0.5, 2) + ", dg as (select src as node, sum(w) as deg from edges group by src), m as (select node, " + ", ".join(f"{e} as m{i}" for i, e in enumerate(O.linear(K3))) + " from s2)"
+_DOT = " + ".join(f"s2.b{c} * m.m{c}" for c in range(3))
+
+
+def _beliefs(spark, d):
+    edges, _, seeds = turns(spark, d)
+    return edges, propagate.propagate(edges, seeds, K3, alpha=1.0, eps=0.5, r=2)
+
+
+for _kind, _own, _across in (("laplacian", "dg.deg", "e.w"), ("normalised", "1", "e.w / sqrt(x.deg * y.deg)")):
+    query(f"energy_modulated_{_kind}", _S2 + f" select round((select sum({_own} * ({_DOT})) from s2 join m using (node) join dg using (node)) - (select sum({_across} * ({_DOT})) from edges e join s2 on s2.node = e.src join m on m.node = e.dst join dg x on x.node = e.src join dg y on y.node = e.dst), 6) as energy")(
+        lambda s, d, n=_kind == "normalised": propagate.smoothness(*_beliefs(s, d), K3, n).select(F.round("energy", 6).alias("energy"))
+    )
+query("energy_reconstruct", _S2 + ", t as (select e.src as node, " + ", ".join(f"sum(e.w / dg.deg * s2.b{c}) as t{c}" for c in range(3)) + " from edges e join s2 on s2.node = e.dst join dg on dg.node = e.src group by e.src) select round(sum(" + " + ".join(f"pow(coalesce(b{c}, 0) - coalesce(t{c}, 0), 2)" for c in range(3)) + "), 6) as energy from s2 full join t using (node)")(
+    lambda s, d: propagate.reconstruction_energy(*_beliefs(s, d), 3).select(F.round("energy", 6).alias("energy"))
+)
+_NEAR = "with v as (select vec_id, embedding::double[] as e from embeddings), c as (select x.vec_id as a, y.vec_id as b, round(list_dot_product(x.e, y.e) / sqrt(list_dot_product(x.e, x.e) * list_dot_product(y.e, y.e)), 6) as cos from v x, v y where x.vec_id <> y.vec_id), t as (select *, (row_number() over (partition by a order by cos desc, b))::int as pos from c qualify pos <= 5)"
+query("cosine_pairs", _NEAR + " select a, b, cos, pos from t")(lambda s, d: T.nearest(T.table(s, d, "embeddings", "vec_id", "embedding")))
+query("edges_knn", _NEAR + ", u as (select distinct least(a, b) as a, greatest(a, b) as b from t) select a as src, b as dst, 1.0::double as w from u union all select b, a, 1.0 from u")(lambda s, d: T.knn(s, d))
+query("knn_hashed")(lambda s, d: T.knn(s, d, bits=4, tables=6))
+query("pair_counts_docs", O.graph("docs") + " select x.quality as c, y.quality as d, count(*) as cnt from edges e join labels x on x.doc_id = e.src join labels y on y.doc_id = e.dst group by all")(
+    lambda s, d: (lambda q: T.same_text(s, d).join(q.toDF("src", "c"), "src").join(q.toDF("dst", "d"), "dst").groupBy("c", "d").agg(F.count(F.lit(1)).alias("cnt")))(T.table(s, d, "labels", "doc_id", "quality"))
+)
+query("walks_brute_l3_tree", O.graph("tree") + " select a.src, c.dst, count(*) as n from edges a join edges b on a.dst = b.src and b.dst <> a.src join edges c on b.dst = c.src and c.dst <> b.src group by all")(lambda s, d: walks.enumerate_walks(T.tree(s, d), 3))
+# a root's belief p reaches depth l of its tree as p K^l: halved distance from 1/5 a level
+query(
+    "bp_tree",
+    "with recursive "
+    + O.EDGES["tree"]
+    + ", t as (select distinct 4 * n_regionkey::bigint as node, n_regionkey::int as cls, 0 as l from nation union all select raw.b, t.cls, t.l + 1 from t join raw on raw.a = t.node) select node, "
+    + ", ".join(f"round(0.2 + (case when cls = {c} then 0.7 else -0.175 end) * pow(0.5, l), 6) as b{c}" for c in range(5))
+    + " from t",
+)(lambda s, d: rounded(propagate.belief_propagation(T.tree(s, d), T.table(s, d, "region", "r_regionkey").select((4 * F.col("r_regionkey")).cast("long").alias("node"), F.col("r_regionkey").cast("int").alias("cls")), K5, r=4), 5))
+
+
+@query("closed_form_micro")
+def closed_form_micro(spark, d):
+    """The fixed point of a ring with a tail, solved densely."""
+    edges = T.normalise_edges(spark.createDataFrame([(0, 1, 1.0), (1, 2, 1.0), (2, 3, 1.0), (3, 0, 1.0), (3, 4, 1.0), (4, 5, 1.0)], "a long, b long, w double"))
+    seeds = spark.createDataFrame([(0, 0), (1, 1), (4, 2)], "node long, cls int")
+    return spark.createDataFrame([(int(n), *map(float, b)) for n, b in propagate.closed_form(edges, seeds, K3).items()], "node long, b0 double, b1 double, b2 double")
+
+
+query("semi_seeds", O.graph("trade", HALF) + " select * from edges where dst in (select node from seeds)")(lambda s, d: (lambda e, _, x: e.join(x.select(F.col("node").alias("dst")), "dst", "left_semi").select("src", "dst", "w"))(*trade(s, d)))
+
+
+@query("cross_modulate", SQL["modulate_turns"])
+def cross_modulate(spark, d):
+    """The modulated rows by a join with K as a table of k x k rows."""
+    x = L.residual(turns(spark, d)[2], 3).unpivot("node", ["b0", "b1", "b2"], "name", "b").withColumn("c", F.substring("name", 2, 1).cast("int"))
+    K = spark.createDataFrame([(c, e, float(K3[c, e])) for c in range(3) for e in range(3)], "c int, d int, v double")
+    return rounded(x.join(F.broadcast(K), "c").groupBy("node").pivot("d", [0, 1, 2]).agg(F.sum(F.col("b") * F.col("v"))).toDF("node", "b0", "b1", "b2"), 3)
+
+
+_MARGIN = "round(greatest(b0, b1, b2) - (b0 + b1 + b2 - greatest(b0, b1, b2) - least(b0, b1, b2)), 6)"
+query("topk_margin", _REC + f" select node, {_MARGIN} as margin from s4 order by margin desc, node limit 20")(lambda s, d: (lambda e, _, x: propagate.member("recommended", e, x, K3, eps=0.5, r=4).select("node", F.expr(_MARGIN).alias("margin")).orderBy(F.desc("margin"), "node").limit(20))(*turns(s, d)))
+
+
+@query("onehop_by_day")
+def onehop_by_day(spark, d):
+    """A one-hop K of the event types of each day."""
+    days = stream.windowed(stream.class_steps(T.table(spark, d, "events", "ts", "event_id", "user_id", "event_type")))
+    types = [r.event_type for r in T.table(spark, d, "events", "event_type").distinct().orderBy("event_type").collect()]  # one row a class
+    return estimate.compat_by_group(days, "start", types)
+
+
+@query("compat_rows", "select c, d, v from (values " + ", ".join(f"({c}, {e}, {float(K3[c, e])!r}::double)" for c in range(3) for e in range(3)) + ") t(c, d, v)")
+def compat_rows(spark, d):
+    """K by the SQL table function."""
+    estimate.register_sql(spark)
+    return spark.sql("select * from compat_rows(array(" + ", ".join(f"{v!r}D" for v in K3.reshape(-1).tolist()) + "))")
+
 
 def queries() -> dict:
     return dict(QUERIES)

@@ -6,6 +6,7 @@ Two key spaces share one id space by packing: ``2 * id`` and ``2 * id + 1``.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -88,6 +89,15 @@ def tree(spark, d) -> DataFrame:
     return normalise_edges(pairs.unionByName(c.select(*child("c_custkey", "c_nationkey", 2))).unionByName(s.select(*child("s_suppkey", "s_nationkey", 3))))
 
 
+def tree_labels(spark, d) -> DataFrame:
+    """The region of every node of the forest."""
+    n = table(spark, d, "nation", "n_nationkey", "n_regionkey")
+    of = lambda df, key, nation, k: df.join(n, df[nation] == n.n_nationkey).select((4 * F.col(key) + k).cast("long").alias("node"), F.col("n_regionkey").cast("int").alias("cls"))
+    own = n.select((4 * F.col("n_regionkey")).cast("long").alias("node"), F.col("n_regionkey").cast("int").alias("cls")).distinct()
+    own = own.unionByName(n.select((4 * F.col("n_nationkey") + 1).cast("long").alias("node"), F.col("n_regionkey").cast("int").alias("cls")))
+    return own.unionByName(of(table(spark, d, "customer", "c_custkey", "c_nationkey"), "c_custkey", "c_nationkey", 2)).unionByName(of(table(spark, d, "supplier", "s_suppkey", "s_nationkey"), "s_suppkey", "s_nationkey", 3))
+
+
 def same_text(spark, d) -> DataFrame:
     """Documents of equal text, tied to the smallest doc_id of the text: a star, not all pairs of a group."""
     docs = table(spark, d, "documents", "doc_id", "text").select("doc_id", F.sha2("text", 256).alias("h"))
@@ -103,6 +113,42 @@ def pages(spark, d) -> DataFrame:
     return normalise_edges(p.select("page_id", href.alias("href")).select((2 * F.col("page_id")).alias("a"), (2 * key + 1).alias("b"), F.lit(1.0).alias("w")))
 
 
+def cosine(a: str, b: str):
+    """Cosine of two arrays in double precision, in generated code."""
+    product = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, p: s + p)
+    return product(a, b) / F.sqrt(product(a, a) * product(b, b))
+
+
+def nearest(vectors: DataFrame, k: int = 5, *, bits: int = 0, tables: int = 1, seed: int = 1, most: int = 10_000) -> DataFrame:
+    """a, b, cos, pos: the ``k`` nearest of each vector of (vec_id, embedding) by cosine, ties by id.
+
+    With ``bits`` only vectors that share the signs of that many random projections in one of ``tables`` hash tables meet: an
+    equi-join, approximate.  Without, all meet: exact, refused beyond ``most`` vectors.
+    """
+    v = vectors.filter("embedding is not null and size(embedding) > 0").select("vec_id", "embedding")
+    if not bits:
+        n = v.count()
+        if n > most:
+            raise ValueError(f"{n} vectors: the exact way is for at most {most}, give bits")
+        keyed = v.withColumn("key", F.lit("0"))
+    else:
+        first = v.first()
+        planes = np.random.default_rng(seed).standard_normal((tables, bits, len(first.embedding) if first else 1)).round(6)
+        sign = lambda plane: (F.aggregate(F.zip_with("embedding", F.lit(plane.tolist()), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) > 0).cast("string")
+        keyed = v.withColumn("key", F.explode(F.array(*[F.concat(F.lit(f"{t}:"), *[F.substring(sign(p), 1, 1) for p in planes[t]]) for t in range(tables)])))
+    met = keyed.select(F.col("vec_id").alias("a"), F.col("embedding").alias("x"), "key").join(keyed.select(F.col("vec_id").alias("b"), F.col("embedding").alias("y"), "key"), "key").filter("a <> b")
+    if tables > 1 and bits:
+        met = met.dropDuplicates(["a", "b"])
+    found = met.select("a", "b", F.round(cosine("x", "y"), 6).alias("cos"))
+    return found.withColumn("pos", F.row_number().over(W.partitionBy("a").orderBy(F.desc("cos"), "b"))).filter(F.col("pos") <= k)
+
+
+def knn(spark, d, k: int = 5, **options) -> DataFrame:
+    """Neighbour graph of the embeddings: an edge where either is among the k nearest of the other."""
+    near = nearest(table(spark, d, "embeddings", "vec_id", "embedding"), k, **options)
+    return normalise_edges(near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.lit(1.0).alias("w")).distinct())
+
+
 def write_bucketed(edges: DataFrame, name: str, buckets: int = 64) -> None:
     """Edges bucketed by their sending node: propagation steps then never exchange them."""
     edges.write.bucketBy(buckets, "dst").sortBy("dst").mode("overwrite").saveAsTable(name)

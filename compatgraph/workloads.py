@@ -15,7 +15,7 @@ from .plans.planted import planted_graph, ranked
 from .plans.lineage import cut
 from .plans.propagate import members, operator, propagate, spectral_radius
 from .plans.walks import count_matrices, path_matrix
-from .sources.tables import table
+from .sources.tables import knn, table, trade, trade_labels, tree, tree_labels, turn_labels, turns
 
 REC = {"alpha": 0.0, "beta": 1.0, "gamma": 0.5, "r": 4}
 
@@ -113,7 +113,7 @@ def bias(spark, d) -> DataFrame:
 def three_estimators(spark, d) -> DataFrame:
     """Estimate, then label, with each estimator; known K with the baseline for comparison."""
     found = []
-    for h, s in ((8, 5.0),):
+    for h, s in ((3, 3.0), (8, 5.0)):
         edges, labels, seeds = fixture(spark, d, h, 25, 0.05)
         M = [normalize_counts(m) for m in count_matrices(edges, seeds, 3, 5)]
         for name, K in (("multihop", fit_powers(M)[0]), ("onehop", nearest_compat(M[0])), ("energy", estimate_energy(edges, seeds, 3, alpha=1.0)), ("known", strength_compat(h))):
@@ -150,5 +150,40 @@ def phases(spark, d, name: str = "orders", key: str = "o_orderkey", degree: floa
     return rows(spark, found, "phase string, edges long, seconds double")
 
 
-WORKLOADS = {"w_headline": headline, "w_sweep_steps": sweep_steps, "w_scaling_grid": scaling_grid, "w_ratio_clamped": ratio_clamped, "w_estimator_error": estimator_error, "w_degree_and_labels": degree_and_labels, "w_bias": bias, "w_three_estimators": three_estimators, "w_path_growth": path_growth}
+def weak_potential(spark, d) -> DataFrame:
+    """Weak attraction (h = 2) with few and with most labels: the choice of scaling matters less once labels are dense."""
+    found = []
+    for f in (0.05, 0.9):
+        edges, labels, seeds = fixture(spark, d, 2, 25, f)
+        for name, options in (("linear", {"s": 0.5, "r": 10}), ("symmetric, clamped", {"alpha": 0.5, "beta": 0.5, "gamma": 1.0, "s": 3.0, "r": 4}), ("recommended", {"s": 3.0, **REC})):
+            found.append((f, name, score(edges, labels, seeds, strength_compat(2), **options)))
+    return rows(spark, found, "f double, method string, accuracy double")
+
+
+def real_labels(spark, d) -> DataFrame:
+    """Estimate, then label, on graphs of the given tables: roles of turns carry a signal, regions of trade and nearest vectors are held against the majority share."""
+    vectors = table(spark, d, "embeddings", "vec_id", "label").select(F.col("vec_id").alias("node"), F.col("label").cast("int").alias("cls"))
+    found = []
+    for name, edges, labels, k in (("turns", turns(spark, d), turn_labels(spark, d), 3), ("trade", trade(spark, d), trade_labels(spark, d), 5), ("vectors", knn(spark, d), vectors, 10)):
+        edges, seeds = edges.repartition("dst").persist(), cut(hide_labels(labels, 0.5))
+        K = nearest_compat(normalize_counts(count_matrices(edges, seeds, k, 1)[0]))
+        got = accuracy(hold_out(predict(propagate(edges, seeds, K, s=0.5, **REC), k), labels, seeds)).first()
+        sizes = [r["count"] for r in labels.groupBy("cls").count().collect()]  # one row a class
+        found.append((name, got.correct / max(1, got.hidden), max(sizes, default=0) / max(1, sum(sizes))))
+        edges.unpersist()
+    return rows(spark, found, "graph string, accuracy double, majority double")
+
+
+def echo_on_tree(spark, d) -> DataFrame:
+    """The echo term on a forest, where every path back is an echo."""
+    edges, labels = tree(spark, d), tree_labels(spark, d)
+    seeds, K = cut(hide_labels(labels, 0.1)), 0.1 * np.ones((5, 5)) + 0.5 * np.eye(5)
+    found = []
+    for echo in (False, True):
+        got = accuracy(hold_out(predict(propagate(edges, seeds, K, s=0.5, r=4, beta=1.0, echo=echo), 5), labels, seeds)).first()
+        found.append((echo, got.correct / max(1, got.hidden)))
+    return rows(spark, found, "echo boolean, accuracy double")
+
+
+WORKLOADS = {"w_headline": headline, "w_sweep_steps": sweep_steps, "w_scaling_grid": scaling_grid, "w_ratio_clamped": ratio_clamped, "w_estimator_error": estimator_error, "w_degree_and_labels": degree_and_labels, "w_bias": bias, "w_three_estimators": three_estimators, "w_path_growth": path_growth, "w_weak_potential": weak_potential, "w_real_labels": real_labels, "w_echo_on_tree": echo_on_tree}
 assert set(members())
