@@ -149,3 +149,47 @@ def test_stream_equals_batch(spark, data, tmp_path):
     q.stop()
     batch = P.class_steps(events)
     assert sum(seen) == batch.count() and running.M.sum() == 2 * batch.count()
+
+
+def test_weighted_walks_equal_enumeration(spark):
+    pairs = [(0, 1, 2.0), (1, 2, 3.0), (2, 0, 5.0), (2, 3, 0.5), (3, 4, 4.0), (4, 2, 1.5)]
+    arcs = {(a, b): w for a, b, w in pairs} | {(b, a): w for a, b, w in pairs}
+    edges = normalise_edges(spark.createDataFrame(pairs, "a long, b long, w double"))
+    seeds = spark.createDataFrame([(0, 0), (2, 1), (4, 0)], "node long, cls int")
+    cls = {0: 0, 2: 1, 4: 0}
+    for l, N in enumerate(walks.weighted_hop_counts(edges, seeds, 2, 4), 1):
+        want = np.zeros((5, 2))
+        for path in itertools.product(range(5), repeat=l + 1):
+            steps = list(itertools.pairwise(path))
+            if all(s in arcs for s in steps) and all(x != z for x, z in zip(path, path[2:])) and path[-1] in cls:
+                want[path[0], cls[path[-1]]] += np.prod([arcs[s] for s in steps])
+        got = np.zeros((5, 2))
+        for r in N.collect():
+            got[r.node] = r[1:]
+        assert np.allclose(got, want)
+
+
+@pytest.mark.parametrize("most", [1, 2, 100])
+def test_spread_hubs_changes_no_belief(spark, most):
+    star = normalise_edges(spark.createDataFrame([(0, i, 1.0 + i) for i in range(1, 12)], "a long, b long, w double"))
+    seeds = spark.createDataFrame([(1, 0), (0, 1), (5, 2)], "node long, cls int")
+    plain, spread = ({r.node: r[1:] for r in propagate.propagate(star, seeds, K, beta=1.0, eps=0.3, r=3, echo=True, hub_edges=h).collect()} for h in (None, most))
+    assert plain.keys() == spread.keys() and all(np.allclose(plain[n], spread[n]) for n in plain)
+
+
+def test_laplacian_smoothness_is_the_sum_over_edges(spark, micro):
+    edges, _ = micro
+    b = spark.createDataFrame([(i, float(i), -float(i)) for i in range(6)], "node long, b0 double, b1 double")
+    want = sum(2 * (i - j) ** 2 for i, j in RING)
+    assert propagate.smoothness(edges, b, np.eye(2)).first()[0] == pytest.approx(want)
+
+
+def test_nearest_refuses_what_is_too_large(spark):
+    from compatgraph.sources.tables import nearest
+
+    v = spark.createDataFrame([(i, [1.0, float(i)]) for i in range(5)] + [(9, None)], "vec_id long, embedding array<float>")
+    assert {(r.a, r.b) for r in nearest(v, 1).collect()} == {(0, 1), (1, 2), (2, 3), (3, 4), (4, 3)}
+    with pytest.raises(ValueError):
+        nearest(v, 1, most=4)
+    hashed = nearest(v, 4, bits=2, tables=8)
+    assert hashed.count() == hashed.select("a", "b").distinct().count() <= 20 and nearest(v.limit(0), 2, bits=2).count() == 0
