@@ -165,6 +165,19 @@ def test_token_files(spark, docs):
         start += len(ids)
 
 
+def test_word_cache_equals_the_library():
+    """Words met before, words too long to keep, white space of all kinds, the marker code point, special tokens and slices of batches."""
+    import pyarrow as pa
+
+    enc = tokenfile.Encoder(P.path("byte_bpe_50k.json"))
+    hard = ["", None, "a\n\nb", " x", "x ", "  ", "\n", "a  b", "don't can't, 'tis", "x<|endoftext|>y z", "a \uffff b", "\uffff", "tab\there", "e\u0301\u0301 \xf1 \u4e2d\u6587 \U0001f600!", "w" * 500 + " " + "q!" * 300, "a\r\nb", "12 3,4 5.", "end.\nNext: 'll we'll", "\xa0x y\u3000z", say(400)]
+    want = [enc.whole(t or "") for t in hard]
+    for _ in range(2):
+        assert [bytes(x) for x in enc(pa.array(hard, pa.string()))] == want
+    assert [bytes(x) for x in enc(pa.array(hard, pa.string()).slice(3, 5))] == want[3:8]
+    assert enc(pa.array([], pa.string())) == [] and max(map(len, enc.cache.young)) <= tokenfile.LONGEST
+
+
 def test_mixing(spark):
     r = random.Random(2)
     rows = [(i, say(r.randint(1, 30), r), [None, "a", "b", "c"][0 if i % 97 == 0 else min(3, 1 + int(r.random() ** 3 * 3))]) for i in range(3000)]
