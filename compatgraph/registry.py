@@ -347,7 +347,7 @@ query("energy_reconstruct", _S2 + ", t as (select e.src as node, " + ", ".join(f
 _NEAR = "with v as (select vec_id, embedding::double[] as e from embeddings), c as (select x.vec_id as a, y.vec_id as b, round(list_dot_product(x.e, y.e) / sqrt(list_dot_product(x.e, x.e) * list_dot_product(y.e, y.e)), 6) as cos from v x, v y where x.vec_id <> y.vec_id), t as (select *, (row_number() over (partition by a order by cos desc, b))::int as pos from c qualify pos <= 5)"
 query("cosine_pairs", _NEAR + " select a, b, cos, pos from t")(lambda s, d: T.nearest(T.table(s, d, "embeddings", "vec_id", "embedding")))
 query("edges_knn", _NEAR + ", u as (select distinct least(a, b) as a, greatest(a, b) as b from t) select a as src, b as dst, 1.0::double as w from u union all select b, a, 1.0 from u")(lambda s, d: T.knn(s, d))
-query("knn_hashed")(lambda s, d: T.knn(s, d, bits=4, tables=6))
+query("knn_hashed")(lambda s, d: T.knn(s, d, bits=3, tables=12))
 query("pair_counts_docs", O.graph("docs") + " select x.quality as c, y.quality as d, count(*) as cnt from edges e join labels x on x.doc_id = e.src join labels y on y.doc_id = e.dst group by all")(
     lambda s, d: (lambda q: T.same_text(s, d).join(q.toDF("src", "c"), "src").join(q.toDF("dst", "d"), "dst").groupBy("c", "d").agg(F.count(F.lit(1)).alias("cnt")))(T.table(s, d, "labels", "doc_id", "quality"))
 )
