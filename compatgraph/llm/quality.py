@@ -3,8 +3,10 @@
 Base counts follow fixed rules.  The method compares a document's histogram of character classes and its
 histogram of common words with references by the Jensen-Shannon distance (base 2, 0 to 1).  References are the mean
 histograms of each ``lang`` over all documents; a document is held against the nearest one, whatever its own
-``lang`` says.  Guards: the character test needs ``min_chars`` characters, the word test ``min_words`` words;
-shorter documents pass that test.
+``lang`` says.  A document is odd by its characters alone (above ``max_char``), by its words alone (above ``max_word``), or by
+both at once (above ``BOTH``), which tells tables of words from text.  Guards: the character test needs ``min_chars``
+bytes, the word test ``min_words`` words, the joint test ``BOTH_WORDS`` words, since the histograms of short texts
+are far from any reference by chance; shorter documents pass that test.
 
 Null texts have no words and fail the base rule.  Null langs form one more reference.  Rows are judged on
 their own, so repeated rows get equal verdicts; an empty table gives an empty result.
@@ -32,6 +34,8 @@ COMMON = (
 INDEX = {w.encode(): i for i, w in enumerate(dict.fromkeys(COMMON))}
 N_WORDS = len(INDEX) + 1
 N_CLASSES = 8
+#: Joint test: distances of characters and of words that clean text seldom reaches together, and the words it needs.
+BOTH, BOTH_WORDS = (0.15, 0.28), 50
 #: Class of each byte: lower, upper, digit, white space, sentence marks, symbols of the base rule, other ASCII, beyond ASCII.
 CLASS = np.full(256, 6, np.uint8)
 for _chars, _k in ((b"abcdefghijklmnopqrstuvwxyz", 0), (b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", 1), (b"0123456789", 2), (WHITE, 3), (b".,;:!?'\"()-", 4), (SYMBOLS, 5), (bytes(range(128, 256)), 7)):
@@ -115,12 +119,12 @@ def _judge(batch: pa.RecordBatch, refs: dict, min_chars: int, min_words: int, ma
         chars, common = histograms(raw, words)
         failed = n < 10 or 100 * counts[3] > 20 * n
         c, w = js_distance(chars, char_refs), js_distance(common, word_refs)
-        odd = len(raw) >= min_chars and c > max_char or n >= min_words and w > max_word
+        odd = len(raw) >= min_chars and c > max_char or n >= min_words and w > max_word or n >= BOTH_WORDS and c > BOTH[0] and w > BOTH[1]
         rows.append((n, *counts, failed, c, w, not failed and not odd))
     return rows
 
 
-def judge(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 150, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
+def judge(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 75, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
     """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, char_js, word_js, kept."""
     refs = refs or references(docs)
 
@@ -133,7 +137,7 @@ def judge(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, mi
     return map_text(narrow(docs, "doc_id", "text"), run, schema)
 
 
-def keep(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 150, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
+def keep(docs: DataFrame, refs: dict | None = None, *, min_chars: int = 200, min_words: int = 75, max_char: float = 0.30, max_word: float = 0.30) -> DataFrame:
     """The rows of ``docs`` that ``judge`` keeps, with all their columns: a map, no shuffle."""
     refs = refs or references(docs)
 

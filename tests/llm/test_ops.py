@@ -204,6 +204,15 @@ def test_quality(docs):
     assert {r.doc_id for r in quality.keep(docs).collect()} == {r.doc_id for r in quality.judge(docs).filter("kept").collect()}
 
 
+def test_quality_rejects_labelled_junk(spark):
+    at = "/root/testdata/sf0.1"
+    labels = spark.read.parquet(f"{at}/labels.parquet").select("doc_id", "quality")
+    got = quality.judge(spark.read.parquet(f"{at}/documents.parquet")).join(labels, "doc_id").filter("not base_failed").select("doc_id", "quality", "kept").collect()
+    junk, clean = [r.kept for r in got if r.quality == 0], [r.kept for r in got if r.quality == 1]
+    assert not any(r.kept for r in got if r.doc_id in (128, 557, 4296, 6981))  # words between bars
+    assert sum(junk) <= 0.08 * len(junk) and clean.count(False) <= 0.002 * len(clean)
+
+
 def test_personal_data(spark):
     t = "mail é a.b@c.de@x.org, @no, 1.2.3.4.5.6.7.8 999.1.1.1 +1 (017) 555-7713 and 4111 1111 1111 1111 or 4111111111111112, " + "9" * 3000 + " " + "a" * 20000
     (r,) = pii.find(spark.createDataFrame([(1, t)], "doc_id long, text string"), with_text=True).collect()
