@@ -59,18 +59,25 @@ def copart(spark, d) -> DataFrame:
     return normalise_edges(l.join(r, "l_orderkey").filter("l_partkey < b").select(F.col("l_partkey").alias("a"), "b", F.lit(1.0).alias("w")))
 
 
+def turn_node(conv, turn):
+    """Node id of a turn: packed and not negative within ``TURN_SPAN`` turns of a conversation, else negative by a 63-bit hash of both keys."""
+    packed = turn.between(0, TURN_SPAN - 1) & conv.between(0, (1 << 51) - 1)
+    hashed = F.xxhash64(conv.cast("long"), turn.cast("long")).bitwiseOR(F.lit(-(1 << 63)))
+    return F.when(packed, conv * TURN_SPAN + turn).when(conv.isNotNull() & turn.isNotNull(), hashed)
+
+
 def turns(spark, d) -> DataFrame:
     """Consecutive turns of a conversation."""
     c = table(spark, d, "conversations", "conv_id", "turn")
-    node = F.col("conv_id") * TURN_SPAN + F.col("turn")
     nxt = F.lead("turn").over(W.partitionBy("conv_id").orderBy("turn"))
-    return normalise_edges(c.select(node.alias("a"), (F.col("conv_id") * TURN_SPAN + nxt).alias("b"), F.lit(1.0).alias("w")).filter("b is not null"))
+    pairs = c.select("conv_id", "turn", nxt.alias("next"))
+    return normalise_edges(pairs.select(turn_node(F.col("conv_id"), F.col("turn")).alias("a"), turn_node(F.col("conv_id"), F.col("next")).alias("b"), F.lit(1.0).alias("w")).filter("b is not null"))
 
 
 def turn_labels(spark, d) -> DataFrame:
     """assistant 0, system 1, user 2."""
     c = table(spark, d, "conversations", "conv_id", "turn", "role")
-    return c.select((F.col("conv_id") * TURN_SPAN + F.col("turn")).alias("node"), F.expr("case role when 'assistant' then 0 when 'system' then 1 else 2 end").alias("cls"))
+    return c.select(turn_node(F.col("conv_id"), F.col("turn")).alias("node"), F.expr("case role when 'assistant' then 0 when 'system' then 1 else 2 end").alias("cls"))
 
 
 def steps(spark, d) -> DataFrame:

@@ -193,3 +193,13 @@ def test_nearest_refuses_what_is_too_large(spark):
         nearest(v, 1, most=4)
     hashed = nearest(v, 4, bits=2, tables=8)
     assert hashed.count() == hashed.select("a", "b").distinct().count() <= 20 and nearest(v.limit(0), 2, bits=2).count() == 0
+
+
+def test_turns_of_long_conversations_stay_apart(spark, tmp_path):
+    from compatgraph.sources.tables import TURN_SPAN, turn_labels, turns
+
+    rows = [(c, t, ("assistant", "system")[c - 1]) for c in (1, 2) for t in range(TURN_SPAN + 3)]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string").write.parquet(f"{tmp_path}/conversations.parquet")
+    labels, edges = {r.node: r.cls for r in turn_labels(spark, tmp_path).collect()}, turns(spark, tmp_path).collect()
+    assert len(labels) == len(rows) and labels[TURN_SPAN] == 0 and labels[2 * TURN_SPAN] == 1
+    assert len(edges) == 2 * 2 * (TURN_SPAN + 2) and all(labels[r.src] == labels[r.dst] and r.w == 1 for r in edges)
