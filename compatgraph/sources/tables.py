@@ -6,7 +6,10 @@ Two key spaces share one id space by packing: ``2 * id`` and ``2 * id + 1``.
 
 from __future__ import annotations
 
+from decimal import ROUND_HALF_UP, Decimal
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -126,28 +129,130 @@ def cosine(a: str, b: str):
     return product(a, b) / F.sqrt(product(a, a) * product(b, b))
 
 
-def nearest(vectors: DataFrame, k: int = 5, *, bits: int = 0, tables: int = 1, seed: int = 1, most: int = 10_000) -> DataFrame:
+def _rounded(cos: np.ndarray) -> np.ndarray:
+    """Six decimals, halves away from zero by the shortest decimal form, as the JVM rounds."""
+    scaled = np.abs(cos) * 1e6
+    out = np.floor(scaled + 0.5)
+    for i in np.flatnonzero(np.abs(scaled - np.floor(scaled) - 0.5) < 1e-6):
+        out[i] = float(Decimal(repr(float(abs(cos[i])))).scaleb(6).quantize(Decimal(1), ROUND_HALF_UP))
+    return np.copysign(out / 1e6, cos)
+
+
+class _Best:
+    """The ``k`` nearest of each query vector among those met so far."""
+
+    def __init__(self, k: int):
+        self.k, self.ids, self.x = k, np.empty(0, np.int64), []
+        self.row, self.cos, self.b = np.empty(0, np.int64), np.empty(0), np.empty(0, np.int64)
+
+    def queries(self, ids: np.ndarray, x: np.ndarray) -> None:
+        self.ids = np.concatenate([self.ids, ids])
+        self.x.append(x)
+
+    @staticmethod
+    def scaled(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Columns, sums of squares in order of the elements, unit rows."""
+        columns, squares = np.ascontiguousarray(x.T), np.zeros(len(x))
+        for c in columns:
+            squares += c * c
+        if not (squares > 0).all():
+            raise ValueError("a vector without direction has no cosine")
+        return columns, squares, x / np.sqrt(squares)[:, None]
+
+    def meet(self, ids: np.ndarray, x: np.ndarray, block: int = 1024) -> None:
+        if isinstance(self.x, list):
+            self.x = self.scaled(np.concatenate(self.x)) if self.x else None
+            self.least = np.full(len(self.ids), -np.inf)
+        if self.x is None:
+            return
+        for i in range(0, len(ids), block):
+            other = self.scaled(x[i : i + block])
+            for q in range(0, len(self.ids), block):
+                self._block(q, q + block, ids[i : i + block], other)
+
+    def _block(self, lo: int, hi: int, ids: np.ndarray, other: tuple) -> None:
+        sim = self.x[2][lo:hi] @ other[2].T
+        sim[self.ids[lo:hi, None] == ids] = -np.inf
+        least = self.least[lo:hi]
+        if np.isinf(least).any() and len(ids) > self.k:
+            least = np.maximum(least, np.partition(sim, -self.k, axis=1)[:, -self.k])
+        # rounding moves a cosine by half a millionth at most
+        r, c = np.nonzero((sim >= least[:, None] - 2e-6) & (sim > -np.inf))
+        if not len(r):
+            return
+        r, dot = r + lo, np.zeros(len(r))
+        for u, v in zip(self.x[0], other[0], strict=True):
+            dot += u[r] * v[c]
+        own = (self.row >= lo) & (self.row < hi)
+        row = np.concatenate([self.row[own], r])
+        cos = np.concatenate([self.cos[own], _rounded(dot / np.sqrt(self.x[1][r] * other[1][c]))])
+        b = np.concatenate([self.b[own], ids[c]])
+        order = np.lexsort((b, -cos, row))
+        row, cos, b = row[order], cos[order], b[order]
+        pos = np.arange(len(row)) - np.searchsorted(row, row)
+        last, few = row[pos == self.k - 1], pos < self.k
+        self.least[last] = cos[pos == self.k - 1]
+        self.row, self.cos, self.b = (np.concatenate([old[~own], found[few]]) for old, found in ((self.row, row), (self.cos, cos), (self.b, b)))
+
+    def batch(self) -> pa.RecordBatch:
+        return pa.RecordBatch.from_pydict({"a": self.ids[self.row], "b": self.b, "cos": self.cos})
+
+
+def _all_pairs(v: DataFrame, k: int, n: int) -> DataFrame:
+    """a, b, cos with the ``k`` nearest of each row and no others: groups of query vectors, each streamed past by all vectors."""
+    groups = max(12, -(-n // 20_000))
+    own = v.select(F.pmod(F.xxhash64("vec_id"), F.lit(groups)).cast("int").alias("g"), F.lit(0).alias("kind"), F.col("vec_id").cast("long").alias("id"), "embedding")
+    met = v.select(F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g"), F.lit(1).alias("kind"), F.col("vec_id").cast("long").alias("id"), "embedding")
+
+    def run(batches):
+        at, best = None, None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            g, kind, ids = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
+            flat = batch.column(3).flatten()
+            if flat.null_count or len(flat) % max(1, len(g)) or len(set(batch.column(3).value_lengths().to_pylist())) > 1:
+                raise ValueError("vectors of several lengths, or with null elements")
+            x = flat.to_numpy(zero_copy_only=False).astype(float).reshape(len(g), -1)
+            cuts = [0, *(np.flatnonzero((np.diff(g) != 0) | (np.diff(kind) != 0)) + 1).tolist(), len(g)]
+            for lo, hi in zip(cuts, cuts[1:]):
+                if lo == hi:
+                    continue
+                if g[lo] != at:
+                    if best is not None:
+                        yield best.batch()
+                    at, best = g[lo], _Best(k)
+                (best.meet if kind[lo] else best.queries)(ids[lo:hi], x[lo:hi])
+        if best is not None:
+            yield best.batch()
+
+    return own.unionByName(met).repartition(2 * groups, "g").sortWithinPartitions("g", "kind").mapInArrow(run, "a long, b long, cos double")
+
+
+def nearest(vectors: DataFrame, k: int = 5, *, bits: int = 0, tables: int = 1, seed: int = 1, most: int | None = None) -> DataFrame:
     """a, b, cos, pos: the ``k`` nearest of each vector of (vec_id, embedding) by cosine, ties by id.
 
     With ``bits`` only vectors that share the signs of that many random projections in one of ``tables`` hash tables meet: an
-    equi-join, approximate.  Without, all meet: exact, refused beyond ``most`` vectors.
+    equi-join, approximate.  Without, all meet, in blocks: exact at every size, with work that grows as its square; ``most`` refuses
+    larger tables for callers that want that.  Vectors need one length and a direction.
     """
     v = vectors.filter("embedding is not null and size(embedding) > 0").select("vec_id", "embedding")
+    best = W.partitionBy("a").orderBy(F.desc("cos"), "b")
     if not bits:
+        v = v.filter("vec_id is not null")
         n = v.count()
-        if n > most:
+        if most is not None and n > most:
             raise ValueError(f"{n} vectors: the exact way is for at most {most}, give bits")
-        keyed = v.withColumn("key", F.lit("0"))
-    else:
-        first = v.first()
-        planes = np.random.default_rng(seed).standard_normal((tables, bits, len(first.embedding) if first else 1)).round(6)
-        sign = lambda plane: (F.aggregate(F.zip_with("embedding", F.lit(plane.tolist()), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) > 0).cast("string")
-        keyed = v.withColumn("key", F.explode(F.array(*[F.concat(F.lit(f"{t}:"), *[F.substring(sign(p), 1, 1) for p in planes[t]]) for t in range(tables)])))
+        return _all_pairs(v, k, n).withColumn("pos", F.row_number().over(best)).filter(F.col("pos") <= k)
+    first = v.first()
+    planes = np.random.default_rng(seed).standard_normal((tables, bits, len(first.embedding) if first else 1)).round(6)
+    sign = lambda plane: (F.aggregate(F.zip_with("embedding", F.lit(plane.tolist()), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) > 0).cast("string")
+    keyed = v.withColumn("key", F.explode(F.array(*[F.concat(F.lit(f"{t}:"), *[F.substring(sign(p), 1, 1) for p in planes[t]]) for t in range(tables)])))
     met = keyed.select(F.col("vec_id").alias("a"), F.col("embedding").alias("x"), "key").join(keyed.select(F.col("vec_id").alias("b"), F.col("embedding").alias("y"), "key"), "key").filter("a <> b")
-    if tables > 1 and bits:
+    if tables > 1:
         met = met.dropDuplicates(["a", "b"])
     found = met.select("a", "b", F.round(cosine("x", "y"), 6).alias("cos"))
-    return found.withColumn("pos", F.row_number().over(W.partitionBy("a").orderBy(F.desc("cos"), "b"))).filter(F.col("pos") <= k)
+    return found.withColumn("pos", F.row_number().over(best)).filter(F.col("pos") <= k)
 
 
 def knn(spark, d, k: int = 5, **options) -> DataFrame:

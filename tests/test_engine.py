@@ -203,3 +203,21 @@ def test_turns_of_long_conversations_stay_apart(spark, tmp_path):
     labels, edges = {r.node: r.cls for r in turn_labels(spark, tmp_path).collect()}, turns(spark, tmp_path).collect()
     assert len(labels) == len(rows) and labels[TURN_SPAN] == 0 and labels[2 * TURN_SPAN] == 1
     assert len(edges) == 2 * 2 * (TURN_SPAN + 2) and all(labels[r.src] == labels[r.dst] and r.w == 1 for r in edges)
+
+
+def test_nearest_is_exact_beyond_ten_thousand_vectors(spark):
+    from compatgraph.sources.tables import nearest
+
+    r = np.random.default_rng(6)
+    x = r.standard_normal((10_500, 8)).astype(np.float32)
+    x[:600] = x[0]  # ties by id
+    got = {}
+    for row in nearest(spark.createDataFrame(list(enumerate(x.tolist())), "vec_id long, embedding array<float>"), 3).collect():
+        got.setdefault(row.a, []).append((row.pos, row.b, row.cos))
+    assert len(got) == len(x)
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1)[:, None]
+    for a in [*range(5), *range(590, 610), *range(9_000, 10_500, 50)]:
+        cos = (unit @ unit[a]).round(6)
+        cos[a] = -2
+        want = sorted(range(len(x)), key=lambda b: (-cos[b], b))[:3]
+        assert [b for _, b, _ in sorted(got[a])] == want and np.allclose([c for *_, c in sorted(got[a])], cos[want], atol=2e-6)
