@@ -4,6 +4,9 @@ Base spans (assign, access, hex) follow fixed patterns and always stay.  Near a
 characters is a candidate.  Its novelty is the number of bytes it adds to the compressed surroundings, with a
 dictionary of identifiers and the surrounding text as what the compressor already knows, over its length: names and
 words repeat the dictionary or the text, random keys do not.  Candidates of high novelty that mix character classes are reported as ``novel``.
+A candidate has 16 characters or more, without an upper bound, and a digit among them: runs of letters alone are never
+reported.  The compressor packs a long random run to the bits of its alphabet, so beyond ``SHORT`` characters the
+novelty asked for is a share of those bits.
 
 Offsets are in code points; null texts count as empty; each row is read on its own.  Every pattern is linear in the text.
 """
@@ -11,6 +14,7 @@ Offsets are in code points; null texts count as empty; each row is read on its o
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 
 import pyarrow as pa
@@ -22,11 +26,12 @@ KINDS = ("assign", "access", "hex", "novel")
 ASSIGN = re.compile(r"""(?:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"(?<![0-9a-f])[0-9a-f]{16,}")
-LONG = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,200}(?![A-Za-z0-9+/_=-])")
+LONG = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,}+")
 # Words near which a key-like run is looked at, and identifiers that prime the compressor.
 SENSITIVE = "password passwd secret token apikey api_key access_key private_key credential bearer authorization auth_key passphrase client_key signing_key".split()
 KNOWN = "password secret token api_key apiKey access_key accessKeyId secretAccessKey private_key client_secret clientId authorization bearer credential config environment settings database connection string username hostname localhost example default function return import export public static final class const value result request response header content type application json http https www com org version number error message index length object array boolean integer null undefined true false test sample placeholder changeme your_key_here xxxxxxxxxxxxxxxx 0123456789abcdef ABCDEFGHIJKLMNOPQRSTUVWXYZ abcdefghijklmnopqrstuvwxyz license creative commons general public"
 BEFORE, AROUND, NOVEL = 80, 400, 0.8
+SHORT, OF_BITS = 200, 0.9
 _HEX_RUN = bytes(1 if chr(i) in "0123456789abcdef" else 0 for i in range(256))
 
 
@@ -65,7 +70,8 @@ def novel_spans(text: str, lowered: bytes, base: list[tuple[int, int, str]], nov
         if mixed < 2 or not any("0" <= c <= "9" for c in s) or any(a < y and x < b for x, y, _ in base):
             continue
         before = text[max(0, a - BEFORE) : a].lower()
-        if any(w in before for w in SENSITIVE) and novelty(text[max(0, a - AROUND) : a] + text[b : b + AROUND], s) >= NOVEL:
+        least = NOVEL if b - a <= SHORT else min(NOVEL, OF_BITS * math.log2(len(set(s))) / 8)
+        if any(w in before for w in SENSITIVE) and novelty(text[max(0, a - AROUND) : a] + text[b : b + AROUND], s) >= least:
             out.append((a, b, "novel"))
     return out
 

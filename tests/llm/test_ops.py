@@ -232,6 +232,17 @@ def test_secrets(spark):
     assert r.spans == ""
 
 
+def test_secrets_of_any_length():
+    r, novelty = random.Random(8), secrets.Novelty()
+    base64 = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
+    found = lambda t: secrets.novel_spans(t, t.encode().lower(), [], novelty)
+    for chars, n in ((base64, 200), (base64, 201), (base64, 300), (base64, 1_600), (base64, 20_000), ("0123456789ABCDEF", 400)):
+        key = "".join(r.choice(chars) for _ in range(n))
+        assert found(f"authorization: bearer {key} and more") == [(22, 22 + n, "novel")]
+    assert found("the token is " + "/".join(f"userAccount{i}Settings" for i in range(60)) + " here") == []
+    assert found("the token is " + "Ab1-" * 100_000) == []
+
+
 def test_levenshtein_trie():
     def distance(a, b):
         row = list(range(len(b) + 1))
