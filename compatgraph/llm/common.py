@@ -16,9 +16,11 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors see: ``spark.checkpoint.dir``; one of our own only where it is unset (tests, one machine)."""
+    """The folder that all executors see: ``spark.checkpoint.dir``.  On one machine (``local[n]``) one of our own where it is unset."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors see")
         at = f"file:///tmp/checkpoints/{spark.sparkContext.applicationId}"
     return at.rstrip("/")
 
@@ -70,22 +72,48 @@ def col(batch: pa.RecordBatch, name: str) -> pa.Array:
 class Recent:
     """A cache in two generations: when the young one is full it becomes the old one, and what is used again moves back.
 
-    Frequent keys stay, and memory is bounded by two generations (and the keys of one slice).
+    A generation is full at ``most`` keys, or where its keys hold ``most_chars`` characters.  Frequent keys stay, and memory is bounded by
+    two generations and the keys of one slice, which holds ``SLICE_BYTES`` or one text.
     """
 
-    def __init__(self, most: int):
-        self.most, self.young, self.old = most, {}, {}
+    def __init__(self, most: int, most_chars: int = 16 << 20):
+        self.most, self.most_chars, self.chars, self.young, self.old = most, most_chars, 0, {}, {}
 
     def missing(self, keys: set) -> set:
         """Keys to compute and put into ``young``; afterwards all ``keys`` are there."""
         new = keys.difference(self.young)
-        if len(self.young) + len(new) > self.most:
+        more = sum(map(len, new))
+        if len(self.young) + len(new) > self.most or self.chars + more > self.most_chars:
             self.old, self.young, new = self.young, {}, keys
+            self.chars, more = 0, sum(map(len, keys))
+        self.chars += more
         again = [k for k in new if k in self.old]
         self.young.update(zip(again, map(self.old.__getitem__, again), strict=True))
         return new.difference(again)
 
 
+#: A key is heavy if it holds over one in ``SHARES`` of all rows: at most ``SHARES`` keys are, whatever the input, so they may be broadcast.
+SHARES, SALTS = 1_000, 64
+
+
+def heavy(table: DataFrame, key: str, count: str) -> DataFrame:
+    """The heavy keys of a table of one row a key with its number of rows; at most ``SHARES`` of them."""
+    total = table.agg(F.sum(count)).first()[0] or 0
+    return table.filter(F.col(count) * SHARES > total).select(key)
+
+
+def join_spread(rows: DataFrame, table: DataFrame, key: str, busy: DataFrame) -> DataFrame:
+    """Inner join of rows to a table of one row a key; the rows of the ``busy`` keys go to ``SALTS`` tasks each.
+
+    Both sides are narrow tables of ours, so the two names below are free.
+    """
+    known = F.broadcast(busy.withColumn("_busy", F.lit(True)))
+    dealt = rows.join(known, key, "left").withColumn("_salt", F.when(F.col("_busy"), F.pmod(F.monotonically_increasing_id(), F.lit(SALTS))).otherwise(0).cast("int")).drop("_busy")
+    copies = F.when(F.col("_busy"), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+    copied = table.join(known, key, "left").withColumn("_salt", F.explode(copies)).drop("_busy")
+    return dealt.join(copied, [key, "_salt"]).drop("_salt")
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

@@ -80,7 +80,7 @@ edge as (select r.source, max(case when upto <= target - copies * source_size or
 select d.doc_id, d.size, w.source_size, w.target, (d.size * (w.copies + case when e.through is not null and d.h <= e.through then 1 else 0 end))::bigint as taken
 from sized d join wanted w on d.source is not distinct from w.source left join edge e on e.source is not distinct from d.source""",
     "op9_exact_dedup": r"""
-select doc_id, min(doc_id) over g as keep_id, count(*) over g as group_size, doc_id is not distinct from min(doc_id) over g as kept, sha256(norm) as text_sha256
+select doc_id, min(doc_id) over g as keep_id, count(*) over g as group_size, row_number() over (partition by norm order by doc_id nulls last) = 1 as kept, sha256(norm) as text_sha256
 from (select doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') as norm from documents) window g as (partition by norm)""",
 }
 
