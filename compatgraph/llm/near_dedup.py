@@ -16,8 +16,11 @@ sketch has one bit for each of ``PARITY`` cells, set if an odd number of shingle
 many shingles as their sketches differ in bits, and linked sets differ in at most a seventh of their sizes' sum (at 75 %).
 So no key's pairs are all emitted, and no link between components is lost.
 
-Null and empty texts have the empty set and are linked with nothing.  Rows of one doc_id are one document.  Null doc_ids
-count as one document below all others.
+Nodes get numbers of their own when they are written down; doc_ids are only carried and compared, so they may have any type with
+an order.  Null and empty texts have the empty set, are linked with nothing and skip every join.  Null doc_ids sort below all others
+(their component_id is null).  Rows that share a doc_id are each judged by their own text: those of a component's smallest doc_id are
+all kept, so callers that want one row need doc_ids that differ.  An empty table gives an empty result; very long texts
+are read whole; other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -29,14 +32,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import col, map_text, materialise, texts
+from .common import col, heavy, join_spread, map_text, materialise, texts
 from .components import connected
 from .substring_dedup import gram_hashes, mixed, word_hashes
 
 SHINGLE, HASHES, CHUNKS, DISTANCE, BLOCK, PARITY = 5, 64, 16, 31, 4_000, 2_048
-#: Ids broadcast at most (8 bytes each); beyond it the texts are shuffled to them.
-BROADCAST_IDS = 2_000_000
-NONE = -(2**63)
 _SEEDS = np.random.default_rng(20_240_229).integers(1, 2**63, (2, HASHES), dtype=np.uint64) | np.uint64(1)
 
 
@@ -173,24 +173,30 @@ def _across(percent: int):
 
 def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every document; ``percent`` is the least similarity (75 at least)."""
-    rows = docs.select(F.coalesce(F.col("`doc_id`"), F.lit(NONE)).alias("did"), F.col("`text`").alias("text"))
-    signed = materialise(map_text(rows, _signed, "did long, n long, digest binary, sig binary, odd binary"), "near-signatures")
-    nodes = signed.filter("n > 0").groupBy("digest").agg(F.min("did").alias("id"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("odd").alias("odd"))
-    nodes = materialise(nodes, "near-nodes")
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    # a struct: null doc_ids compare as the smallest and take part in minima
+    rows = docs.select(F.struct(F.col("`doc_id`").alias("id")).alias("did"), F.col("`text`").alias("text"))
+    signed = materialise(map_text(rows, _signed, f"did struct<id:{kind}>, n long, digest binary, sig binary, odd binary"), "near-signatures")
+    nodes = signed.filter("n > 0").groupBy("digest").agg(F.min("did").alias("first"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("odd").alias("odd"))
+    nodes = materialise(nodes.withColumn("id", F.monotonically_increasing_id()), "near-nodes")
     keys = nodes.select("id", "sig").mapInArrow(_keyed, "key long, id long")
     shared = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("top"), F.count(F.lit(1)).alias("size")).filter("lead < top").drop("top")
     index = materialise(keys.join(shared, "key"), "near-index")
 
-    some = materialise(index.select("id").distinct(), "near-candidates")
-    few = some.count() <= BROADCAST_IDS
-    own = rows.join(F.broadcast(some) if few else some, rows.did == some.id, "left_semi")
+    # the texts of the nodes that share a key: Catalyst broadcasts the ids only below the session's threshold of size
+    some = nodes.join(index.select("id").distinct(), "id", "left_semi").select("first", "id", F.col("digest").alias("own"))
+    some = materialise(some, "near-candidates")
+    own = rows.join(some, rows.did == some["first"]).select("id", "own", "text")
 
     def kept_sets(batch: pa.RecordBatch) -> pa.RecordBatch:
-        sets = shingle_sets(texts(batch))
-        return pa.RecordBatch.from_arrays([col(batch, "did"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["did", "set"])
-
-    # the node's own text only: of several rows of one doc_id each has its set
-    sets = materialise(map_text(own, kept_sets, "did long, set binary"), "near-sets")
+        sets = [x.tobytes() for x in shingle_sets(texts(batch))]
+        # of rows that share a doc_id only those of the node's text count
+        mine = [hashlib.blake2b(x, digest_size=16).digest() == d for x, d in zip(sets, col(batch, "own").to_pylist(), strict=True)]
+        return pa.RecordBatch.from_arrays([col(batch, "id"), pa.array(sets, pa.binary())], names=["id", "set"]).filter(pa.array(mine, pa.bool_()))
+
+    sets = materialise(map_text(own, kept_sets, "id long, set binary"), "near-sets")
+    if sets.count() > some.count():  # wholly repeated rows: one of each
+        sets = materialise(sets.dropDuplicates(["id"]), "near-sets")
     facts = nodes.select("id", "n", "sig", "odd")
 
     def close(pairs: DataFrame) -> DataFrame:
@@ -199,7 +205,7 @@ def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -
         return pairs.mapInArrow(_close(percent), "a long, b long").distinct()
 
     def confirm(pairs: DataFrame) -> DataFrame:
-        a, b = sets.select(F.col("did").alias("a"), F.col("set").alias("xa")), sets.select(F.col("did").alias("b"), F.col("set").alias("xb"))
+        a, b = sets.select(F.col("id").alias("a"), F.col("set").alias("xa")), sets.select(F.col("id").alias("b"), F.col("set").alias("xb"))
         return pairs.join(a, "a").join(b, "b").select("a", "xa", "b", "xb").mapInArrow(_linked(percent), "a long, b long").distinct()
 
     stars = close(index.filter("id <> lead").select(F.col("lead").alias("a"), F.col("id").alias("b")).distinct())
@@ -215,7 +221,9 @@ def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -
     more = materialise(confirm(rest), "near-links")
     comps = connected(links.unionByName(more))
 
-    member = signed.select("did", "n", "digest").join(nodes.select("digest", F.col("id").alias("rep")), "digest", "left").join(comps.withColumnRenamed("node", "rep"), "rep", "left")
-    comp = F.coalesce("comp", "rep", "did")
-    # one component for a doc_id, whatever its rows
-    return member.select(F.when(F.col("did") != NONE, F.col("did")).alias("doc_id"), F.col("n").alias("n_shingles"), F.when(comp != NONE, comp).alias("component_id"), (F.col("did") == comp).alias("kept"))
+    tied = nodes.select("id", "digest", "first", "copies").join(comps.withColumnRenamed("node", "id"), "id", "left")
+    lowest = tied.filter("comp is not null").groupBy("comp").agg(F.min("first").alias("low"))
+    places = materialise(tied.join(lowest, "comp", "left").select("digest", "copies", F.coalesce("low", "first").alias("low")), "near-places")
+    found = join_spread(signed.filter("n > 0").select("did", "n", "digest"), places.drop("copies"), "digest", heavy(places, "digest", "copies"))
+    out = found.select("did", "n", "low").unionByName(signed.filter("n = 0").select("did", "n", F.col("did").alias("low")))
+    return out.select(F.col("did.id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("low.id").alias("component_id"), F.col("did.id").eqNullSafe(F.col("low.id")).alias("kept"))
