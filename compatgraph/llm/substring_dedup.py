@@ -8,11 +8,12 @@ minimiser's hash), and a super-k-mer whose bucket holds nothing else has only un
 1. Buckets are counted (narrow rows, combined in the map tasks).  Those with one super-k-mer are done.
 2. The others' super-k-mers travel as one packed string each to their bucket, where sorting the windows counts them
    exactly.  A bucket of more than ``hot`` strings is not gathered: its windows are counted by digest, combined in the
-   map tasks, and looked up by a join, so no task gets a whole hot bucket.
+   map tasks, and looked up by a join that spreads the windows of a frequent digest, so no task gets a whole hot bucket or window.
 3. The repeated windows come back as word ranges, and the covered words are removed.
 
 Null and empty texts have no words.  Documents of fewer than ``k`` words have no window.  Repeated rows repeat each
-other's windows and lose them.  Rows are told apart by doc_id (nulls alike) and text hash.
+other's windows and lose them.  Rows are told apart by doc_id (nulls alike) and text hash.  An empty table gives an empty
+result; very long texts are cut into super-k-mers whole; other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import col, map_text, materialise, texts
+from .common import col, heavy, join_spread, map_text, materialise, texts
 
 K, M, HOT = 35, 8, 20_000
 _MUL = np.uint64(0x9E3779B97F4A7C15)
@@ -179,8 +180,9 @@ def remove_repeats(docs: DataFrame, *, k: int = K, m: int = M, hot: int = HOT, w
             return pa.RecordBatch.from_arrays([pa.array(digest, pa.binary()), did.take(pa.array(row)), th.take(pa.array(row)), pa.array(first[row] + np.array(at, np.int64))], names=["digest", "did", "th", "a"])
 
         windows = map_text(by_document(hot_keys), lambda b: packed(b, single), "digest binary, did long, th long, a long")
-        twice = windows.groupBy("digest").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("digest")
-        ranges = ranges.unionByName(windows.join(twice, "digest", "left_semi").select("did", "th", "a", (F.col("a") + k).alias("b")))
+        twice = materialise(windows.groupBy("digest").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "substring-windows")
+        met = join_spread(windows, twice.select("digest"), "digest", heavy(twice, "digest", "n"))
+        ranges = ranges.unionByName(met.select("did", "th", "a", (F.col("a") + k).alias("b")))
 
     def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
         out = []
