@@ -6,8 +6,9 @@ pair of a word is left; an ordered aggregation turns ids back into bytes.  Piece
 in a bounded cache per Python worker, so a piece is contracted about once per task.
 
 Null texts count as empty (no tokens, empty decoding); repeated rows give repeated results; other
-columns are ignored.  A piece longer than ``LONG_PIECE`` bytes would need one recursion round for
-each contraction over all its rows, so it is contracted by the same rule with a heap instead.
+columns are ignored, and an empty table gives an empty result.  A round of the recursion handles all rows of a batch, so a batch holds words of
+like length and ``ROUND_BYTES`` bytes at most, or one word.  A word needs a round for each contraction, which makes the recursion quadratic in
+its bytes; a piece longer than ``LONG_PIECE`` bytes is contracted by the same rule with a heap instead.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame
 
 from .common import Recent, col, map_text, narrow, texts
 
-LONG_PIECE = 256
+LONG_PIECE, ROUND_BYTES = 1_024, 2 << 20
 #: Pieces in a generation of a worker's cache: a bound on memory, never on what is encoded.
 CACHE_PIECES = 400_000
 
@@ -60,7 +61,7 @@ class Coder:
 
         self.split, self.ranks = regex.compile(pattern).findall, ranks
         self.byte = [ranks[bytes([i])] for i in range(256)]
-        self.con = duckdb.connect(config={"threads": 1, "memory_limit": "400MB"})
+        self.con = duckdb.connect(config={"threads": 1, "memory_limit": "400MB", "temp_directory": ""})  # batches are bounded, nothing spills
         pairs = [(ranks[b[:i]] << 20 | ranks[b[i:]], k) for b, k in ranks.items() for i in range(1, len(b)) if b[:i] in ranks and b[i:] in ranks]
         self.con.register("pairs_in", pa.table({"pr": [p for p, _ in pairs], "k": pa.array([k for _, k in pairs], pa.int32())}))
         self.con.register("vocab_in", pa.table({"t": pa.array(list(ranks.values()), pa.int32()), "h": [b.hex() for b in ranks]}))
@@ -82,8 +83,13 @@ class Coder:
                 found[piece] = self.heap(raw)
             else:
                 rows.append((piece, raw))
-        for i in range(0, len(rows), 50_000):
-            part = rows[i : i + 50_000]
+        rows.sort(key=lambda r: len(r[1]))
+        ends = np.cumsum([len(b) for _, b in rows])
+        i = 0
+        while i < len(rows):
+            done = int(ends[i]) - len(rows[i][1])
+            j = max(i + 1, int(np.searchsorted(ends, done + ROUND_BYTES, "right")))
+            part, i = rows[i:j], j
             found.update(zip((p for p, _ in part), self.contract([b for _, b in part]), strict=True))
         back = self.decode(list(found.values()))
         self.cache.young.update((p, (" ".join(map(str, ids)), raw)) for (p, ids), raw in zip(found.items(), back, strict=True))
