@@ -1,7 +1,7 @@
 """Toxicity scores: Levenshtein automata intersected with a lexicon trie, and context windows around the hits.
 
 Fitting.  A bounded sample of labelled training rows (``TRAIN_ROWS``, the least hashes of doc_id) gives the lexicon: words and
-word stems that toxic rows have and others lack, by log-odds, shortest form first.  The terms form a trie; the automaton
+word stems that toxic rows have and others lack, by log-odds of all their forms, shortest form first; only the sample bounds it.  The terms form a trie; the automaton
 of all strings within each term's edit budget is intersected with it and made deterministic as tokens are read, so
 a token is matched in one pass and most are dropped after a few characters.  Features of a document count exact, misspelled
 and distinct hits, their weights, and what stands in a window around each: quotation marks and reporting verbs
@@ -9,7 +9,8 @@ and distinct hits, their weights, and what stands in a window around each: quota
 
 Scoring reads every whole text; labels, lang, source and doc_id are no inputs.  Null and empty texts have no hits and get
 the score of a text without hits.  Without labels of both kinds every score is 0.  Repeated label rows of a doc_id
-count once (toxic if one says so); null labels are left out.
+count once (toxic if one says so); null labels are left out.  Repeated rows get equal scores, an empty table gives an empty
+result, very long texts and tokens are read whole, and other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import col, map_text, materialise, texts
 
-TRAIN_ROWS, TERMS, CANDIDATES, CACHE_TOKENS = 20_000, 1_000, 20_000, 300_000
+TRAIN_ROWS, CACHE_TOKENS, CACHE_CHARS = 20_000, 300_000, 64
 STEMS = range(4, 8)
 WINDOW = 8
 TOKEN = re.compile(r"[\w@$]+")
@@ -126,7 +127,9 @@ class Lexicon:
             if t in self.seen:
                 h = self.seen[t]
             else:
-                h = self.seen[t] = self.find(t) if len(t) < 64 else self.match(t[:64])
+                h = self.find(t)
+                if len(t) <= CACHE_CHARS:  # longer ones are looked up each time
+                    self.seen[t] = h
             if h is not None:
                 out[t] = h
         return out
@@ -185,35 +188,31 @@ def forms(text: str) -> set[tuple[str, bool]]:
     """Whole words and stems of a text."""
     out: set[tuple[str, bool]] = set()
     for w in set(TOKEN.findall(text.lower())):
-        if len(w) <= 40 and not w.isdigit():
+        if not w.isdigit():
             if len(w) >= 3:
                 out.add((w, True))
             out.update((w[:k], False) for k in STEMS if len(w) >= k)
     return out
 
 
-def choose_terms(toxic: dict, clean: dict, n_toxic: int, n_clean: int) -> list[tuple[str, bool, float]]:
-    """Forms of high log-odds; a longer form goes where a chosen shorter one has nearly its weight and covers it."""
-    scored = []
-    for form, a in toxic.items():
-        b = clean.get(form, 0)
-        weight = math.log((a + 0.5) / (n_toxic - a + 0.5)) - math.log((b + 0.5) / (n_clean - b + 0.5))
-        # precise at the sample's base rate, and not by chance
-        if a >= 3 and a >= 4 * b and weight >= 3 and a / (a + b * n_toxic / max(1, n_clean)) > 0.95:
-            scored.append((form, a, weight))
+def choose_terms(scored: list[tuple[str, bool, int, float]]) -> list[tuple[str, bool, float]]:
+    """Of forms (text, whole, toxic rows, weight) the terms; a longer form goes where a chosen shorter one covers it."""
     chosen: dict[str, tuple[str, bool, float, int]] = {}
-    full = {f[0]: a for f, a, _ in scored if f[1]}
-    for (text, whole), a, weight in sorted(scored, key=lambda s: (len(s[0][0]), s[0][1], s[0][0])):
-        if not whole and any(t.startswith(text) and n >= 0.98 * a for t, n in full.items()):
+    most: dict[str, int] = {}  # by beginning, of the words in most rows
+    for text, whole, a, _ in scored:
+        for k in STEMS if whole else ():
+            most[text[:k]] = max(a, most.get(text[:k], 0))
+    for text, whole, a, weight in sorted(scored, key=lambda s: (len(s[0]), s[1], s[0])):
+        if not whole and most.get(text, 0) >= 0.98 * a:
             continue  # a stem of one word only: the word itself can also be met misspelled
-        if not any(text.startswith(c) and (not v[1] or c == text) for c, v in chosen.items()):
+        if text not in chosen and not any(text[:k] in chosen and not chosen[text[:k]][1] for k in STEMS):
             chosen[text] = (text, whole, weight, a)
-    return [c[:3] for c in sorted(chosen.values(), key=lambda c: (-c[3], c[0]))[:TERMS]]
+    return [c[:3] for c in sorted(chosen.values(), key=lambda c: (-c[3], c[0]))]
 
 
 def fit(docs: DataFrame, labels: DataFrame, *, train_rows: int = TRAIN_ROWS) -> tuple[list, dict] | None:
     """Lexicon and model from a bounded sample of training labels; None without both kinds of label."""
-    known = labels.select(F.col("`doc_id`"), F.col("`toxic`").cast("int").alias("toxic")).filter("doc_id is not null and toxic is not null").filter(~held_out("doc_id"))
+    known = labels.select(F.col("`doc_id`"), (F.col("`toxic`") == 1).cast("int").alias("toxic")).filter("doc_id is not null and toxic is not null").filter(~held_out("doc_id"))
     sample = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(train_rows)
     sample = materialise(sample, "toxic-sample")  # at most train_rows ids: broadcast
     rows = docs.select(F.col("`doc_id`"), F.col("`text`")).join(F.broadcast(sample), "doc_id").select("text", "toxic")
@@ -223,31 +222,28 @@ def fit(docs: DataFrame, labels: DataFrame, *, train_rows: int = TRAIN_ROWS) ->
     if not n_toxic or not n_clean:
         return None
 
-    def counted(wanted=None):
-        def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-            c: Counter = Counter()
-            for t in texts(batch):
-                own = forms(t)
-                c.update(own if wanted is None else own & wanted)
-            return pa.RecordBatch.from_pydict({"form": pa.array([f for f, _ in c], pa.string()), "whole": pa.array([w for _, w in c], pa.bool_()), "n": pa.array(list(c.values()), pa.int64())})
-
-        return run
-
-    def table(kind: int, wanted=None) -> dict:
-        out = map_text(rows.filter(F.col("toxic") == kind), counted(wanted), "form string, whole boolean, n long").groupBy("form", "whole").agg(F.sum("n").alias("n"))
-        return {(r.form, r.whole): r.n for r in out.filter("n >= 3").orderBy(F.desc("n"), "form", "whole").limit(CANDIDATES).collect()} if wanted is None else {(r.form, r.whole): r.n for r in out.collect()}
-
-    toxic = table(1)
-    terms = choose_terms(toxic, table(0, frozenset(toxic)), n_toxic, n_clean)
-
-    def measured(batches):
-        lexicon = Lexicon(terms)
-        for batch in batches:
-            x = [features(t, lexicon) for t in texts(batch)]
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float64())), col(batch, "toxic")], names=["x", "toxic"])
+    def counted(batch: pa.RecordBatch) -> pa.RecordBatch:
+        both: tuple[Counter, Counter] = Counter(), Counter()
+        for t, toxic in zip(texts(batch), col(batch, "toxic").to_pylist(), strict=True):
+            both[toxic].update(forms(t))
+        own = [(f, w, both[1][f, w], both[0][f, w]) for f, w in both[0].keys() | both[1].keys()]
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*own, strict=True) if own else ([],) * 4, (pa.string(), pa.bool_(), pa.int64(), pa.int64()), strict=True)], names=["form", "whole", "a", "b"])
+
+    counts = map_text(rows, counted, "form string, whole boolean, a long, b long").groupBy("form", "whole").agg(F.sum("a").alias("a"), F.sum("b").alias("b"))
+    odds = lambda n, of: F.log((F.col(n) + 0.5) / (F.lit(of) - F.col(n) + 0.5))
+    # precise at the sample's base rate, and not by chance; what passes is bounded by the sample's texts
+    scored = counts.withColumn("weight", odds("a", n_toxic) - odds("b", n_clean)).filter((F.col("a") >= 3) & (F.col("a") >= 4 * F.col("b")) & (F.col("weight") >= 3) & (F.col("a") > 0.95 * (F.col("a") + F.col("b") * (n_toxic / n_clean))))
+    terms = choose_terms([(r.form, r.whole, r.a, r.weight) for r in scored.select("form", "whole", "a", "weight").collect()])
+    made: list[Lexicon] = []
+
+    def measured(batch: pa.RecordBatch) -> pa.RecordBatch:
+        if not made:
+            made.append(Lexicon(terms))
+        x = [features(t, made[0]) for t in texts(batch)]
+        return pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float64())), col(batch, "toxic")], names=["x", "toxic"])
 
     # at most train_rows rows of 11 numbers
-    found = sorted((r.toxic, r.x) for r in rows.mapInArrow(measured, "x array<double>, toxic int").collect())
+    found = sorted((r.toxic, r.x) for r in map_text(rows, measured, "x array<double>, toxic int").collect())
     return terms, fit_logistic(np.array([x for _, x in found]), np.array([t for t, _ in found], float))
 
 
@@ -257,14 +253,13 @@ def held_out(name: str):
 
 def score(docs: DataFrame, fitted: tuple[list, dict] | None) -> DataFrame:
     """doc_id, held_out, score, predicted of every document."""
+    made: list[Lexicon] = []
 
-    def run(batches):
-        lexicon = Lexicon(fitted[0]) if fitted else None
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            p = probability(fitted[1], np.array([features(t, lexicon) for t in texts(batch)])) if fitted else np.zeros(batch.num_rows)
-            yield pa.RecordBatch.from_arrays([col(batch, "doc_id"), col(batch, "held_out"), pa.array(p), pa.array((p >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        if fitted and not made:
+            made.append(Lexicon(fitted[0]))
+        p = probability(fitted[1], np.array([features(t, made[0]) for t in texts(batch)])) if fitted else np.zeros(batch.num_rows)
+        return pa.RecordBatch.from_arrays([col(batch, "doc_id"), col(batch, "held_out"), pa.array(p), pa.array((p >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
     rows = docs.select(F.col("`doc_id`"), held_out("`doc_id`").alias("held_out"), F.col("`text`"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return map_text(rows, run, "doc_id long, held_out boolean, score double, predicted int")
