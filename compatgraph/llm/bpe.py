@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 
 from .common import Recent, col, map_text, narrow, texts
 
-LONG_PIECE, ROUND_BYTES = 1_024, 2 << 20
+LONG_PIECE, ROUND_BYTES = 1_024, 512 << 10
 #: Pieces in a generation of a worker's cache: a bound on memory, never on what is encoded.
 CACHE_PIECES = 400_000
 

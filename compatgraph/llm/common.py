@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Text bytes handled at once inside a Python worker; longer batches are sliced.
-SLICE_BYTES = 8 << 20
+SLICE_BYTES = 4 << 20
 #: The contracts' word pattern: everything but ASCII white space.  ``bytes.split()`` splits on the same six bytes.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -105,8 +105,12 @@ def heavy(table: DataFrame, key: str, count: str) -> DataFrame:
 def join_spread(rows: DataFrame, table: DataFrame, key: str, busy: DataFrame) -> DataFrame:
     """Inner join of rows to a table of one row a key; the rows of the ``busy`` keys go to ``SALTS`` tasks each.
 
-    Both sides are narrow tables of ours, so the two names below are free.
+    A table below the session's broadcast threshold (by its files' size) goes to the rows instead.  Both sides are narrow tables
+    of ours, so the two names below are free.
     """
+    size = int(table._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    if size <= int(rows.sparkSession._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()):
+        return rows.join(F.broadcast(table), key)
     known = F.broadcast(busy.withColumn("_busy", F.lit(True)))
     dealt = rows.join(known, key, "left").withColumn("_salt", F.when(F.col("_busy"), F.pmod(F.monotonically_increasing_id(), F.lit(SALTS))).otherwise(0).cast("int")).drop("_busy")
     copies = F.when(F.col("_busy"), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))

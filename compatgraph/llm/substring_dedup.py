@@ -7,7 +7,7 @@ minimiser's hash), and a super-k-mer whose bucket holds nothing else has only un
 
 1. Buckets are counted (narrow rows, combined in the map tasks).  Those with one super-k-mer are done.
 2. The others' super-k-mers travel as one packed string each to their bucket, where sorting the windows counts them
-   exactly.  A bucket of more than ``hot`` strings is not gathered: its windows are counted by digest, combined in the
+   exactly.  A bucket of more than ``hot`` strings is not gathered: its windows are counted by 128-bit digest, combined in the
    map tasks, and looked up by a join that spreads the windows of a frequent digest, so no task gets a whole hot bucket or window.
 3. The repeated windows come back as word ranges, and the covered words are removed.
 
@@ -175,7 +175,7 @@ def remove_repeats(docs: DataFrame, *, k: int = K, m: int = M, hot: int = HOT, w
             for i, s in enumerate(strings):
                 ends = list(accumulate(len(w) + 1 for w in s.split(b" ")))
                 for j, (a, b) in enumerate(zip([0, *ends], ends[k - 1 :], strict=False)):
-                    row.append(i), digest.append(hashlib.sha256(s[a : b - 1]).digest()), at.append(j)
+                    row.append(i), digest.append(hashlib.blake2b(s[a : b - 1], digest_size=16).digest()), at.append(j)
             row = np.array(row, np.int64)
             return pa.RecordBatch.from_arrays([pa.array(digest, pa.binary()), did.take(pa.array(row)), th.take(pa.array(row)), pa.array(first[row] + np.array(at, np.int64))], names=["digest", "did", "th", "a"])
 
