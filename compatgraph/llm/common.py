@@ -96,6 +96,11 @@ class Recent:
 SHARES, SALTS = 1_000, 64
 
 
+def known_bytes(df: DataFrame) -> int:
+    """The size that Catalyst's statistics give; for a scan that of its files, without a pass over them."""
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
 def heavy(table: DataFrame, key: str, count: str) -> DataFrame:
     """The heavy keys of a table of one row a key with its number of rows; at most ``SHARES`` of them."""
     total = table.agg(F.sum(count)).first()[0] or 0
@@ -108,8 +113,7 @@ def join_spread(rows: DataFrame, table: DataFrame, key: str, busy: DataFrame) ->
     A table below the session's broadcast threshold (by its files' size) goes to the rows instead.  Both sides are narrow tables
     of ours, so the two names below are free.
     """
-    size = int(table._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
-    if size <= int(rows.sparkSession._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()):
+    if known_bytes(table) <= int(rows.sparkSession._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()):
         return rows.join(F.broadcast(table), key)
     known = F.broadcast(busy.withColumn("_busy", F.lit(True)))
     dealt = rows.join(known, key, "left").withColumn("_salt", F.when(F.col("_busy"), F.pmod(F.monotonically_increasing_id(), F.lit(SALTS))).otherwise(0).cast("int")).drop("_busy")

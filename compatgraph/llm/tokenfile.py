@@ -29,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Recent, col, narrow, shared_dir, slices
+from .common import Recent, col, known_bytes, narrow, shared_dir, slices
 
 #: Pieces in a generation of a worker's cache.
 CACHE_PIECES = 500_000
@@ -181,7 +181,7 @@ def write(docs: DataFrame, tokenizer: str, *, end_id: int = 0, out: str | None =
 
     keyed = narrow(docs, "doc_id", "text").withColumn("h", F.xxhash64("text"))
     # the size that Catalyst knows from the files: no pass over them
-    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), math.ceil(int(keyed._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString()) / FILE_BYTES) if docs.inputFiles() else 1)
+    n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), math.ceil(known_bytes(keyed) / FILE_BYTES) if docs.inputFiles() else 1)
     ranged = keyed.repartitionByRange(n, "doc_id", "h").sortWithinPartitions("doc_id", "h").drop("h")
     # one row a partition: its bases are their prefix sums
     parts = sorted(ranged.mapInArrow(run, "part string, n_docs long, n_tokens long").collect())
