@@ -36,3 +36,15 @@ def echo_diagonal(edges: DataFrame) -> DataFrame:
     """node, q: sum over neighbours of P_ij * P_ji."""
     back = edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("w").alias("v"))
     return edges.join(back, ["src", "dst"]).groupBy(F.col("src").alias("node")).agg(F.sum(F.col("w") * F.col("v")).alias("q"))
+
+
+def echo_diagonal_closed(edges: DataFrame, seeds: DataFrame, alpha: float, beta: float, gamma: float = 0.0) -> DataFrame:
+    """The echo diagonal of a scaled and clamped matrix without joining edges to edges.
+
+    q_i = g_i deg_i^-(alpha+beta) sum_j w_ij^2 g_j deg_j^-(alpha+beta) with g = 1 - gamma on seeds and 1 elsewhere: one factor a node, sent
+    along the squared weights of a symmetric graph.
+    """
+    factor = degrees(edges).join(seeds.select("node", F.lit(1.0 - gamma).alias("g")).distinct(), "node", "left")
+    factor = factor.select("node", (F.coalesce("g", F.lit(1.0)) * F.pow("deg", F.lit(-(alpha + beta)))).alias("g"))
+    sums = edges.join(factor.withColumnRenamed("node", "dst"), "dst").groupBy(F.col("src").alias("node")).agg(F.sum(F.col("w") * F.col("w") * F.col("g")).alias("q"))
+    return sums.join(factor, "node").select("node", (F.col("q") * F.col("g")).alias("q")).filter("q <> 0")

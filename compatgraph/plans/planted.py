@@ -1,6 +1,7 @@
 """Planted graphs: exact class sizes, class-pair budgets and degrees on the keys of a table, wired by one join.
 
-Ranks over a class are two-level (range buckets of a hash, then rows inside a bucket), so no task sorts a whole class.
+Ranks over a class are two-level (range buckets of a 32-bit number, then rows inside a bucket; a bucket of one number is cut again by its
+ties), so no task sorts a whole class.
 """
 
 from __future__ import annotations
@@ -13,7 +14,10 @@ from pyspark.sql import functions as F
 from ..functions.compat import edge_budget
 from .lineage import cut
 
-BUCKETS = 256
+#: Buckets by the leading bits of a number, and parts of a bucket that holds one number only.
+BITS, PARTS = 12, 1 << 12
+#: Rows of two numbers that are broadcast at most.
+BROADCAST = 500_000
 
 
 def hashed(*parts) -> F.Column:
@@ -21,13 +25,22 @@ def hashed(*parts) -> F.Column:
     return F.conv(F.substring(F.md5(F.concat_ws(":", *[F.lit(p) if isinstance(p, (str, int)) else p.cast("string") for p in parts])), 1, 8), 16, 10).cast("long")
 
 
-def ranked(df: DataFrame, keys: list[str], u: str, ties: list[str], name: str) -> DataFrame:
-    """``name``: rank from 1 within ``keys`` by the 32-bit column ``u`` and ``ties``.  Bucket counts give each bucket's base."""
-    own = df.withColumn("_b", F.shiftright(F.col(u), 24).cast("int"))
-    counts = own.groupBy(*keys, "_b").agg(F.count(F.lit(1)).alias("_n"))
-    base = counts.withColumn("_base", F.sum("_n").over(W.partitionBy(*keys).orderBy("_b")) - F.col("_n")).drop("_n")
-    inside = W.partitionBy(*keys, "_b").orderBy(u, *ties)
-    return own.join(base, [*keys, "_b"]).withColumn(name, F.row_number().over(inside) + F.col("_base")).drop("_b", "_base")
+def ranked(df: DataFrame, keys: list[str], u: str, ties: list[str], name: str, dense: str | None = None) -> DataFrame:
+    """``name``: rank from 1 within ``keys`` by the 32-bit column ``u`` and ``ties``.  Bucket counts give each bucket's base.
+
+    ``dense`` names a first tie that numbers the rows of a key from 1: with it, buckets where all rows have one ``u`` are cut into parts.
+    """
+    own = df.withColumn("_b", F.shiftright(F.col(u), 32 - BITS).cast("int"))
+    inside, part = ["_b"], F.lit(0)
+    counted = own.groupBy(*keys, "_b").agg(F.count(F.lit(1)).alias("_n"), F.min(u).alias("_low"), F.max(u).alias("_high"), *([F.max(dense).alias("_top")] if dense else []))
+    if dense:
+        inside = ["_b", "_p"]
+        part = F.when(F.col("_low") == F.col("_high"), F.floor(F.col(dense) * PARTS / (F.col("_top") + 1))).otherwise(0).cast("int")
+        own = own.join(counted.drop("_n"), [*keys, "_b"]).withColumn("_p", part).drop("_low", "_high", "_top")
+        counted = own.groupBy(*keys, "_b", "_p").agg(F.count(F.lit(1)).alias("_n"))
+    base = counted.withColumn("_base", F.sum("_n").over(W.partitionBy(*keys).orderBy(*inside)) - F.col("_n")).select(*keys, *inside, "_base")
+    order = W.partitionBy(*keys, *inside).orderBy(u, *ties)
+    return own.join(base, [*keys, *inside]).withColumn(name, F.row_number().over(order) + F.col("_base")).drop(*inside, "_base")
 
 
 def class_sizes(n: int, alpha) -> list[int]:
@@ -54,7 +67,7 @@ def assign_classes(keys: DataFrame, alpha, seed: int = 1, n: int | None = None)
     return own.select("node", cut_by(class_sizes(n, alpha), F.col("r")).cast("int").alias("cls"))
 
 
-def assign_degrees(classes: DataFrame, totals: list[int], delta: float = 0.3, seed: int = 1) -> DataFrame:
+def assign_degrees(classes: DataFrame, totals: list[int], delta: float = 0.3, seed: int | str = 1) -> DataFrame:
     """node, cls, d: integer degrees in proportion to rank^-delta (0: equal), with the given total of each class."""
     own = ranked(classes.withColumn("u", hashed(f"d{seed}", F.col("node"))), ["cls"], "u", ["node"], "r").withColumn("share", F.pow("r", F.lit(-delta)))
     total = F.coalesce(*[F.when(F.col("cls") == c, F.lit(int(t))) for c, t in enumerate(totals)])
@@ -62,7 +75,7 @@ def assign_degrees(classes: DataFrame, totals: list[int], delta: float = 0.3, se
     own = own.join(sums, "cls").withColumn("exact", F.round(total * F.col("share") / F.col("all"), 9)).withColumn("d", F.floor("exact").cast("long"))
     rest = own.groupBy("cls").agg(F.sum("d").alias("given")).select("cls", (total - F.col("given")).alias("rest"))
     own = own.join(rest, "cls").withColumn("v", F.lit(2**32 - 1) - F.floor((F.col("exact") - F.col("d")) * F.lit(2.0**32)).cast("long"))
-    own = ranked(own.withColumn("v", F.greatest("v", F.lit(0))), ["cls"], "v", ["r"], "q")
+    own = ranked(own.withColumn("v", F.greatest("v", F.lit(0))), ["cls"], "v", ["r"], "q", "r")  # equal degrees tie everywhere
     return own.select("node", "cls", (F.col("d") + (F.col("q") <= F.col("rest")).cast("long")).alias("d"))
 
 
@@ -89,36 +102,58 @@ def flaws(arcs: DataFrame) -> DataFrame:
 
 
 def repair(arcs: DataFrame, rounds: int = 40, seed: int = 1) -> tuple[DataFrame, int]:
-    """Swap the targets of flawed arcs with others of their class pair until none is flawed; marginals stay.  Also the number left."""
-    left = 0
+    """Swap the targets of flawed arcs with others of their class pair until none is flawed; marginals stay.  Also the number left.
+
+    One pass over all arcs finds the flaws.  From there on only flawed arcs, the arcs drawn to swap with them, and what meets these
+    is moved: the sound arcs stay where they are, less those whose hash falls under a round's share.
+    """
+    all_arcs = cut(flaws(arcs))
+    sound, bad = all_arcs.filter("not bad").drop("bad"), all_arcs.filter("bad").drop("bad")
+    by_pair = lambda df: {(r.c, r.d): r.n for r in df.groupBy("c", "d").agg(F.count(F.lit(1)).alias("n")).collect()}  # noqa: E731  k x k numbers
+    size, flawed = by_pair(sound), by_pair(bad)
+    pair = [F.least("src", "dst").alias("x"), F.greatest("src", "dst").alias("y")]
     for i in range(rounds):
-        # numbered here so that a repeated arc is one row, not two
-        arcs = cut(flaws(arcs).withColumn("u", hashed(f"s{seed}.{i}", F.col("src"), F.col("dst"), F.col("bad").cast("int"))))
-        stats = arcs.groupBy("c", "d").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("bad").cast("long")).alias("k"))
-        left = stats.agg(F.sum("k")).first()[0] or 0
-        if not left:
+        if not flawed:
             break
-        pool = arcs.join(stats, ["c", "d"]).withColumn("pick", F.col("bad") | (F.col("u") < (F.col("k") * 3 + 1) * F.lit(2.0**32) / F.col("n")) & (F.col("k") > 0))
-        chosen = pool.filter("pick")
-        w = W.partitionBy("c", "d").orderBy("u", "src", "dst")
-        ring = W.partitionBy("c", "d").orderBy("u", "src", "dst").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
-        moved = chosen.withColumn("dst", F.coalesce(F.lead("dst").over(w), F.first("dst").over(ring)))
-        arcs = pool.filter("not pick").select("src", "dst", "c", "d").unionByName(moved.select("src", "dst", "c", "d"))
-    return arcs.select("src", "dst", "c", "d"), int(left)
-
-
-def planted_graph(keys: DataFrame, K: np.ndarray, degree: float, *, alpha=None, delta: float = 0.3, seed: int = 1, directed: bool = False, rounds: int = 40) -> tuple[DataFrame, DataFrame, np.ndarray]:
-    """edges, labels, budget: an undirected graph (or arcs) over ``keys(node)`` whose class-pair counts are in proportion to K exactly."""
+        share = None
+        for (c, d), n in flawed.items():
+            most = int(min(2**32, (3 * n + 1) * 2**32 / max(1, size.get((c, d), 0))))
+            share = (F.when if share is None else share.when)((F.col("c") == c) & (F.col("d") == d), F.lit(most))
+        draw = sound.withColumn("u", hashed(f"s{seed}.{i}", F.col("src"), F.col("dst"))).withColumn("most", F.coalesce(share, F.lit(0)))
+        pool = draw.filter("u < most").drop("most").unionByName(bad.withColumn("u", hashed(f"b{seed}.{i}", F.col("src"), F.col("dst"))))
+        order = W.partitionBy("c", "d").orderBy("u", "src", "dst")
+        ring = order.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+        # the last of a block takes the first's target; equal rows of the pool are rows of their own
+        moved = cut(flaws(pool.withColumn("dst", F.coalesce(F.lead("dst").over(order), F.first("dst").over(ring))).drop("u")).select("*", *pair))
+        sound = draw.filter("u >= most").drop("u", "most")
+        # at most about four arcs a flaw: their pairs are broadcast where that is few, and shuffled else
+        few = F.broadcast if 8 * sum(flawed.values()) <= BROADCAST else lambda df: df
+        met = sound.select(*pair).join(few(moved.select("x", "y").distinct()), ["x", "y"], "left_semi").distinct().withColumn("met", F.lit(True))
+        told = cut(moved.join(met, ["x", "y"], "left").select("src", "dst", "c", "d", (F.col("bad") | F.coalesce("met", F.lit(False))).alias("bad")))
+        sound, bad = sound.unionByName(told.filter("not bad").drop("bad")), told.filter("bad").drop("bad")
+        before, flawed = flawed, by_pair(bad)
+        size = {p: size.get(p, 0) + before.get(p, 0) - flawed.get(p, 0) for p in {*size, *before}}
+        if i % 6 == 5:  # each round adds a filter and a union
+            sound = cut(sound)
+    return sound.unionByName(bad), sum(flawed.values())
+
+
+def planted_graph(keys: DataFrame, K: np.ndarray, degree: float, *, alpha=None, delta: float = 0.3, seed: int = 1, directed: bool = False, rounds: int = 40, independent: bool = False) -> tuple[DataFrame, DataFrame, np.ndarray]:
+    """edges, labels, budget: an undirected graph (or arcs) over ``keys(node)`` whose class-pair counts are in proportion to K exactly.
+
+    In- and out-degrees of a node are correlated (one order of the nodes for both) or ``independent``.  Raises where no graph without
+    loops, repeated and reversed arcs was found within ``rounds``: blocks that are too dense have none.
+    """
     k = len(K)
     alpha = alpha if alpha is not None else [1 / k] * k
     n = keys.count()
     labels = cut(assign_classes(keys, alpha, seed, n))
     m = int(round(n * degree / (1 if directed else 2)))
     M = edge_budget(m, K)
-    arcs = wire(assign_degrees(labels, M.sum(1).tolist(), delta, seed), assign_degrees(labels, M.sum(0).tolist(), delta, seed), M, seed)
-    arcs, left = repair(arcs, rounds, seed)
+    ends = assign_degrees(labels, M.sum(0).tolist(), delta, f"{seed}in" if independent else seed)
+    arcs, left = repair(wire(assign_degrees(labels, M.sum(1).tolist(), delta, seed), ends, M, seed), rounds, seed)
     if left:
-        arcs = flaws(arcs).filter("not bad").drop("bad")  # too dense a block: reported by planted_check
+        raise ValueError(f"{left} of {m} arcs are still loops, repeated or reversed after {rounds} rounds: give more rounds or a lower degree")
     arcs = cut(arcs)
     edges = arcs.select("src", "dst", F.lit(1.0).alias("w"))
     if not directed:
@@ -144,3 +179,26 @@ def block_model(keys: DataFrame, labels: DataFrame, K: np.ndarray, degree: float
     d = F.coalesce(*[F.when((F.col("cls") == c) & (u < float(cum[c, x]) if x < k - 1 else F.col("cls") == c), F.lit(x)) for c in range(k) for x in range(k)])
     drawn = stub.withColumn("d", d).join(size.withColumnRenamed("cls", "d"), "d").withColumn("r", F.floor(v * F.col("n_cls")).cast("long") + 1)
     return drawn.join(numbered, ["d", "r"]).filter("src <> dst").select("src", "dst", F.lit(1.0).alias("w")).distinct() if n else drawn.select("src", F.col("src").alias("dst"), F.lit(1.0).alias("w"))
+
+
+def degree_histogram(edges: DataFrame, labels: DataFrame | None = None) -> DataFrame:
+    """[cls], deg, n: how many nodes have each degree, by class where labels are given."""
+    deg = edges.groupBy(F.col("src").alias("node")).agg(F.count(F.lit(1)).alias("deg"))
+    by = [] if labels is None else ["cls"]
+    return (deg if labels is None else deg.join(labels, "node")).groupBy(*by, "deg").agg(F.count(F.lit(1)).alias("n"))
+
+
+def clustered_adjacency(edges: DataFrame, labels: DataFrame, size: int) -> DataFrame:
+    """row_bin, col_bin, n: edges between bins of ``size`` nodes, with nodes renumbered by class and hash."""
+    counts = labels.groupBy("cls").agg(F.count(F.lit(1)).alias("n"))
+    before = counts.withColumn("before", F.sum("n").over(W.orderBy("cls")) - F.col("n")).drop("n")  # one row a class
+    own = ranked(labels.withColumn("u", hashed("o", F.col("node"))), ["cls"], "u", ["node"], "r").join(F.broadcast(before), "cls")
+    bins = own.select("node", F.floor((F.col("r") - 1 + F.col("before")) / size).cast("int").alias("bin"))
+    a, b = bins.toDF("src", "row_bin"), bins.toDF("dst", "col_bin")
+    return edges.join(a, "src").join(b, "dst").groupBy("row_bin", "col_bin").agg(F.count(F.lit(1)).alias("n"))
+
+
+def coloring_conflicts(edges: DataFrame, labels: DataFrame) -> DataFrame:
+    """conflicts: edges whose ends share a class.  0 means a proper colouring, which is what fits ``coloring_compat`` exactly."""
+    a, b = labels.toDF("src", "c"), labels.toDF("dst", "d")
+    return edges.filter("src < dst").join(a, "src").join(b, "dst").agg(F.coalesce(F.sum((F.col("c") == F.col("d")).cast("long")), F.lit(0)).alias("conflicts"))

@@ -1,18 +1,21 @@
 """Modulated propagation, its members, the stability limit, energies, PageRank and belief propagation.
 
-A step multiplies the k belief columns by K (a projection), sends them along the edges (one join on ``dst``, one aggregation by
-``src`` with partial sums before the exchange) and adds the seeds.  The state is k scalar columns, so sums stay in generated code.
-Lineage is cut every ``CUT`` steps.
+A step multiplies the k belief columns by K (a projection), sends them along the edges (one join on ``dst``), and sums messages, seeds
+and echo by node in one aggregation with partial sums before its only exchange.  The state is k scalar columns, so sums stay in generated
+code; for many classes it is rows of (node, cls, v).  Lineage is cut every ``CUT`` steps, and what a loop has cached is released at its end.
 """
 
 from __future__ import annotations
 
+import warnings
+
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.compat import center, radius
-from ..operators.labels import modulate, names, one_hot, residual
+from ..operators.labels import modulate, names, one_hot, predict, residual, uniform
 from ..operators.scaling import COL, RAW, ROW, SYM, clamp_edges, degrees, echo_diagonal, scale_edges
 from .lineage import cut
 
@@ -26,95 +29,204 @@ def spread_hubs(P: DataFrame, most: int) -> tuple[DataFrame, DataFrame]:
     return P.join(hubs, "dst", "left").select("src", "dst", "w", salt.alias("salt")), hubs
 
 
-def send(P: DataFrame, state: DataFrame, k: int, hubs: DataFrame | None = None) -> DataFrame:
-    """P times the state, over nodes that have a neighbour with a state; the states of ``hubs`` go to each part of their edges."""
+def messages(P: DataFrame, state: DataFrame, k: int, hubs: DataFrame | None = None, factor: float = 1.0) -> DataFrame:
+    """A row for each edge that has a state at its far end; the states of ``hubs`` go to each part of their edges."""
     cols = names(k)
     there = state.withColumnRenamed("node", "dst")
     if hubs is not None:
         there = there.join(hubs, "dst", "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("parts")
-    return P.join(there, ["dst"] if hubs is None else ["dst", "salt"]).groupBy(F.col("src").alias("node")).agg(*[F.sum(F.col("w") * F.col(c)).alias(c) for c in cols])
+    w = F.col("w") if factor == 1 else F.col("w") * F.lit(factor)
+    return P.join(there, ["dst"] if hubs is None else ["dst", "salt"]).select(F.col("src").alias("node"), *[(w * F.col(c)).alias(c) for c in cols])
+
+
+def summed(parts: list[DataFrame], k: int) -> DataFrame:
+    """Rows of all parts, summed by node."""
+    both = parts[0]
+    for p in parts[1:]:
+        both = both.unionByName(p)
+    return both.groupBy("node").agg(*[F.sum(c).alias(c) for c in names(k)])
+
+
+def send(P: DataFrame, state: DataFrame, k: int, hubs: DataFrame | None = None) -> DataFrame:
+    """P times the state, over nodes that have a neighbour with a state."""
+    return summed([messages(P, state, k, hubs)], k)
+
+
+def scaled(state: DataFrame, factor, k: int) -> DataFrame:
+    return state.select("node", *[(F.col(c) * factor).alias(c) for c in names(k)])
 
 
 def add(parts: list[tuple[DataFrame, float]], k: int) -> DataFrame:
     """Weighted sum of states: a union and one aggregation by node."""
-    cols = names(k)
-    both = None
-    for df, factor in parts:
-        own = df.select("node", *[(F.col(c) * F.lit(factor)).alias(c) for c in cols])
-        both = own if both is None else both.unionByName(own)
-    return both.groupBy("node").agg(*[F.sum(c).alias(c) for c in cols])
+    return summed([scaled(df, F.lit(factor), k) for df, factor in parts], k)
 
 
-def step(P: DataFrame, X: DataFrame, B: DataFrame, K: np.ndarray, eps: float, Q: DataFrame | None, hubs: DataFrame | None = None) -> DataFrame:
+def step(P: DataFrame, X: DataFrame | None, B: DataFrame, K: np.ndarray, eps: float, Q: DataFrame | None, hubs: DataFrame | None = None) -> DataFrame:
     """X + eps P B K, less eps^2 Q B K^2 where the echo is taken out."""
     k = len(K)
-    parts = [(X, 1.0), (send(P, B.select("node", *modulate(k, K)), k, hubs), eps)]
+    parts = [messages(P, B.select("node", *modulate(k, K)), k, hubs, eps)]
+    if X is not None:
+        parts.append(X)
     if Q is not None:
-        own = B.select("node", *modulate(k, K @ K)).join(Q, "node").select("node", *[(F.col("q") * F.col(c)).alias(c) for c in names(k)])
-        parts.append((own, -eps * eps))
-    return add(parts, k)
+        parts.append(scaled(B.select("node", *modulate(k, K @ K)).join(Q, "node"), F.lit(-eps * eps) * F.col("q"), k))
+    return summed(parts, k)
 
 
 def operator(edges: DataFrame, seeds: DataFrame, alpha: float, beta: float, gamma: float) -> DataFrame:
     return clamp_edges(scale_edges(edges, alpha, beta), seeds, gamma)
 
 
-def spectral_radius(P: DataFrame, rounds: int = 20, tol: float = 1e-4) -> float:
-    """Perron root of a non-negative matrix by power iteration; two-step ratios, as bipartite graphs carry it with both signs."""
-    v = P.select(F.col("src").alias("node")).unionByName(P.select(F.col("dst").alias("node"))).distinct().withColumn("b0", F.lit(1.0))
-    last, norms = 0.0, []
+def _dominant(apply, v: DataFrame, k: int, rounds: int, tol: float) -> tuple[float, float, DataFrame]:
+    """Size of the dominant eigenvalue of a linear map by power iteration, its last relative change, and the vector.
+
+    Two-step ratios of norms, as bipartite graphs carry it with both signs.  One number a round of two steps reaches the driver.
+    """
+    last, gap, norms = 0.0, float("inf"), 0
+    cols = names(k)
     for i in range(rounds):
-        v = send(P, v, 1)
+        v = apply(v)
         if i % 2:
             v = cut(v)
-            norm = v.agg(F.sqrt(F.sum(F.col("b0") * F.col("b0")))).first()[0]
+            norm = v.agg(F.sqrt(F.sum(dot(cols, cols)))).first()[0]
             if not norm:
-                return 0.0
-            v = v.withColumn("b0", F.col("b0") / F.lit(float(norm)))
-            norms.append(norm)
+                return 0.0, 0.0, v
+            v = scaled(v, F.lit(1.0 / float(norm)), k)
+            norms += 1
             now = float(norm) ** 0.5
-            if len(norms) > 1 and abs(now - last) <= tol * now:
-                return now
+            gap = abs(now - last) / now
+            if norms > 1 and gap <= tol:
+                return now, gap, v
             last = now
-    return last
+    return last, gap, v
+
+
+def _settled(found: tuple[float, float, DataFrame], tol: float, loose: float = 0.02) -> float:
+    radius_, gap, _ = found
+    if tol and gap > max(loose, tol):
+        warnings.warn(f"the power iteration still moves by {gap:.2g} of its value: give more rounds", stacklevel=3)
+    return radius_
+
 
+def spectral_radius(P: DataFrame, rounds: int = 40, tol: float = 1e-4) -> float:
+    """Perron root of a non-negative matrix; ``tol`` 0 takes all rounds.  Warns if the last round still moved it by over 2 %."""
+    nodes = P.select(F.explode(F.array("src", "dst")).alias("node")).distinct()
+    return _settled(_dominant(lambda v: send(P, v, 1), nodes.withColumn("b0", F.lit(1.0)), 1, rounds, tol), tol)
 
-def stability_limit(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0) -> float:
+
+def _start(P: DataFrame, k: int) -> DataFrame:
+    """Hashed residual rows on all nodes: no eigenvector is orthogonal to them but by chance."""
+    nodes = P.select(F.explode(F.array("src", "dst")).alias("node")).distinct()
+    drawn = nodes.select("node", *[(uniform(F.concat_ws(":", "node", F.lit(str(c)))) / F.lit(2.0**32)).alias(x) for c, x in enumerate(names(k))])
+    mean = sum((F.col(c) for c in names(k)), F.lit(0.0)) / k
+    return drawn.select("node", *[(F.col(c) - mean).alias(c) for c in names(k)])
+
+
+def operator_radius(P: DataFrame, K: np.ndarray, eps: float, *, echo: bool = True, rounds: int = 40, tol: float = 1e-4, hubs: DataFrame | None = None) -> float:
+    """Radius of one whole update on n x k states, B -> eps P B K - [echo] eps^2 Q B K^2, with K centred."""
+    Kc = center(K)
+    if not np.abs(Kc).max() or not eps:
+        return 0.0
+    Q = echo_diagonal(P).persist() if echo else None
+    try:
+        return _settled(_dominant(lambda v: step(P, None, v, Kc, eps, Q, hubs), _start(P, len(K)), len(K), rounds, tol), tol)
+    finally:
+        if Q is not None:
+            Q.unpersist()
+
+
+def converges(edges: DataFrame, seeds: DataFrame, K: np.ndarray, eps: float, *, alpha=0.0, beta=0.0, gamma=0.0, echo: bool = False, rounds: int = 40) -> bool:
+    """Whether the update reaches its fixed point from any start: the radius of the whole update is below 1."""
+    P = operator(edges, seeds, alpha, beta, gamma)
+    if echo:
+        return operator_radius(P, K, eps, rounds=rounds) < 1
+    return eps * spectral_radius(P, rounds) * radius(center(K)) < 1
+
+
+def stability_limit(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, echo: bool = False, halvings: int = 8, rounds: int = 24) -> float:
     """The eps at which the update stops converging: 1 / (radius(P) radius(K centred)).
 
-    Row, column and symmetric scaling have radius 1, and at most 1 when clamped: that bound is used and no pass is made.
+    Row, column and symmetric scaling have radius 1, and at most 1 when clamped: that bound is used and no pass is made.  With ``echo``
+    the update is quadratic in eps: its radius is bracketed from the limit without echo upwards, and the bracket halved ``halvings`` times.
     """
     rho = 1.0 if alpha + beta == 1 else spectral_radius(operator(edges, seeds, alpha, beta, gamma))
     r = rho * radius(center(K))
-    return 1 / r if r > 1e-12 else float("inf")
-
-
-def propagate(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, eps: float | None = None, s: float | None = None, r: int = 4, echo: bool = False, centred: bool = True, tol: float | None = None, hub_edges: int | None = None) -> DataFrame:
+    limit = 1 / r if r > 1e-12 else float("inf")
+    if not echo or np.isinf(limit):
+        return limit
+    P = operator(edges, seeds, alpha, beta, gamma).persist()
+    Q = echo_diagonal(P).persist()
+    Kc, v = center(K), _start(P, len(K))
+
+    def reached(eps: float) -> float:
+        nonlocal v  # the last vector is the next one's start
+        found = _dominant(lambda x: step(P, None, x, Kc, eps, Q), v, len(K), rounds, 1e-3)
+        v = found[2] if found[0] else v
+        return found[0]
+
+    low, high = 0.0, limit
+    while reached(high) < 1:
+        low, high = high, high * 1.5
+        if high > 100 * limit:
+            high = float("inf")
+            break
+    for _ in range(halvings if np.isfinite(high) else 0):
+        middle = (low + high) / 2
+        low, high = (middle, high) if reached(middle) < 1 else (low, middle)
+    P.unpersist(), Q.unpersist()
+    return (low + high) / 2
+
+
+def propagate(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, eps: float | None = None, s: float | None = None, r: int = 4, echo: bool = False, centred: bool = True, tol: float | None = None, hub_edges: int | None = None, start: DataFrame | None = None, keep: float = 1.0) -> DataFrame:
     """node, b0.. after ``r`` updates (or until the largest change is below ``tol``) from residual seeds.
 
     Give ``eps``, or ``s`` as a share of the stability limit (s > 1 diverges on purpose: few steps are meant).  With ``hub_edges``
-    the edges of nodes that have more are cut into parts of about that size, so that no task gets all edges of a hub.
+    the edges of nodes that have more are cut into parts of about that size, so that no task gets all edges of a hub.  ``start`` is
+    another first state, and ``keep`` the share of it that each update adds (the factors of the family's members in the literature).
     """
     k = len(K)
     if eps is None:
-        eps = (1.0 if s is None else s) * min(stability_limit(edges, seeds, K, alpha=alpha, beta=beta, gamma=gamma), 1e6)
+        eps = (1.0 if s is None else s) * min(stability_limit(edges, seeds, K, alpha=alpha, beta=beta, gamma=gamma, echo=echo), 1e6)
     K = center(K) if centred else K
-    P = operator(edges, seeds, alpha, beta, gamma)
+    P, held = operator(edges, seeds, alpha, beta, gamma), []
     Q = echo_diagonal(P) if echo else None
     P, hubs = spread_hubs(P, hub_edges) if hub_edges else (P, None)
+    if hubs is not None:
+        held.append(hubs)
     if r > 1:
         P = P.repartition(*(["dst", "salt"] if hub_edges else ["dst"])).persist()
-    X = residual(seeds, k)
-    B = X
+        held.append(P)
+    B = residual(seeds, k) if start is None else start
+    X = B if keep == 1 else scaled(B, F.lit(keep), k)
     for i in range(1, r + 1):
         new = step(P, X, B, K, eps, Q, hubs)
-        if tol is not None or i % CUT == 0:
+        if tol is not None or i % CUT == 0 or i == r and held:
             new = cut(new)
         if tol is not None:
             gap = add([(new, 1.0), (B, -1.0)], k).agg(F.max(F.greatest(*[F.abs(c) for c in names(k)]) if k > 1 else F.abs("b0"))).first()[0]
+            B = new
             if gap is None or gap < tol:
-                return new
+                break
         B = new
+    for df in held:
+        df.unpersist()
+    return B
+
+
+def propagate_narrow(edges: DataFrame, seeds: DataFrame, K: DataFrame, k: int, *, alpha=0.0, beta=0.0, gamma=0.0, eps: float = 0.1, r: int = 4) -> DataFrame:
+    """node, cls, v: the update for many classes, where k columns would be too wide.
+
+    ``K`` is a table (c, d, v) of centred entries, k x k rows at most, zeros left out; a row's residual has all k classes.
+    """
+    P = operator(edges, seeds, alpha, beta, gamma).repartition("dst").persist()
+    X = seeds.select("node", "cls", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("c")).select("node", F.col("c").alias("cls"), ((F.col("cls") == F.col("c")).cast("double") - 1.0 / k).alias("v"))
+    table = F.broadcast(K.select(F.col("c").alias("cls"), "d", (F.col("v") * F.lit(eps)).alias("x")))
+    B = X
+    for i in range(1, r + 1):
+        turned = B.join(table, "cls").groupBy("node", "d").agg(F.sum(F.col("v") * F.col("x")).alias("v"))
+        sent = P.join(turned.withColumnRenamed("node", "dst"), "dst").select(F.col("src").alias("node"), F.col("d").alias("cls"), (F.col("w") * F.col("v")).alias("v"))
+        B = sent.unionByName(X).groupBy("node", "cls").agg(F.sum("v").alias("v"))
+        B = cut(B) if i % CUT == 0 or i == r else B
+    P.unpersist()
     return B
 
 
@@ -133,6 +245,69 @@ def member(name: str, edges: DataFrame, seeds: DataFrame, K: np.ndarray, **optio
     return propagate(edges, seeds, np.eye(len(K)) if own.pop("identity", False) else K, **own, **options)
 
 
+def _plain(seeds: DataFrame, k: int, norm: bool = False) -> DataFrame:
+    """One-hot rows as doubles; with ``norm`` each class's column sums to 1."""
+    X = one_hot(seeds, k).select("node", *[F.col(c).cast("double").alias(c) for c in names(k)])
+    if norm:
+        sizes = seeds.groupBy("cls").agg(F.count(F.lit(1)).alias("n")).collect()  # one row a class
+        of = {r.cls: r.n for r in sizes}
+        X = X.select("node", *[(F.col(c) / F.lit(float(of.get(i, 1)))).alias(c) for i, c in enumerate(names(k))])
+    return X
+
+
+def harmonic(edges: DataFrame, seeds: DataFrame, k: int, r: int = 4) -> DataFrame:
+    """Seeds stay; every other node takes the weighted mean of its neighbours."""
+    return propagate(edges, seeds, np.eye(k), alpha=1.0, gamma=1.0, eps=1.0, r=r, centred=False, start=_plain(seeds, k))
+
+
+def consistency(edges: DataFrame, seeds: DataFrame, k: int, a: float = 0.9, r: int = 4) -> DataFrame:
+    """a S B + (1 - a) X with the symmetric scaling S."""
+    return propagate(edges, seeds, np.eye(k), alpha=0.5, beta=0.5, eps=a, keep=1 - a, r=r, centred=False, start=_plain(seeds, k))
+
+
+def neighborhood(edges: DataFrame, seeds: DataFrame, k: int, a: float = 0.9, r: int = 4) -> DataFrame:
+    """a R B + (1 - a) X with the row scaling R (edge weights as given)."""
+    return propagate(edges, seeds, np.eye(k), alpha=1.0, eps=a, keep=1 - a, r=r, centred=False, start=_plain(seeds, k))
+
+
+def restart_walk(edges: DataFrame, seeds: DataFrame, k: int, a: float = 0.9, r: int = 4, seed_norm: bool = True) -> DataFrame:
+    """A walk with restarts for each class: a C b + (1 - a) x with the column scaling C; with ``seed_norm`` each x sums to 1.
+
+    The scaling changes the arg-max where classes have unequal numbers of seeds.
+    """
+    return propagate(edges, seeds, np.eye(k), beta=1.0, eps=a, keep=1 - a, r=r, centred=False, start=_plain(seeds, k, seed_norm))
+
+
+def two_class(edges: DataFrame, seeds: DataFrame, h: float = 0.1, r: int = 10) -> DataFrame:
+    """node, b0: the linear method for two classes with one number a node, b = x + c2 A b - c1 D b; b > 0 means class 0."""
+    c1, c2 = 4 * h * h / (1 - 4 * h * h), 2 * h / (1 - 4 * h * h)
+    P, deg = edges.repartition("dst").persist(), degrees(edges).persist()
+    X = seeds.select("node", F.when(F.col("cls") == 0, F.lit(0.5)).otherwise(F.lit(-0.5)).alias("b0"))
+    B = X
+    for i in range(1, r + 1):
+        B = summed([messages(P, B, 1, None, c2), X, scaled(B.join(deg, "node"), F.lit(-c1) * F.col("deg"), 1)], 1)
+        B = cut(B) if i % CUT == 0 or i == r else B
+    P.unpersist(), deg.unpersist()
+    return B
+
+
+def settle_steps(edges: DataFrame, seeds: DataFrame, K: np.ndarray, most: int = 10, *, alpha=0.0, beta=0.0, gamma=0.0, eps: float = 0.1) -> DataFrame:
+    """r, changed: nodes whose class differs between r - 1 and r updates; the labelling has settled from where on it is 0.
+
+    The classes after each update are rows of one frame, so the changes of all updates come from one window by node.
+    """
+    k = len(K)
+    P = operator(edges, seeds, alpha, beta, gamma).repartition("dst").persist()
+    X = residual(seeds, k)
+    B, told = X, predict(X, k).select("node", "cls", F.lit(0).alias("r"))
+    for r in range(1, most + 1):
+        B = cut(step(P, X, B, center(K), eps, None))
+        told = told.unionByName(predict(B, k).select("node", "cls", F.lit(r).alias("r")))
+    P.unpersist()
+    before = F.lag("cls").over(W.partitionBy("node").orderBy("r"))
+    return told.withColumn("new", before.isNull() | (before != F.col("cls"))).filter("r > 0").groupBy("r").agg(F.sum(F.col("new").cast("long")).alias("changed"))
+
+
 def vote_normalised(edges: DataFrame, seeds: DataFrame, k: int, r: int = 4) -> DataFrame:
     """Relational neighbour voting in its probabilistic form: neighbour averages, rows normalised to sum 1, seeds kept."""
     X = one_hot(seeds, k).select("node", *[F.col(c).cast("double").alias(c) for c in names(k)])
@@ -153,6 +328,8 @@ def pagerank(edges: DataFrame, *, a: float = 0.85, r: int = 4, echo: bool = Fals
     f, Q = nodes.withColumn("b0", F.lit(1.0 / n)), echo_diagonal(P) if echo else None
     for _ in range(r):
         f = step(P, jump, f, np.eye(1), a, Q)
+    f = cut(f)
+    P.unpersist()
     return f
 
 
@@ -195,15 +372,15 @@ def reconstruction_energy(edges: DataFrame, beliefs: DataFrame, k: int) -> DataF
 
 
 def closed_form(edges: DataFrame, seeds: DataFrame, K: np.ndarray, *, alpha=0.0, beta=0.0, gamma=0.0, eps=0.1, echo=False, most: int = 6_000) -> dict[int, np.ndarray]:
-    """Dense solution of the fixed point on the driver, for tests: at most ``most`` unknowns."""
+    """Dense solution of the fixed point on the driver, for tests: refused above ``most`` unknowns (nodes times classes)."""
     k, Kc = len(K), center(K)
     P = operator(edges, seeds, alpha, beta, gamma)
-    rows = P.limit(most * 50).collect()
-    xs = residual(seeds, k).collect()
+    n = P.select(F.explode(F.array("src", "dst")).alias("node")).unionByName(seeds.select("node")).agg(F.countDistinct("node")).first()[0]
+    if n * k > most:
+        raise ValueError(f"closed_form is for graphs of up to {most} unknowns, this one has {n * k}")
+    rows, xs = P.collect(), residual(seeds, k).collect()  # (most / k)^2 entries at most
     nodes = sorted({r.src for r in rows} | {r.dst for r in rows} | {x.node for x in xs})
     at = {n: i for i, n in enumerate(nodes)}
-    if len(nodes) * k > most:
-        raise ValueError(f"closed_form is for graphs of up to {most} unknowns")
     A, X = np.zeros((len(nodes), len(nodes))), np.zeros((len(nodes), k))
     for r in rows:
         A[at[r.src], at[r.dst]] += r.w

@@ -1,6 +1,7 @@
 """Neighbour-class counts over several hops, with and without backtracking, and the explicit baselines.
 
-The chain keeps n x k states and never forms a node-by-node matrix; only k x k counts reach the driver.
+The chain keeps n x k states and never forms a node-by-node matrix; only k x k counts reach the driver.  Counts of up to five hops are read
+off the products of states of up to three, so that only two hops go over all edges.
 Counts are of paths on the simple graph (weights are ignored).  Counts are BIGINT: they overflow only beyond 9e18, which ANSI mode reports.
 """
 
@@ -11,33 +12,42 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.labels import names, one_hot
-from .lineage import cut
+from .lineage import cut, small
 
 
-def _send(A: DataFrame, N: DataFrame, k: int) -> DataFrame:
-    return A.join(N.withColumnRenamed("node", "dst"), "dst").groupBy(F.col("src").alias("node")).agg(*[F.sum(c).alias(c) for c in names(k)])
+def _messages(A: DataFrame, N: DataFrame, k: int) -> DataFrame:
+    return A.join(N.withColumnRenamed("node", "dst"), "dst").select(F.col("src").alias("node"), *names(k))
+
+
+def _summed(rows: DataFrame, k: int) -> DataFrame:
+    return rows.groupBy("node").agg(*[F.sum(c).alias(c) for c in names(k)])
 
 
 def neighbor_counts(edges: DataFrame, seeds: DataFrame, k: int) -> DataFrame:
     """N_1: labelled neighbours of each class."""
-    return _send(edges.select("src", "dst"), one_hot(seeds, k), k)
+    return _summed(_messages(edges.select("src", "dst"), one_hot(seeds, k), k), k)
 
 
-def hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False, keep: bool = False) -> list[DataFrame]:
-    """N_1 .. N_lmax.  Without backtracking: N_2 = A N_1 - D X and N_l = A N_(l-1) - (D - I) N_(l-2).
+def _degrees(A: DataFrame) -> DataFrame:
+    return A.groupBy(F.col("src").alias("node")).agg(F.count(F.lit(1)).alias("deg"))
 
-    ``keep`` persists each state, for callers that act on every hop (the caller unpersists).
-    """
-    cols, A = names(k), edges.select("src", "dst")
-    deg = A.groupBy(F.col("src").alias("node")).agg(F.count(F.lit(1)).alias("deg"))
+
+def _next(A: DataFrame, deg: DataFrame, last: DataFrame, before: DataFrame, l: int, k: int, backtracking: bool) -> DataFrame:
+    """N_l from the two states before it: messages and echo are summed in one aggregation."""
+    rows = _messages(A, last, k)
+    if not backtracking:
+        factor = F.col("deg") if l == 2 else F.col("deg") - 1
+        rows = rows.unionByName(before.join(deg, "node").select("node", *[(-factor * F.col(c)).alias(c) for c in names(k)]))
+    return _summed(rows, k)
+
+
+def hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False) -> list[DataFrame]:
+    """N_1 .. N_lmax.  Without backtracking: N_2 = A N_1 - D X and N_l = A N_(l-1) - (D - I) N_(l-2)."""
+    A = edges.select("src", "dst")
+    deg = _degrees(A)
     states = [one_hot(seeds, k), neighbor_counts(edges, seeds, k)]
     for l in range(2, lmax + 1):
-        new = _send(A, states[-1], k)
-        if not backtracking:
-            factor = F.col("deg") if l == 2 else F.col("deg") - 1
-            echo = states[-2].join(deg, "node").select("node", *[(-factor * F.col(c)).alias(c) for c in cols])
-            new = new.unionByName(echo).groupBy("node").agg(*[F.sum(c).alias(c) for c in cols])
-        states.append(new.persist() if keep else new)
+        states.append(_next(A, deg, states[-1], states[-2], l, k, backtracking))
     return states[1:]
 
 
@@ -49,21 +59,95 @@ def pair_counts(N: DataFrame, seeds: DataFrame, k: int) -> DataFrame:
     return grid.join(flat, ["c", "d"], "left").select("c", "d", F.coalesce("cnt", F.lit(0)).cast("long").alias("cnt"))
 
 
-def count_matrices(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False) -> list[np.ndarray]:
-    """M_1 .. M_lmax on the driver: k x k numbers a hop."""
-    edges = edges.select("src", "dst").repartition("dst").persist()
-    out, states = [], hop_counts(edges, seeds, k, lmax, backtracking, keep=True)
-    for N in states:
-        M = np.zeros((k, k))
-        for r in seeds.join(N, "node").groupBy("cls").agg(*[F.sum(x).alias(x) for x in names(k)]).collect():
-            M[r.cls] = r[1:]
-        out.append(M)
-    for N in states[1:]:
-        N.unpersist()
-    edges.unpersist()
+def one_hop_matrix(edges: DataFrame, seeds: DataFrame, k: int) -> np.ndarray:
+    """M_1: only edges between seeds matter, so the edges meet the seeds on both sides and nothing else is moved."""
+    near = small(seeds)
+    c, d = near.select(F.col("node").alias("src"), F.col("cls").alias("c")), near.select(F.col("node").alias("dst"), F.col("cls").alias("d"))
+    M = np.zeros((k, k))
+    for r in edges.select("src", "dst").join(d, "dst").join(c, "src").groupBy("c", "d").agg(F.count(F.lit(1)).alias("n")).collect():
+        M[r.c, r.d] = r.n
+    return M
+
+
+#: M_l as sums of products (sign, a, b, w): N_a' W N_b with N_0 = X and W a power of the degrees D: "" I, "d" D, "d1" D - I, "d2" D - 2I.
+#: N_a' N_b counts walks of a + b hops that don't turn back but perhaps where both meet; those that do are counted by the other terms.
+_TURNLESS = {
+    1: [(1, 0, 1, "")],
+    2: [(1, 1, 1, ""), (-1, 0, 0, "d")],
+    3: [(1, 1, 2, ""), (-1, 0, 1, "d1")],
+    4: [(1, 2, 2, ""), (-1, 1, 1, "d2"), (-1, 0, 0, "d")],
+    5: [(1, 2, 3, ""), (-1, 1, 2, "d2"), (-1, 0, 1, "d1")],
+}
+
+
+def _products(l: int, backtracking: bool) -> list[tuple[int, int, int, str]]:
+    if backtracking:
+        return [(1, l // 2, l - l // 2, "")]
+    return _TURNLESS.get(l, [(1, 0, l, "")])
+
+
+def _all_products(states: list[DataFrame], deg: DataFrame, k: int, wanted: set, groups: list[list[int]]) -> dict:
+    """N_a' W N_b for each wanted (a, b, w), of the classes within each group: one row by node, then one aggregation."""
+    used = sorted({i for a, b, _ in wanted for i in (a, b)})
+    parts = [states[i].select("node", *[(F.col(c) if i == j else F.lit(0).cast("long")).alias(f"n{j}_{c}") for j in used for c in names(k)], F.lit(0).cast("long").alias("deg")) for i in used]
+    if any(w for _, _, w in wanted):
+        parts.append(deg.select("node", *[F.lit(0).cast("long").alias(f"n{j}_{c}") for j in used for c in names(k)], F.col("deg")))
+    both = parts[0]
+    for p in parts[1:]:
+        both = both.unionByName(p)
+    wide = both.groupBy("node").agg(*[F.sum(c).alias(c) for c in both.columns[1:]])
+    factor = {"": None, "d": F.col("deg"), "d1": F.col("deg") - 1, "d2": F.col("deg") - 2}
+    keys = [(*p, c, d) for p in sorted(wanted) for g in groups for c in g for d in g]
+    term = lambda a, b, w, c, d: F.col(f"n{a}_b{c}") * F.col(f"n{b}_b{d}") * (F.lit(1) if factor[w] is None else factor[w])
+    row = wide.agg(*[F.sum(term(*x)).alias(f"p{i}") for i, x in enumerate(keys)]).first()
+    out = {p: np.zeros((k, k)) for p in wanted}
+    for (a, b, w, c, d), v in zip(keys, row, strict=True):
+        out[a, b, w][c, d] = v or 0
     return out
 
 
+def count_matrices(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False, groups: list[list[int]] | None = None) -> list[np.ndarray]:
+    """M_1 .. M_lmax on the driver: k x k numbers a hop.  Callers that count on one graph again hold its edges cached or bucketed by ``dst``.
+
+    Several sets of seeds go together as classes of their own (``batch_seeds``): ``groups`` then says which classes belong together.
+    """
+    if lmax == 1 and groups is None:
+        return [one_hop_matrix(edges, seeds, k)]
+    A = edges.select("src", "dst")
+    wanted = {p[1:] for l in range(1, lmax + 1) for p in _products(l, backtracking)}
+    deg = _degrees(A).persist()
+    X = one_hot(seeds, k)
+    first = A.join(small(seeds).withColumnRenamed("node", "dst"), "dst").groupBy(F.col("src").alias("node")).agg(*[F.sum((F.col("cls") == c).cast("long")).alias(n) for c, n in enumerate(names(k))])
+    states = [X, first.persist()]
+    for l in range(2, max(b for _, b, _ in wanted) + 1):
+        states.append(_next(A, deg, states[-1], states[-2], l, k, backtracking).persist())
+    found = _all_products(states, deg, k, wanted, groups or [list(range(k))])
+    for df in [deg, *states[1:]]:
+        df.unpersist()
+    return [sum(sign * found[a, b, w] for sign, a, b, w in _products(l, backtracking)) for l in range(1, lmax + 1)]
+
+
+def batch_seeds(sets: list[DataFrame], k: int) -> tuple[DataFrame, list[list[int]]]:
+    """Several sets of seeds as one, with classes of their own for each, and the groups for ``count_matrices``: one pass serves all."""
+    both = None
+    for i, x in enumerate(sets):
+        own = x.select("node", (F.col("cls") + i * k).alias("cls"))
+        both = own if both is None else both.unionByName(own)
+    return both, [list(range(i * k, (i + 1) * k)) for i in range(len(sets))]
+
+
+def batched_matrices(edges: DataFrame, sets: list[DataFrame], k: int, lmax: int, backtracking: bool = False) -> list[list[np.ndarray]]:
+    """For each set of seeds its M_1 .. M_lmax, all from one pass over the graph a hop."""
+    seeds, groups = batch_seeds(sets, k)
+    found = count_matrices(edges, seeds, k * len(sets), lmax, backtracking, groups)
+    return [[M[np.ix_(g, g)] for M in found] for g in groups]
+
+
+def pairs_available(edges: DataFrame, seeds: DataFrame, k: int, lmax: int, backtracking: bool = False) -> list[int]:
+    """Labelled pairs that each hop offers to the estimators: the sums of M_1 .. M_lmax."""
+    return [int(M.sum()) for M in count_matrices(edges, seeds, k, lmax, backtracking)]
+
+
 def path_matrix(edges: DataFrame, l: int) -> DataFrame:
     """Entries (src, dst, n) of A^l: the baseline that grows by the degree with each hop."""
     if l > 3:
@@ -113,4 +197,5 @@ def weighted_hop_counts(edges: DataFrame, seeds: DataFrame, k: int, lmax: int) -
             ahead = E.join(out[-1].withColumnRenamed("node", "dst"), "dst").join(back, ["src", "dst"])
             over = cut(ahead.select("src", "dst", *[(F.col("w") * (F.col(c) - F.col(f"r{i}"))).alias(c) for i, c in enumerate(cols)]))
         out.append(over.groupBy(F.col("src").alias("node")).agg(*[F.sum(c).alias(c) for c in cols]))
+    E.unpersist()
     return out
