@@ -34,6 +34,15 @@ def read_edges(spark: SparkSession, path: str, kind: str = "csv", **options) ->
     return spark.read.schema(EDGES).csv(path, header=True, sep="\t" if kind == "tsv" else ",", mode="PERMISSIVE", **options).na.drop()
 
 
+def check_schema(df: DataFrame, schema: T.StructType = EDGES) -> DataFrame:
+    """``df`` if it has the schema's columns with their types, else an error that names the first difference."""
+    have = {f.name: f.dataType for f in df.schema}
+    for f in schema:
+        if have.get(f.name) != f.dataType:
+            raise TypeError(f"column {f.name} should be {f.dataType.simpleString()}, is {have[f.name].simpleString() if f.name in have else 'missing'}")
+    return df
+
+
 def normalise_edges(pairs: DataFrame) -> DataFrame:
     """(a, b, w) -> edges: no self-loops, no bad weights, parallel pairs summed, both directions."""
     good = pairs.filter("a <> b and w > 0 and not isnan(w)").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.col("w").cast("double").alias("w"))
@@ -123,6 +132,46 @@ def pages(spark, d) -> DataFrame:
     return normalise_edges(p.select("page_id", href.alias("href")).select((2 * F.col("page_id")).alias("a"), (2 * key + 1).alias("b"), F.lit(1.0).alias("w")))
 
 
+def link_ids(spark, d) -> DataFrame:
+    """id, href of the distinct links of pages."""
+    p = table(spark, d, "pages", "html")
+    href = p.select(F.explode(F.regexp_extract_all("html", F.lit('<a href="([^"]*)"'), 1)).alias("href")).distinct()
+    return href.select(F.conv(F.substring(F.md5("href"), 1, 12), 16, 10).cast("long").alias("id"), "href")
+
+
+def collisions(ids: DataFrame) -> DataFrame:
+    """collisions: strings beyond the first of an id.  48-bit ids are for up to some million strings; this tells."""
+    return ids.groupBy("id").agg((F.count(F.lit(1)) - 1).alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("collisions"))
+
+
+def page_labels(spark, d) -> DataFrame:
+    """The language that a page declares, by alphabet; links have none."""
+    p = table(spark, d, "pages", "page_id", "html").select((2 * F.col("page_id")).alias("node"), F.regexp_extract("html", '<html lang="([a-z]+)"', 1).alias("lang"))
+    p = p.filter("lang <> ''")
+    names = p.select("lang").distinct()
+    return p.join(F.broadcast(names.withColumn("cls", (F.row_number().over(W.orderBy("lang")) - 1).cast("int"))), "lang").select("node", "cls")
+
+
+def shared_lines(spark, d, least: int = 40) -> DataFrame:
+    """Documents that share a line of ``least`` characters or more, tied to the line's smallest doc_id: a star a line, not all pairs."""
+    docs = table(spark, d, "documents", "doc_id", "text")
+    lines = docs.select("doc_id", F.explode(F.array_distinct(F.split("text", "\n"))).alias("line")).filter(F.length("line") >= least).select("doc_id", F.sha2("line", 256).alias("h"))
+    first = lines.groupBy("h").agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    return normalise_edges(lines.join(first, "h").select("a", F.col("doc_id").alias("b"), F.lit(1.0).alias("w")))
+
+
+def doc_labels(spark, d, of: str) -> DataFrame:
+    """quality or toxic, of the documents that have it."""
+    return table(spark, d, "labels", "doc_id", of).filter(F.col(of).isNotNull()).select(F.col("doc_id").alias("node"), F.col(of).cast("int").alias("cls"))
+
+
+def step_labels(spark, d) -> DataFrame:
+    """Event types by alphabet."""
+    e = table(spark, d, "events", "event_id", "event_type")
+    names = e.select("event_type").distinct()
+    return e.join(F.broadcast(names.withColumn("cls", (F.row_number().over(W.orderBy("event_type")) - 1).cast("int"))), "event_type").select(F.col("event_id").alias("node"), "cls")
+
+
 def cosine(a: str, b: str):
     """Cosine of two arrays in double precision, in generated code."""
     product = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, p: s + p)
@@ -264,3 +313,8 @@ def knn(spark, d, k: int = 5, **options) -> DataFrame:
 def write_bucketed(edges: DataFrame, name: str, buckets: int = 64) -> None:
     """Edges bucketed by their sending node: propagation steps then never exchange them."""
     edges.write.bucketBy(buckets, "dst").sortBy("dst").mode("overwrite").saveAsTable(name)
+
+
+def write_run(df: DataFrame, path: str, run: str) -> None:
+    """Beliefs, predictions, a K or records of one run as a partition ``run=...`` of a Parquet folder; a second write replaces that run only."""
+    df.withColumn("run", F.lit(run)).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("run").parquet(path)

@@ -50,14 +50,37 @@ def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 day") ->
     return events.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
 
 
+def deduplicated(events: DataFrame, within: str = "1 day") -> DataFrame:
+    """Events without repeats of an event_id; a stream forgets ids that are older than ``within``."""
+    if events.isStreaming:
+        return events.withWatermark("ts", within).dropDuplicatesWithinWatermark(["event_id"])
+    return events.dropDuplicates(["event_id"])
+
+
+def with_classes(events: DataFrame, classes: DataFrame) -> DataFrame:
+    """Events with the class number of their type: a stream (or batch) joined with a static table (name, cls)."""
+    return events.join(F.broadcast(classes.withColumnRenamed("name", "event_type")), "event_type")
+
+
+def dropped_late(query) -> int:
+    """Rows that a streaming query has dropped as later than its watermark, over the progress it still remembers."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
 class RunningCompat:
-    """``foreachBatch`` sink: adds a micro-batch's pair counts, re-estimates K one-hop and keeps its drift."""
+    """``foreachBatch`` sink: adds a micro-batch's pair counts, re-estimates K one-hop and keeps its drift.
+
+    A micro-batch that is played again after a failure has the number of one seen before and is left out.
+    """
 
     def __init__(self, classes: list[str], variant: int = 1):
         self.at = {c: i for i, c in enumerate(classes)}
-        self.M, self.K, self.variant, self.drift = np.zeros((len(classes),) * 2), None, variant, []
+        self.M, self.K, self.variant, self.drift, self.last = np.zeros((len(classes),) * 2), None, variant, [], -1
 
     def __call__(self, steps: DataFrame, epoch: int) -> None:
+        if epoch <= self.last:
+            return
+        self.last = epoch
         for r in steps.groupBy("a", "b").count().collect():  # k x k rows
             i, j = self.at[r.a], self.at[r.b]
             self.M[i, j] += r["count"]
