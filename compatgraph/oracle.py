@@ -52,13 +52,15 @@ def residual(k: int) -> str:
     return ", x as (select node, " + ", ".join(f"(cls = {c})::int - {1 / k!r} as b{c}" for c in range(k)) + " from seeds)"
 
 
-def iterate(K, eps: float, r: int, echo: bool = False, start: str = "x") -> str:
+def iterate(K, eps: float, r: int, echo: bool = False, start: str = "x", keep: float | None = 1.0) -> str:
+    """States s1 .. sr; each update adds ``keep`` of x, or nothing of it."""
     k = len(K)
     out = ", q as (select a.src as node, sum(a.w * b.w) as q from p a join p b on a.src = b.dst and a.dst = b.src group by a.src)" if echo else ""
     for i in range(1, r + 1):
         last = start if i == 1 else f"s{i - 1}"
         m = ", ".join(f"{e} as b{d}" for d, e in enumerate(linear(K)))
-        parts = f"select * from x union all select p.src, {', '.join(f'{eps!r} * sum(p.w * m.b{d})' for d in range(k))} from p join (select node, {m} from {last}) m on m.node = p.dst group by p.src"
+        own = "" if keep is None else "select * from x union all " if keep == 1 else f"select node, {', '.join(f'{keep!r} * b{c} as b{c}' for c in range(k))} from x union all "
+        parts = own + f"select p.src as node, {', '.join(f'{eps!r} * sum(p.w * m.b{d}) as b{d}' for d in range(k))} from p join (select node, {m} from {last}) m on m.node = p.dst group by p.src"
         if echo:
             two = linear(np.asarray(K) @ np.asarray(K), "v.b")
             parts += f" union all select v.node, {', '.join(f'{-eps * eps!r} * q.q * ({e})' for e in two)} from {last} v join q on q.node = v.node"
@@ -66,6 +68,55 @@ def iterate(K, eps: float, r: int, echo: bool = False, start: str = "x") -> str:
     return out
 
 
+def predicted(state: str, name: str) -> str:
+    """CTE ``name`` (node, cls) of a state of three classes, by nine digits."""
+    return f", {name} as (select node, case when round(b0, 9) >= round(greatest(b1, b2), 9) then 0 when round(b1, 9) >= round(b2, 9) then 1 else 2 end as cls from {state})"
+
+
+def projected(t: str, by: str = "") -> str:
+    """CTEs from ``t`` (by, c, d, t) to the nearest symmetric three-class-or-more matrix with rows of sum 1: ``v`` (by, c, d, v); k is counted."""
+    g, on = (f"{by}, ", lambda a, b: f"a.{by} = b.{by} and ") if by else ("", lambda a, b: "")
+    link = lambda x, col: f"join u {x} on {f'{x}.{by} = y.{by} and ' if by else ''}{x}.c = y.{col}"
+    same = on("a", "b")
+    return (
+        f", kk as (select count(distinct c) as k from {t}), y as (select {f'a.{by}, ' if by else ''}a.c, a.d, (a.t + b.t) / 2 as s from {t} a join {t} b on {same}a.c = b.d and a.d = b.c)"
+        f", rho as (select {g}c, 1 - sum(s) as rho from y group by {g}c), u as (select {g}c, (rho - sum(rho) over ({f'partition by {by}' if by else ''}) / (2 * k)) / k as u from rho, kk)"
+        f", v as (select {f'y.{by}, ' if by else ''}y.c, y.d, s + p.u + q.u as v from y {link('p', 'c')} {link('q', 'd')})"
+    )
+
+
+def energy_solved(m: str) -> str:
+    """CTE ``h`` of three unknowns from one row of moments ``m`` (nn_cd, nx_cd): normal equations by Cramer's rule.
+
+    K = [[a, b, 1-a-b], [b, e, 1-b-e], [1-a-b, 1-b-e, a+2b+e-1]].
+    """
+    slopes = {"a": {(0, 0): 1, (0, 2): -1, (2, 0): -1, (2, 2): 1}, "b": {(0, 1): 1, (1, 0): 1, (0, 2): -1, (2, 0): -1, (1, 2): -1, (2, 1): -1, (2, 2): 2}, "e": {(1, 1): 1, (1, 2): -1, (2, 1): -1, (2, 2): 1}}
+    fixed = {(0, 2): 1, (2, 0): 1, (1, 2): 1, (2, 1): 1, (2, 2): -1}
+    product = lambda x, y: " + ".join(f"{f * g} * nn_{r}{t}" for (r, c), f in x.items() for (t, c2), g in y.items() if c == c2) or "0"
+    cells = [f"{product(x, y)} as a{i}{j}" for i, x in enumerate(slopes.values()) for j, y in enumerate(slopes.values())]
+    cells += [" + ".join(f"{f} * nx_{r}{c}" for (r, c), f in x.items()) + f" - ({product(x, fixed)}) as r{i}" for i, x in enumerate(slopes.values())]
+    det = lambda n: f"({n(0, 0)} * ({n(1, 1)} * {n(2, 2)} - {n(1, 2)} * {n(2, 1)}) - {n(0, 1)} * ({n(1, 0)} * {n(2, 2)} - {n(1, 2)} * {n(2, 0)}) + {n(0, 2)} * ({n(1, 0)} * {n(2, 1)} - {n(1, 1)} * {n(2, 0)}))"
+    whole = det(lambda i, j: f"a{i}{j}")
+    solved = ", ".join(f"{det(lambda i, j, x=x: f'r{i}' if j == x else f'a{i}{j}')} / {whole} as {n}" for x, n in enumerate(slopes))
+    return f", normal as (select {', '.join(cells)} from {m}), h as (select {solved} from normal)"
+
+
+def beliefs_of_messages(K, r: int, prior: float = 0.9) -> str:
+    """Loopy beliefs of three classes by products of messages, with ``edges`` and ``seeds`` given; the last CTE is ``bel``."""
+    k = len(K)
+    low = (1 - prior) / (k - 1)
+    out = ", pr as (select node, " + ", ".join(f"case when cls = {c} then {prior!r} when cls is null then {1 / k!r} else {low!r} end as p{c}" for c in range(k)) + " from (select distinct src as node from edges) left join seeds using (node))"
+    out += ", m0 as (select src, dst, " + ", ".join(f"1.0::double as b{c}" for c in range(k)) + " from edges)"
+    for i in range(r + 1):
+        out += f", f{i} as materialized (select n.node, {', '.join(f'any_value(n.p{c}) * product(m.b{c}) as b{c}' for c in range(k))} from pr n join m{i} m on m.dst = n.node group by n.node)"
+        if i < r:
+            raw = ", ".join(" + ".join(f"f.b{c} / o.b{c} * {float(K[c][d])!r}" for c in range(k)) + f" as c{d}" for d in range(k))
+            top = f"greatest({', '.join(f'c{d}' for d in range(k))})"
+            out += f", m{i + 1} as materialized (select src, dst, {', '.join(f'c{d} / {top} as b{d}' for d in range(k))} from (select e.src, e.dst, {raw} from edges e join f{i} f on f.node = e.src join m{i} o on o.src = e.dst and o.dst = e.src))"
+    total = " + ".join(f"b{c}" for c in range(k))
+    return out + f", bel as (select node, {', '.join(f'b{c} / ({total}) as b{c}' for c in range(k))} from f{r})"
+
+
 def rounded(k: int, digits: int = 6) -> str:
     return "node, " + ", ".join(f"round(b{c}, {digits}) + 0.0 as b{c}" for c in range(k))
 

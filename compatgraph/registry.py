@@ -12,6 +12,8 @@ from .functions.compat import center, identity_compat, strength_compat
 from .operators import labels as L
 from .operators import scaling as S
 from .plans import estimate, planted, propagate, walks
+from .plans.lineage import shared_dir
+from .sources import planted_source
 from .sources import tables as T
 from .streaming import pairs as stream
 from .workloads import WORKLOADS
@@ -57,14 +59,16 @@ query("residual_turns", O.graph("turns", HALF) + O.residual(3) + f" select {O.ro
 query("modulate_turns", O.graph("turns", HALF) + O.residual(3) + ", y as (select node, " + ", ".join(f"{e} as b{i}" for i, e in enumerate(O.linear(K3))) + f" from x) select {O.rounded(3)} from y")(lambda s, d: rounded(L.residual(turns(s, d)[2], 3).select("node", *L.modulate(3, K3)), 3))
 
 
-@query("shift_invariance", "select 0::bigint as differing")
+@query("shift_invariance", SQL["modulate_turns"])
 def shift_invariance(spark, d):
-    """Residual rows have one image under K and under K less a constant."""
-    x = L.residual(turns(spark, d)[2], 3)
-    a, b = (rounded(x.select("node", *L.modulate(3, K)), 3) for K in (K3, center(K3)))
-    return a.exceptAll(b).agg(F.count(F.lit(1)).alias("differing"))
+    """Residual rows under K less a constant; the SQL takes K itself, and the rows are the same."""
+    return rounded(L.residual(turns(spark, d)[2], 3).select("node", *L.modulate(3, center(K3))), 3)
 
 
+query("row_sums", O.graph("turns", HALF) + O.residual(3) + ", y as (select " + ", ".join(f"{e} as b{i}" for i, e in enumerate(O.linear(K3))) + " from x) select round(max(abs(b0 + b1 + b2))::double, 9) + 0.0::double as deviation from y")(
+    lambda s, d: L.row_sum_deviation(L.residual(turns(s, d)[2], 3).select("node", *L.modulate(3, K3)), 3).select((F.round("deviation", 9) + 0.0).alias("deviation"))
+)
+
 # --- scaling and clamping
 _W = " select src, dst, round(w, 9) + 0.0 as w from p"
 nine = lambda df: df.select("src", "dst", (F.round("w", 9) + 0.0).alias("w"))
@@ -85,6 +89,8 @@ def echo_diag(spark, d):
     return S.echo_diagonal(propagate.operator(*trade(spark, d)[::2], 0.0, 1.0, 0.5)).select("node", (F.round("q", 9) + 0.0).alias("q"))
 
 
+query("echo_diag_closed", SQL["echo_diag"])(lambda s, d: (lambda e, _, x: S.echo_diagonal_closed(e, x, 0.0, 1.0, 0.5))(*trade(s, d)).select("node", (F.round("q", 9) + 0.0).alias("q")))
+
 # --- the family
 EPS = {True: 0.0517, False: 0.5113}  # no round numbers: results then lie on no rounding tie
 for _name, _set in propagate.members().items():
@@ -99,6 +105,35 @@ query("prop_two_class", _two + O.scaled(0, 0) + O.residual(2) + O.iterate([[-0.3
 )
 
 
+@query("prop_narrow", SQL["prop_recommended"])
+def prop_narrow(spark, d):
+    """The recommended member with a state of (node, cls, v) rows."""
+    edges, _, seeds = turns(spark, d)
+    K = spark.createDataFrame([(c, e, float(center(K3)[c, e])) for c in range(3) for e in range(3)], "c int, d int, v double")
+    B = propagate.propagate_narrow(edges, seeds, K, 3, beta=1.0, gamma=0.5, eps=EPS[False], r=4)
+    return rounded(B.groupBy("node").pivot("cls", [0, 1, 2]).agg(F.sum("v")).toDF("node", "b0", "b1", "b2"), 3)
+
+
+# --- the members with the factors of the literature
+_ONE = ", x as (select node, " + ", ".join(f"(cls = {c})::int::double as b{c}" for c in range(3)) + " from seeds)"
+_SHARE = ", n as (select cls, count(*) as n from seeds group by cls), x as (select node, " + ", ".join(f"(s.cls = {c})::int / n::double as b{c}" for c in range(3)) + " from seeds s join n using (cls))"
+for _name, _scaling, _gamma, _x, _a, _keep, _run in (
+    ("harmonic", S.ROW, 1.0, _ONE, 1.0, 1.0, lambda e, x: propagate.harmonic(e, x, 3)),
+    ("consistency", S.SYM, 0.0, _ONE, 0.9, 1 - 0.9, lambda e, x: propagate.consistency(e, x, 3)),
+    ("neighborhood", S.ROW, 0.0, _ONE, 0.9, 1 - 0.9, lambda e, x: propagate.neighborhood(e, x, 3)),
+    ("restart_walk", S.COL, 0.0, _SHARE, 0.9, 1 - 0.9, lambda e, x: propagate.restart_walk(e, x, 3)),
+    ("restart_walk_raw", S.COL, 0.0, _ONE, 0.9, 1 - 0.9, lambda e, x: propagate.restart_walk(e, x, 3, seed_norm=False)),
+):
+    query(f"lit_{_name}", O.graph("turns", HALF) + O.scaled(*_scaling, _gamma) + _x + O.iterate(np.eye(3), _a, 4, keep=_keep) + f" select {O.rounded(3, 9)} from s4")(lambda s, d, f=_run: rounded(f(*turns(s, d)[::2]), 3, 9))
+_C1, _C2 = 4 * 0.01 / (1 - 4 * 0.01), 2 * 0.1 / (1 - 4 * 0.01)
+query(
+    "lit_two_class",
+    _two + ", dg as (select src as node, sum(w) as deg from edges group by src), x as (select node, case when cls = 0 then 0.5 else -0.5 end::double as b0 from seeds)"
+    + "".join(f", s{i} as materialized (select node, sum(b0) as b0 from (select * from x union all select e.src, {_C2!r} * sum(e.w * v.b0) from edges e join {'x' if i == 1 else f's{i - 1}'} v on v.node = e.dst group by e.src union all select v.node, {-_C1!r} * dg.deg * v.b0 from {'x' if i == 1 else f's{i - 1}'} v join dg using (node)) group by node)" for i in range(1, 11))
+    + " select node, round(b0, 6) + 0.0 as b0 from s10",
+)(lambda s, d: rounded(propagate.two_class(T.turns(s, d), L.hide_labels(T.turn_labels(s, d).withColumn("cls", (F.col("cls") > 1).cast("int")), HALF)), 1))
+
+
 def _vote_sql(r: int) -> str:
     out = O.graph("turns", HALF) + ", x as (select node, (cls = 0)::double as b0, (cls = 1)::double as b1, (cls = 2)::double as b2 from seeds)"
     for i in range(1, r + 1):
@@ -124,6 +159,24 @@ def radius_steps(spark, d):
     return spark.createDataFrame([(round(propagate.spectral_radius(T.turns(spark, d), 8, 0.0), 6),)], "radius double")
 
 
+# two-step ratios from hashed residual rows, as in the engine
+_H = ", h0 as (select node, " + ", ".join(f"{O.u(f'node || {chr(39)}:{c}{chr(39)}')} / 4294967296.0 as b{c}" for c in range(3)) + " from (select distinct src as node from edges)), x as (select node, " + ", ".join(f"b{c} - (b0 + b1 + b2) / 3 as b{c}" for c in range(3)) + " from h0)"
+query("radius_echo", O.graph("turns", HALF) + O.scaled(0.0, 0.0, 0.5) + _H + O.iterate(center(K3), 0.3, 8, True, keep=None) + " select round(sqrt(sqrt(sum(s8.b0 * s8.b0 + s8.b1 * s8.b1 + s8.b2 * s8.b2)) / (select sqrt(sum(b0 * b0 + b1 * b1 + b2 * b2)) from s6)), 6) as radius from s8")(
+    lambda s, d: s.createDataFrame([(round(propagate.operator_radius(propagate.operator(*turns(s, d)[::2], 0.0, 0.0, 0.5), K3, 0.3, rounds=8, tol=0.0), 6),)], "radius double")
+)
+
+
+@query("converges_echo")
+def converges_echo(spark, d):
+    """Limits without and with the echo term, and whether the update converges on either side of each."""
+    edges, _, seeds = turns(spark, d)
+    found = []
+    for echo in (False, True):
+        limit = propagate.stability_limit(edges, seeds, K3, echo=echo)
+        found += [(echo, limit, f, propagate.converges(edges, seeds, K3, f * limit, echo=echo)) for f in (0.9, 1.1)]
+    return spark.createDataFrame(found, "echo boolean, eps_star double, share double, converges boolean")
+
+
 _B2 = O.graph("turns", HALF) + O.scaled(0.0, 1.0, 0.5) + O.residual(3) + O.iterate(center(K3), 0.5, 3)
 query("energy_general", _B2 + " select round(sum(pow(s3.b0 - coalesce(s2.b0, 0), 2) + pow(s3.b1 - coalesce(s2.b1, 0), 2) + pow(s3.b2 - coalesce(s2.b2, 0), 2)), 6) as energy from s3 left join s2 using (node)")(
     lambda s, d: (lambda e, _, x: propagate.energy(e, propagate.propagate(e, x, K3, beta=1.0, gamma=0.5, eps=0.5, r=2), x, K3, beta=1.0, gamma=0.5, eps=0.5).select(F.round("energy", 6).alias("energy")))(*turns(s, d))
@@ -151,7 +204,7 @@ for _l in (1, 2, 3, 4):
 _COUNTS = O.graph("turns", HALF) + O.hops(3, 1) + ", m as (" + O.pairs(3, "n1") + ")"
 _NORM = {
     1: "select c, d, case when sum(cnt) over (partition by c) > 0 then cnt / sum(cnt) over (partition by c) else 1 / 3.0 end as t from m",
-    2: "select c, d, cnt / sqrt((case when sum(cnt) over (partition by c) > 0 then sum(cnt) over (partition by c) else 1 end) * (case when sum(cnt) over (partition by d) > 0 then sum(cnt) over (partition by d) else 1 end)::double) as t from m",
+    2: "select c, d, case when sum(cnt) over (partition by c) = 0 then 1 / 3.0 else cnt / sqrt((case when sum(cnt) over (partition by c) > 0 then sum(cnt) over (partition by c) else 1 end) * (case when sum(cnt) over (partition by d) > 0 then sum(cnt) over (partition by d) else 1 end)::double) end as t from m",
     3: "select c, d, 3.0 * cnt / (select sum(cnt) from m) as t from m",
 }
 
@@ -170,13 +223,31 @@ _nn = ", ".join([f"round(sum(n.b{c} * n.b{d}), 6) + 0.0 as nn_{c}{d}" for c in r
 query("energyfit_moments", O.graph("turns", HALF) + O.scaled(1.0, 0.0) + ", n as (select p.src as node, " + ", ".join(f"sum(p.w * (s.cls = {c})::int) as b{c}" for c in range(3)) + f" from p join seeds s on s.node = p.dst group by p.src) select {_nn} from n left join seeds s using (node)")(
     lambda s, d: (lambda m: m.select(*[(F.round(c, 6) + 0.0).alias(c) for c in m.columns]))(estimate.energy_moments(*turns(s, d)[::2], 3, alpha=1.0))
 )
-query("energyfit_solve")(lambda s, d: matrix(s, estimate.estimate_energy(*turns(s, d)[::2], 3, alpha=1.0), "v"))
-query("energyfit_constrained")(lambda s, d: matrix(s, estimate.estimate_energy(*turns(s, d)[::2], 3, alpha=1.0, mode="constrained"), "v"))
+_MOMENTS = "with " + SQL["energyfit_moments"].split("with ", 1)[1].rsplit(" select round(", 1)[0] + ", mo as (select " + ", ".join([f"sum(n.b{c} * n.b{d}) as nn_{c}{d}" for c in range(3) for d in range(3)] + [f"sum(n.b{c} * coalesce((s.cls = {d})::int, 0)) as nx_{c}{d}" for c in range(3) for d in range(3)]) + " from n left join seeds s using (node))"
+_CELLS = {(0, 0): "a", (0, 1): "b", (0, 2): "1 - a - b", (1, 1): "e", (1, 2): "1 - b - e", (2, 2): "a + 2 * b + e - 1"}
+_SOLVED = lambda less, moments=_MOMENTS: moments + O.energy_solved("mo") + " " + " union all ".join(f"select {c} as c, {d} as d, round({_CELLS[min(c, d), max(c, d)]} - {less}, 6) + 0.0 as v from h" for c in range(3) for d in range(3))
+for _name, _mode, _less in (("solve", "free", "0"), ("constrained", "constrained", "0"), ("residual", "residual", "1 / 3.0")):
+    query(f"energyfit_{_name}", _SOLVED(_less))(lambda s, d, m=_mode: matrix(s, estimate.estimate_energy(*turns(s, d)[::2], 3, alpha=1.0, mode=m), "v"))
+query("energyfit_labelled", _SOLVED("0", _MOMENTS.replace("from n left join seeds", "from n join seeds")))(lambda s, d: matrix(s, estimate.estimate_energy(*turns(s, d)[::2], 3, alpha=1.0, rows="labelled"), "v"))
+query("onehop_residual", _COUNTS + f", t as ({_NORM[1]})" + O.projected("t") + " select c, d, round(v - 1 / 3.0, 6) + 0.0 as v from v")(lambda s, d: matrix(s, estimate.estimate_onehop(*turns(s, d)[::2], 3, residual=True), "v"))
+query("multihop_residual")(lambda s, d: matrix(s, estimate.estimate_multihop(*turns(s, d)[::2], 3, residual=True), "v"))
+query("pairs_per_hop", O.graph("turns", HALF) + O.hops(3, 4) + " select l::int as hop, n from (" + " union all ".join(f"select {l} as l, (select coalesce(sum(cnt), 0)::bigint from ({O.pairs(3, f'n{l}')})) as n" for l in (1, 2, 3, 4)) + ")")(
+    lambda s, d: s.createDataFrame([(l + 1, n) for l, n in enumerate(walks.pairs_available(*turns(s, d)[::2], 3, 4))], "hop int, n long")
+)
+
+
+@query("estimate_report")
+def estimate_report(spark, d):
+    """What a five-hop estimate on turns rests on."""
+    r = estimate.estimate_report(*turns(spark, d)[::2], 3)
+    return spark.createDataFrame([(l + 1, n, e) for l, (n, e) in enumerate(zip(r.pairs, r.empty_rows, strict=True))], "hop int, pairs long, empty_rows array<int>")
+
+
 query("multihop_fit")(lambda s, d: matrix(s, estimate.estimate_multihop(*turns(s, d)[::2], 3), "v"))
-query("bp_turns")(lambda s, d: propagate.belief_propagation(*turns(s, d)[::2], K3))
+query("bp_turns", O.graph("turns", HALF) + O.beliefs_of_messages(K3, 4) + f" select {O.rounded(3)} from bel")(lambda s, d: rounded(propagate.belief_propagation(*turns(s, d)[::2], K3), 3))
 
 # --- predictions and measures
-_PRED = ", pred as (select node, case when round(b0, 9) >= round(greatest(b1, b2), 9) then 0 when round(b1, 9) >= round(b2, 9) then 1 else 2 end as cls from s4), hidden as (select l.node, l.cls as truth, coalesce(p.cls, 0) as cls from labels l left join pred p using (node) where l.node not in (select node from seeds))"
+_PRED = ", pred as (select node, case when round(b0, 9) >= round(greatest(b1, b2), 9) then 0 when round(b1, 9) >= round(b2, 9) then 1 else 2 end as cls from s4), hidden as (select l.node, l.cls as truth, coalesce(p.cls, -1) as cls from labels l left join pred p using (node) where l.node not in (select node from seeds))"
 _REC = O.graph("turns", HALF) + O.scaled(0.0, 1.0, 0.5) + O.residual(3) + O.iterate(center(K3), 0.5, 4) + _PRED
 
 
@@ -185,11 +256,16 @@ def held(spark, d):
     return L.hold_out(L.predict(propagate.member("recommended", edges, seeds, K3, eps=0.5, r=4), 3), labels, seeds)
 
 
-query("holdout_turns", _REC + " select count(*) as hidden, sum((truth = cls)::bigint)::bigint as correct from hidden")(lambda s, d: L.accuracy(held(s, d)))
+query("holdout_turns", _REC + " select count(*) as hidden, sum((truth = cls)::bigint)::bigint as correct, sum((cls < 0)::bigint)::bigint as unreached from hidden")(lambda s, d: L.accuracy(held(s, d)))
 query("confusion", _REC + " select truth, cls, count(*) as n from hidden group by all")(lambda s, d: L.confusion(held(s, d)))
 query("accuracy_by_class", _REC + " select truth, count(*) as n, round(avg((truth = cls)::int), 6) as recall from hidden group by truth")(lambda s, d: held(s, d).groupBy("truth").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("truth") == F.col("cls")).cast("int")), 6).alias("recall")))
-query("random_guess", O.graph("turns", HALF) + f" select count(*) as hidden, sum(({O.u('node')} % 3 = cls)::bigint)::bigint as correct from labels where node not in (select node from seeds)")(
-    lambda s, d: (lambda e, lab, x: lab.join(x, "node", "left_anti").agg(F.count(F.lit(1)).alias("hidden"), F.sum((L.uniform(F.col("node")) % 3 == F.col("cls")).cast("long")).alias("correct")))(*turns(s, d))
+_PER = _REC + ", k as (select unnest([0, 1, 2])::int as c), g as (select c, sum((truth = c and cls = c)::int) as hit, sum((truth = c)::int) as t, sum((cls = c)::int) as s from hidden, k group by c)"
+query("per_class", _PER + " select c as cls, round(case when s > 0 then hit / s end, 6) as precision, round(case when t > 0 then hit / t end, 6) as recall, round(case when s + t > 0 then 2 * hit / (s + t) end, 6) as f1 from g")(
+    lambda s, d: L.per_class(held(s, d), 3).select("cls", *[F.round(c, 6).alias(c) for c in ("precision", "recall", "f1")])
+)
+query("macro_accuracy", _PER + " select round(avg(case when t > 0 then hit / t end), 6) as macro from g")(lambda s, d: L.macro_accuracy(held(s, d), 3).select(F.round("macro", 6).alias("macro")))
+query("random_guess", O.graph("turns", HALF) + f" select count(*) as hidden, sum(({O.u('node')} % 3 = cls)::bigint)::bigint as correct, sum((cls < 0)::bigint)::bigint as unreached from labels where node not in (select node from seeds)")(
+    lambda s, d: (lambda e, lab, x: L.accuracy(L.hold_out(L.random_guess(lab, 3), lab, x)))(*turns(s, d))
 )
 query("top_conf", _REC + ", g as (select node, cls, greatest(b0, b1, b2) as top from s4 join pred using (node)) select node, cls, pos from (select node, cls, row_number() over (partition by cls order by round(top, 6) desc, node) as pos from g) where pos <= 5")(
     lambda s, d: (lambda b: b.join(L.predict(b, 3), "node").withColumn("pos", F.row_number().over(W.partitionBy("cls").orderBy(F.desc(F.round(F.greatest("b0", "b1", "b2"), 6)), "node"))).filter("pos <= 5").select("node", "cls", "pos"))(propagate.member("recommended", *turns(s, d)[::2], K3, eps=0.5, r=4))
@@ -202,9 +278,20 @@ query("l2_turns", _COUNTS + f", t as ({_NORM[1]}), k(c, d, v) as (values " + ",
 )
 query("path_nnz", O.graph("turns") + " select count(*) as edges, (select count(*) from (select distinct a.src, b.dst from edges a join edges b on a.dst = b.src)) as two_hop from edges")(lambda s, d: (lambda e: e.agg(F.count(F.lit(1)).alias("edges")).crossJoin(walks.path_matrix(e, 2).agg(F.count(F.lit(1)).alias("two_hop"))))(T.turns(s, d)))
 _RUNS = ", ".join(f"h{i} as (select avg(({O.u(f"'{i}:' || node")} % 3 = cls)::int) as a from labels)" for i in range(3))
-query("accuracy_stats", f"with {O.LABELS['turns']}, {_RUNS}, r as (select a from h0 union all select a from h1 union all select a from h2) select round(avg(a), 6) as mean, round(stddev_samp(a), 6) as std from r")(
-    lambda s, d: T.turn_labels(s, d).withColumn("run", F.explode(F.array(*[F.lit(i) for i in range(3)]))).groupBy("run").agg(F.avg((L.uniform(F.concat_ws(":", "run", "node")) % 3 == F.col("cls")).cast("int")).alias("a")).agg(F.round(F.avg("a"), 6).alias("mean"), F.round(F.stddev_samp("a"), 6).alias("std"))
-)
+
+
+@query("accuracy_stats", f"with {O.LABELS['turns']}, {_RUNS}, r as (select a from h0 union all select a from h1 union all select a from h2) select round(avg(a), 6) as mean, round(stddev_samp(a), 6) as std, round(stddev_samp(a) / sqrt(3), 6) as error from r")
+def accuracy_stats(spark, d):
+    """Mean, deviation and standard error of three random labellings."""
+    labels, runs = T.turn_labels(spark, d), None
+    for i in range(3):
+        own = L.accuracy(L.hold_out(L.random_guess(labels, 3, i), labels, labels.limit(0))).select((F.col("correct") / F.col("hidden")).alias("accuracy"))
+        runs = own if runs is None else runs.unionByName(own)
+    return L.accuracy_stats(runs).select(*[F.round(c, 6).alias(c) for c in ("mean", "std", "error")])
+
+
+_SETTLE = O.graph("turns", HALF) + O.scaled(0.0, 1.0, 0.5) + O.residual(3) + O.iterate(center(K3), 0.5, 4) + O.predicted("x", "l0") + "".join(O.predicted(f"s{i}", f"l{i}") for i in range(1, 5))
+query("settle_steps", _SETTLE + " " + " union all ".join(f"select {i} as r, count(*) filter (a.cls is null or a.cls <> b.cls) as changed from l{i} b left join l{i - 1} a using (node)" for i in range(1, 5)))(lambda s, d: propagate.settle_steps(*turns(s, d)[::2], K3, 4, beta=1.0, gamma=0.5, eps=0.5))
 
 # --- planted graphs
 _N = "n as (select count(*) as n from customer), cl as (select c_custkey as node, ((row_number() over (order by ('0x' || substr(md5('1:' || c_custkey), 1, 8))::bigint, c_custkey) - 1)) as r0 from customer), sz as (select c, n // 3 + (c < n % 3)::int as s from n, range(3) t(c)), bd as (select c, sum(s) over (order by c) as upto from sz), classes as (select node, (select min(c) from bd where r0 < upto)::int as cls from cl)"
@@ -215,9 +302,14 @@ query("planted_degrees", "with " + _N + ", rk as (select node, cls, row_number()
 )
 
 
-@query("planted_budget", "select c, d, n from (values " + ", ".join(f"({c}, {d}, {36 * (8 if (c, d) in ((0, 1), (1, 0), (2, 2)) else 1)}::bigint)" for c in range(3) for d in range(3)) + ") t(c, d, n)")
+_K3 = ", ".join(f"({c}, {d}, {float(K3[c, d])!r}::double)" for c in range(3) for d in range(3))
+_BUDGET = f"with n as (select count(*) * 5 as m from customer), k(c, d, v) as (values {_K3}), x as (select c, d, m * v / (select sum(v) from k) as exact from k, n), f as (select *, floor(exact + 1e-9)::bigint as low from x), bd as (select c, d, low + (row_number() over (order by round(low - exact, 6), least(c, d), greatest(c, d), c, d) <= (select m from n) - sum(low) over ())::bigint as n from f)"
+
+
+@query("planted_budget", _BUDGET + " select c, d, n from bd")
 def planted_budget(spark, d):
-    M = planted.edge_budget(1080, K3)
+    """Arcs of each class pair for a mean degree of 10 over the customers."""
+    M = planted.edge_budget(keys(spark, d).count() * 5, K3)
     return spark.createDataFrame([(c, x, int(M[c, x])) for c in range(3) for x in range(3)], "c int, d int, n long")
 
 
@@ -228,13 +320,7 @@ def graph9(spark, d, degree=10):
 query("planted_edges")(lambda s, d: graph9(s, d)[0])
 
 
-@query("planted_check", "select 0::bigint as off_budget")
-def planted_check(spark, d):
-    """Class pairs whose counts differ from the budget and its mirror image."""
-    edges, labels, M = graph9(spark, d)
-    both = M + M.T
-    want = spark.createDataFrame([(c, x, int(both[c, x])) for c in range(3) for x in range(3)], "c int, d int, want long")
-    return planted.planted_check(edges, labels).join(want, ["c", "d"], "full").filter("n is null or n <> want").agg(F.count(F.lit(1)).alias("off_budget"))
+query("planted_check", _BUDGET + " select a.c, a.d, a.n + b.n as n from bd a join bd b on a.c = b.d and a.d = b.c")(lambda s, d: planted.planted_check(*graph9(s, d)[:2]))
 
 
 @query("planted_labelled")
@@ -245,18 +331,27 @@ def planted_labelled(spark, d):
     return estimate.label_graph(edges, seeds, 3)
 
 
-query("block_model")(lambda s, d: planted.block_model(keys(s, d), planted.assign_classes(keys(s, d), [1 / 3] * 3), K3, 10))
-query("degree_hist", O.graph("copart") + ", g as (select src, count(*) as deg from edges group by src) select deg, count(*) as n from g group by deg")(lambda s, d: T.copart(s, d).groupBy("src").agg(F.count(F.lit(1)).alias("deg")).groupBy("deg").agg(F.count(F.lit(1)).alias("n")))
-query("clustered_adjacency", O.graph("turns") + ", o as (select node, ((row_number() over (order by cls, node) - 1) // 100)::int as bin from labels) select x.bin as row_bin, y.bin as col_bin, count(*) as n from edges e join o x on x.node = e.src join o y on y.node = e.dst group by all")(
-    lambda s, d: (lambda e, o: e.join(o.select(F.col("node").alias("src"), F.col("bin").alias("row_bin")), "src").join(o.select(F.col("node").alias("dst"), F.col("bin").alias("col_bin")), "dst").groupBy("row_bin", "col_bin").agg(F.count(F.lit(1)).alias("n")))(T.turns(s, d), _binned(T.turn_labels(s, d), 100))
+_ROWS = K3 / K3.sum(1, keepdims=True)
+_DRAW = "case " + " ".join(f"when s.cls = {c} then case when u < {float(np.cumsum(_ROWS[c])[0])!r} then 0 when u < {float(np.cumsum(_ROWS[c])[1])!r} then 1 else 2 end" for c in range(3)) + " end"
+query(
+    "block_model",
+    "with " + _N + f", num as (select node, cls, row_number() over (partition by cls order by {O.u("'b1:' || node")}, node) as r, count(*) over (partition by cls) as size from classes)"
+    + f", st as (select node, cls, {O.u("'x1:' || node || ':' || i")} / 4294967296.0 as u, {O.u("'y1:' || node || ':' || i")} / 4294967296.0 as v from classes, range(1, 6) t(i))"
+    + f", dr as (select s.node, s.v, {_DRAW} as d from st s), sz2 as (select cls, any_value(size) as size from num group by cls)"
+    + " select distinct dr.node as src, num.node as dst, 1.0::double as w from dr join sz2 on sz2.cls = dr.d join num on num.cls = dr.d and num.r = floor(dr.v * sz2.size)::bigint + 1 where dr.node <> num.node",
+)(lambda s, d: planted.block_model(keys(s, d), planted.assign_classes(keys(s, d), [1 / 3] * 3), K3, 10))
+query("degree_hist", O.graph("copart") + ", g as (select src, count(*) as deg from edges group by src) select deg, count(*) as n from g group by deg")(lambda s, d: planted.degree_histogram(T.copart(s, d)))
+query("clustered_adjacency", O.graph("turns") + f", o as (select node, ((row_number() over (order by cls, {O.u("'o:' || node")}, node) - 1) // 100)::int as bin from labels) select x.bin as row_bin, y.bin as col_bin, count(*) as n from edges e join o x on x.node = e.src join o y on y.node = e.dst group by all")(lambda s, d: planted.clustered_adjacency(T.turns(s, d), T.turn_labels(s, d), 100))
+query("coloring_conflicts", O.graph("tree") + ", l as (select distinct src as node, least(src % 4, 2) as cls from edges), r as (select node, (node // 4) % 2 as cls from l) select (select count(*) from edges e join l a on a.node = e.src join l b on b.node = e.dst where e.src < e.dst and a.cls = b.cls) as by_level, (select count(*) from edges e join r a on a.node = e.src join r b on b.node = e.dst where e.src < e.dst and a.cls = b.cls) as by_parity")(
+    lambda s, d: (lambda e, n: planted.coloring_conflicts(e, n.select("node", F.least(F.col("node") % 4, F.lit(2)).alias("cls"))).toDF("by_level").crossJoin(planted.coloring_conflicts(e, n.select("node", (F.floor(F.col("node") / 4) % 2).alias("cls"))).toDF("by_parity")))(T.tree(s, d), T.tree(s, d).select(F.col("src").alias("node")).distinct())  # one row each
 )
 
 
-def _binned(labels: DataFrame, size: int) -> DataFrame:
-    """Nodes renumbered by class and id in two levels: class counts give each class its base."""
-    base = labels.groupBy("cls").agg(F.count(F.lit(1)).alias("n"))
-    before = base.alias("x").join(base.alias("y"), F.col("y.cls") < F.col("x.cls"), "left").groupBy("x.cls").agg(F.coalesce(F.sum("y.n"), F.lit(0)).alias("base"))
-    return labels.join(before, "cls").select("node", F.floor((F.row_number().over(W.partitionBy("cls").orderBy("node")) - 1 + F.col("base")) / size).cast("int").alias("bin"))
+@query("planted_source")
+def planted_graph_source(spark, d):
+    """Arcs from the Python data source, on as many nodes as there are customers."""
+    planted_source.register(spark)
+    return spark.read.format("planted").options(nodes=keys(spark, d).count(), degree=10, partitions=4).load()
 
 
 # --- general operators a user of the methods needs
@@ -290,8 +385,8 @@ query("ntile_degree", O.graph("tree") + ", g as (select src as node, count(*) as
 )
 query("running_budget", "select o_custkey, o_orderkey, round(sum(o_totalprice) over (partition by o_custkey order by o_orderkey rows unbounded preceding), 2) as spent from orders")(lambda s, d: T.table(s, d, "orders", "o_custkey", "o_orderkey", "o_totalprice").select("o_custkey", "o_orderkey", F.round(F.sum("o_totalprice").over(W.partitionBy("o_custkey").orderBy("o_orderkey").rowsBetween(W.unboundedPreceding, 0)), 2).alias("spent")))
 query("json_props_weight", "select user_id, sum(json_extract_string(props, '$.k')::bigint)::bigint as w from events group by user_id")(lambda s, d: T.table(s, d, "events", "user_id", "props").groupBy("user_id").agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("w")))
-query("asof_events", "select user_id, event_id, (select max(y.event_id) from events y where y.user_id = x.user_id and y.event_type <> x.event_type and (y.ts < x.ts or y.ts = x.ts and y.event_id < x.event_id)) as before from events x where event_type = 'purchase'")(
-    lambda s, d: T.table(s, d, "events", "user_id", "event_id", "event_type", "ts").withColumn("before", F.max(F.when(F.col("event_type") != "purchase", F.col("event_id"))).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1))).filter("event_type = 'purchase'").select("user_id", "event_id", "before")
+query("asof_events", "select x.user_id, x.event_id, y.event_id as before from (select * from events where event_type = 'purchase') x asof left join (select * from events where event_type <> 'purchase') y on x.user_id = y.user_id and x.ts > y.ts")(
+    lambda s, d: T.table(s, d, "events", "user_id", "event_id", "event_type", "ts").withColumn("before", F.last(F.when(F.col("event_type") != "purchase", F.col("event_id")), True).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1))).filter("event_type = 'purchase'").select("user_id", "event_id", "before")
 )
 query("interval_events", "select x.event_id as a, y.event_id as b from events x join events y on x.user_id = y.user_id and y.ts > x.ts and y.ts <= x.ts + interval 1 hour")(
     lambda s, d: (lambda e: e.alias("x").join(e.alias("y"), (F.col("x.user_id") == F.col("y.user_id")) & (F.col("y.ts") > F.col("x.ts")) & (F.col("y.ts") <= F.col("x.ts") + F.expr("interval 1 hour"))).select(F.col("x.event_id").alias("a"), F.col("y.event_id").alias("b")))(T.table(s, d, "events", "user_id", "event_id", "ts"))
@@ -303,13 +398,26 @@ query("sliding_pairs", "with " + _STEPS + ", w as (select a, b, time_bucket(inte
 query("session_pairs", "with g as (select user_id, ts, (coalesce(ts - lag(ts) over w >= interval 30 minute, true))::int as new from events window w as (partition by user_id order by ts, event_id)), s as (select *, sum(new) over (partition by user_id order by ts rows unbounded preceding) as i from g) select user_id, min(ts) as start, count(*) as n from s group by user_id, i")(lambda s, d: stream.sessions(T.table(s, d, "events", *_EV)))
 
 
-@query("csv_roundtrip", O.graph("turns") + " select * from edges")
-def csv_roundtrip(spark, d):
+def roundtrip(spark, d, kind: str) -> DataFrame:
+    """Edges of turns written in a format and read with the fixed schema."""
     import uuid
 
-    at = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints") + f"/edges-{uuid.uuid4().hex}"
-    T.turns(spark, d).write.csv(at, header=True)
-    return T.read_edges(spark, at)
+    at = shared_dir(spark) + f"/edges-{uuid.uuid4().hex}"
+    out = T.turns(spark, d).write
+    {"csv": lambda: out.csv(at, header=True), "tsv": lambda: out.csv(at, header=True, sep="\t"), "json": lambda: out.json(at), "orc": lambda: out.orc(at)}[kind]()
+    return T.check_schema(T.read_edges(spark, at, kind))
+
+
+for _kind in ("csv", "tsv", "json", "orc"):
+    query(f"{_kind}_roundtrip", O.graph("turns") + " select * from edges")(lambda s, d, k=_kind: roundtrip(s, d, k))
+query("link_collisions", "with l as (select distinct unnest(regexp_extract_all(html, '<a href=\"([^\"]*)\"', 1)) as h from pages), i as (select ('0x' || substr(md5(h), 1, 12))::bigint as id from l) select count(*) - count(distinct id) as collisions from i")(lambda s, d: T.collisions(T.link_ids(s, d)))
+query("edges_lines", "with l as (select doc_id, unnest(list_distinct(string_split(text, chr(10)))) as line from documents), g as (select doc_id, min(doc_id) over (partition by line) as a, line from l where length(line) >= 40), raw as (select a, doc_id as b, count(*)::double as w from g where a <> doc_id group by all), edges as (select a as src, b as dst, w from raw union all select b, a, w from raw) select * from edges")(T.shared_lines)
+query("page_langs", "with p as (select 2 * page_id as node, regexp_extract(html, '<html lang=\"([a-z]+)\"', 1) as lang from pages), n as (select lang, (row_number() over (order by lang) - 1)::int as cls from (select distinct lang from p where lang <> '')) select node, cls from p join n using (lang)")(T.page_labels)
+query("dedup_events", "select distinct event_id, ts, user_id, event_type from events")(lambda s, d: (lambda e: stream.deduplicated(e.unionByName(e)))(T.table(s, d, "events", "event_id", "ts", "user_id", "event_type")))
+query("typed_events", "with n as (select (row_number() over (order by t) - 1)::int as cls, t from (select distinct event_type as t from events)) select event_id, event_type, cls from events join n on t = event_type")(
+    lambda s, d: stream.with_classes(T.table(s, d, "events", "event_id", "event_type"), QUERIES["class_dict"](s, d)).select("event_id", "event_type", "cls")
+)
+query("approx_reach")(lambda s, d: (lambda e, _, x: e.join(x.select(F.col("node").alias("dst")), "dst", "left_semi").agg(F.approx_count_distinct("src").alias("about"), F.countDistinct("src").alias("reached")))(*turns(s, d)))
 
 # --- weighted walks, hubs, further energies, neighbour graphs
 _b5 = lambda expr: ", ".join(f"sum({expr.format(c)}) as b{c}" for c in range(5))
@@ -363,12 +471,15 @@ query(
 )(lambda s, d: rounded(propagate.belief_propagation(T.tree(s, d), T.table(s, d, "region", "r_regionkey").select((4 * F.col("r_regionkey")).cast("long").alias("node"), F.col("r_regionkey").cast("int").alias("cls")), K5, r=4), 5))
 
 
-@query("closed_form_micro")
+_RING = "with edges as (select * from (values " + ", ".join(f"({a}, {b}, 1.0::double)" for x, y in ((0, 1), (1, 2), (2, 3), (0, 3), (3, 4), (4, 5)) for a, b in ((x, y), (y, x))) + ") t(src, dst, w)), seeds as (select * from (values (0, 0), (1, 1), (4, 2)) t(node, cls))"
+
+
+@query("closed_form_micro", _RING + O.scaled(0, 0) + O.residual(3) + O.iterate(center(K3), 0.1, 16) + f" select {O.rounded(3)} from s16")
 def closed_form_micro(spark, d):
-    """The fixed point of a ring with a tail, solved densely."""
+    """The fixed point of a ring with a tail, solved densely; the SQL iterates until nothing moves."""
     edges = T.normalise_edges(spark.createDataFrame([(0, 1, 1.0), (1, 2, 1.0), (2, 3, 1.0), (3, 0, 1.0), (3, 4, 1.0), (4, 5, 1.0)], "a long, b long, w double"))
     seeds = spark.createDataFrame([(0, 0), (1, 1), (4, 2)], "node long, cls int")
-    return spark.createDataFrame([(int(n), *map(float, b)) for n, b in propagate.closed_form(edges, seeds, K3).items()], "node long, b0 double, b1 double, b2 double")
+    return rounded(spark.createDataFrame([(int(n), *map(float, b)) for n, b in propagate.closed_form(edges, seeds, K3).items()], "node long, b0 double, b1 double, b2 double"), 3)
 
 
 query("semi_seeds", O.graph("trade", HALF) + " select * from edges where dst in (select node from seeds)")(lambda s, d: (lambda e, _, x: e.join(x.select(F.col("node").alias("dst")), "dst", "left_semi").select("src", "dst", "w"))(*trade(s, d)))
@@ -386,12 +497,20 @@ _MARGIN = "round(greatest(b0, b1, b2) - (b0 + b1 + b2 - greatest(b0, b1, b2) - l
 query("topk_margin", _REC + f" select node, {_MARGIN} as margin from s4 order by margin desc, node limit 20")(lambda s, d: (lambda e, _, x: propagate.member("recommended", e, x, K3, eps=0.5, r=4).select("node", F.expr(_MARGIN).alias("margin")).orderBy(F.desc("margin"), "node").limit(20))(*turns(s, d)))
 
 
-@query("onehop_by_day")
+_DAYS = (
+    "with " + _STEPS + ", n as (select t, (row_number() over (order by t) - 1)::int as i from (select distinct event_type as t from events)), w as (select date_trunc('day', ts)::timestamp as start, a, b, count(*) as n from st group by all)"
+    ", one as (select start, x.i as c, y.i as d, n from w join n x on x.t = a join n y on y.t = b), cells as (select start, c, d, n from one union all select start, d, c, n from one), grid as (select start, x.i as c, y.i as d from (select distinct start from w), n x, n y)"
+    ", m as (select g.start, g.c, g.d, coalesce(sum(n), 0) as cnt from grid g left join cells e on e.start = g.start and e.c = g.c and e.d = g.d group by all)"
+    ", t as (select start, c, d, case when sum(cnt) over (partition by start, c) > 0 then cnt / sum(cnt) over (partition by start, c) else 0.2 end as t from m)"
+)
+
+
+@query("onehop_by_day", _DAYS + O.projected("t", "start") + " select start, c, d, round(v, 6) + 0.0 as v from v")
 def onehop_by_day(spark, d):
     """A one-hop K of the event types of each day."""
     days = stream.windowed(stream.class_steps(T.table(spark, d, "events", "ts", "event_id", "user_id", "event_type")))
     types = [r.event_type for r in T.table(spark, d, "events", "event_type").distinct().orderBy("event_type").collect()]  # one row a class
-    return estimate.compat_by_group(days, "start", types)
+    return estimate.compat_by_group(days, "start", types).select("start", "c", "d", (F.round("v", 6) + 0.0).alias("v"))
 
 
 @query("compat_rows", "select c, d, v from (values " + ", ".join(f"({c}, {e}, {float(K3[c, e])!r}::double)" for c in range(3) for e in range(3)) + ") t(c, d, v)")
@@ -401,6 +520,15 @@ def compat_rows(spark, d):
     return spark.sql("select * from compat_rows(array(" + ", ".join(f"{v!r}D" for v in K3.reshape(-1).tolist()) + "))")
 
 
+@query("label_graph_sql", "select node from (select distinct src as node from (" + O.graph("turns") + " select src from edges))")
+def label_graph_sql(spark, d):
+    """Every node of the turns that SQL users find labelled, most of its seeds known: those reached are all."""
+    edges, labels, _ = turns(spark, d)
+    edges.createOrReplaceTempView("turn_edges"), labels.createOrReplaceTempView("turn_seeds")
+    estimate.label_graph_sql(spark, "turn_edges", "turn_seeds", 3, "turn_labels_found", "onehop", s=0.5)
+    return spark.sql("select node from turn_labels_found left semi join turn_edges on node = src")
+
+
 def queries() -> dict:
     return dict(QUERIES)
 

@@ -1,176 +1,246 @@
-"""The experiments on planted graphs over the keys of ``customer``: each returns one row a setting."""
+"""The experiments on planted graphs: each returns one row a setting.
+
+Graphs are planted over the keys of ``customer`` unless a workload says otherwise, and settings are the published ones but for the number of
+nodes, which is the table's.  Sweeps share passes: all pairs of step count and stability ratio come from one run of the steps, and all
+repetitions or label shares of a graph from one run of the hops (as classes of their own).  What a workload caches it releases.
+"""
 
 from __future__ import annotations
 
 import time
+import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.compat import center, fit_powers, identity_compat, nearest_compat, normalize_counts, radius, strength_compat
-from .operators.labels import accuracy, hide_labels, hold_out, predict, uniform
+from .functions.compat import balanced_rows, center, cyclic_compat, fit_powers, identity_compat, nearest_compat, normalize_counts, radius, strength_compat
+from .operators.labels import accuracy, hide_labels, hold_out, modulate, names, predict, residual, uniform
 from .plans.estimate import estimate_energy
-from .plans.planted import planted_graph, ranked
 from .plans.lineage import cut
-from .plans.propagate import members, operator, propagate, spectral_radius
-from .plans.walks import count_matrices, path_matrix
-from .sources.tables import knn, table, trade, trade_labels, tree, tree_labels, turn_labels, turns
+from .plans.planted import clustered_adjacency, degree_histogram, planted_graph, ranked
+from .plans.propagate import member, members, operator, propagate, send, spectral_radius
+from .plans.walks import batched_matrices, count_matrices, path_matrix
+from .sources.tables import doc_labels, knn, page_labels, pages, same_text, shared_lines, step_labels, steps, table, trade, trade_labels, tree, tree_labels, turn_labels, turns
 
 REC = {"alpha": 0.0, "beta": 1.0, "gamma": 0.5, "r": 4}
+SHARES = (0.001, 0.01, 0.02, 0.1, 0.5, 0.9)
+OPTIONS = ((1, 1, 10.0), (2, 1, 10.0), (3, 1, 10.0), (4, 1, 10.0), (5, 1, 10.0), (1, 2, 10.0), (2, 2, 10.0), (3, 2, 10.0), (4, 2, 10.0), (5, 2, 10.0), (1, 3, 10.0), (2, 3, 10.0), (3, 3, 10.0), (4, 3, 10.0), (5, 3, 10.0), (5, 1, 0.1), (5, 1, 1.0), (5, 1, 100.0), (5, 1, 1000.0))
 
 
-def hide_stratified(labels: DataFrame, f: float) -> DataFrame:
-    """Seeds: of each class the share ``f`` of least hash.  Equal shares matter for s > 1, where the mean of the seeds grows fastest."""
+def hide_stratified(labels: DataFrame, f: float, run: int | None = None) -> DataFrame:
+    """Seeds: of each class the share ``f`` of least hash, one at least.  Equal shares matter for s > 1, where the mean of the seeds grows fastest."""
     sizes = labels.groupBy("cls").agg(F.greatest(F.lit(1), F.round(F.count(F.lit(1)) * f)).alias("most"))
-    own = ranked(labels.withColumn("u", uniform(F.col("node"))), ["cls"], "u", ["node"], "r").join(sizes, "cls")
+    key = F.col("node") if run is None else F.concat_ws(":", F.lit(str(run)), F.col("node").cast("string"))
+    own = ranked(labels.withColumn("u", uniform(key)), ["cls"], "u", ["node"], "r").join(F.broadcast(sizes), "cls")  # one row a class
     return own.filter("r <= most").select("node", "cls")
 
 
-def fixture(spark: SparkSession, d: str, h: float, degree: float, f: float, name: str = "customer", key: str = "c_custkey"):
-    edges, labels, _ = planted_graph(table(spark, d, name, key).withColumnRenamed(key, "node"), strength_compat(h), degree)
+@contextmanager
+def planted(spark: SparkSession, d: str, h: float, degree: float, f: float = 0.1, name: str = "customer", key: str = "c_custkey", nodes: DataFrame | None = None) -> Iterator[tuple[DataFrame, DataFrame, DataFrame]]:
+    """Edges (cached by sending node while in use), labels and seeds of a planted graph."""
+    keys = table(spark, d, name, key).withColumnRenamed(key, "node") if nodes is None else nodes
+    edges, labels, _ = planted_graph(keys, strength_compat(h), degree)
     edges = edges.repartition("dst").persist()
-    return edges, labels, cut(hide_stratified(labels, f))
+    try:
+        yield edges, labels, cut(hide_stratified(labels, f))
+    finally:
+        edges.unpersist()
 
 
 def score(edges, labels, seeds, K, **options) -> float:
-    got = accuracy(hold_out(predict(propagate(edges, seeds, K, **options), 3), labels, seeds)).first()
-    return got.correct / max(1, got.hidden)
+    got = accuracy(hold_out(predict(propagate(edges, seeds, K, **options), len(K)), labels, seeds)).first()
+    return (got.correct or 0) / max(1, got.hidden)
 
 
 def rows(spark: SparkSession, found: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(found, schema)
 
 
-def headline(spark, d) -> DataFrame:
-    """Known K with the recommended member, the linear baseline, estimated K, random guess; few labels."""
-    h, f = 8, 0.02
-    edges, labels, seeds = fixture(spark, d, h, 25, f)
+def headline(spark, d, name: str = "customer", key: str = "c_custkey") -> DataFrame:
+    """Known K with the recommended member, the linear baseline, estimated K, identity, random guess; few labels."""
+    h = 8
     K = strength_compat(h)
-    est = fit_powers([normalize_counts(M) for M in count_matrices(edges, seeds, 3, 5)])[0]
-    return rows(spark, [("recommended", score(edges, labels, seeds, K, s=5.0, **REC)), ("linear", score(edges, labels, seeds, K, s=0.5, r=10)), ("estimated", score(edges, labels, seeds, est, s=5.0, **REC)), ("identity", score(edges, labels, seeds, identity_compat(3), s=0.5, **REC)), ("random", 1 / 3)], "method string, accuracy double")
-
-
-def sweep_steps(spark, d) -> DataFrame:
-    """Iterations by stability ratio on the raw matrix."""
-    edges, labels, seeds = fixture(spark, d, 5, 25, 0.05)
-    limit = 1 / (spectral_radius(edges) * radius(center(strength_compat(5))))
-    return rows(spark, [(r, s, score(edges, labels, seeds, strength_compat(5), eps=s * limit, r=r)) for r in (1, 4) for s in (0.5, 3.0)], "r int, s double, accuracy double")
+    with planted(spark, d, h, 25, 0.008, name, key) as (edges, labels, seeds):
+        est = fit_powers([normalize_counts(M) for M in count_matrices(edges, seeds, 3, 5)])[0]
+        found = [("recommended", K, {"s": 5.0, **REC}), ("linear", K, {"s": 0.5, "r": 10}), ("estimated", est, {"s": 5.0, **REC}), ("estimated, linear", est, {"s": 0.5, "r": 10}), ("identity", identity_compat(3), {"s": 0.5, **REC})]
+        scored = [(who, score(edges, labels, seeds, M, **o)) for who, M, o in found]
+    return rows(spark, [*scored, ("random", 1 / 3)], "method string, accuracy double")
+
+
+def step_terms(P: DataFrame, seeds: DataFrame, K: np.ndarray, most: int) -> DataFrame:
+    """node, i, b0..: P^i X K^i for i = 0 .. ``most``.  Beliefs for any eps and r are their sums with eps^i over i <= r."""
+    k, Z = len(K), residual(seeds, len(K))
+    out = Z.withColumn("i", F.lit(0))
+    for i in range(1, most + 1):
+        Z = cut(send(P, Z.select("node", *modulate(k, center(K))), k))
+        out = out.unionByName(Z.withColumn("i", F.lit(i)))
+    return out
+
+
+def sweep_steps(spark, d, steps_=(1, 2, 4, 10, 20), ratios=(0.1, 0.5, 1.0, 3.0, 10.0)) -> DataFrame:
+    """Iterations by stability ratio on the raw matrix: the terms of 20 steps give all settings, as columns of one aggregation."""
+    K = strength_compat(5)
+    with planted(spark, d, 5, 25, 0.05) as (edges, labels, seeds):
+        limit = 1 / (spectral_radius(edges) * radius(center(K)))
+        settings = [(r, s) for r in steps_ for s in ratios]
+        # shares of the limit: the terms stay in range when scaled with it
+        terms = step_terms(edges.select("src", "dst", (F.col("w") * limit).alias("w")), seeds, K, max(steps_))
+        sums = [F.sum(F.when(F.col("i") <= r, F.col(c) * F.pow(F.lit(s), "i"))).alias(f"s{j}_{c}") for j, (r, s) in enumerate(settings) for c in names(3)]
+        wide = terms.groupBy("node").agg(*sums).join(seeds.select("node"), "node", "left_anti").join(labels.withColumnRenamed("cls", "truth"), "node", "right")
+        hidden = wide.join(seeds.select("node"), "node", "left_anti")
+        right = []
+        for j in range(len(settings)):
+            b = [F.round(F.col(f"s{j}_{c}"), 9) for c in names(3)]
+            cls = F.coalesce(*[F.when(x == F.greatest(*b), F.lit(c)) for c, x in enumerate(b)])
+            right.append(F.avg(F.coalesce((cls == F.col("truth")).cast("int"), F.lit(0))).alias(f"a{j}"))
+        got = hidden.agg(*right).first()
+    return rows(spark, [(r, s, float(got[j] or 0)) for j, (r, s) in enumerate(settings)], "r int, s double, accuracy double")
 
 
 def scaling_grid(spark, d) -> DataFrame:
     """Scaling and clamping, echo on and off."""
-    edges, labels, seeds = fixture(spark, d, 5, 25, 0.05)
     found = []
-    for a, b, g, echo in ((0, 0, 0, False), (0, 0, 1, False), (0, 1, 0, False), (0.5, 0.5, 0, False), (0.5, 0.5, 1, False), (0, 1, 0.5, False), (0, 1, 0.5, True)):
-        found.append((float(a), float(b), float(g), echo, score(edges, labels, seeds, strength_compat(5), alpha=a, beta=b, gamma=g, echo=echo, s=3.0, r=4)))
+    with planted(spark, d, 5, 25, 0.05) as (edges, labels, seeds):
+        for a, b, g, echo in ((0, 0, 0, False), (0, 0, 1, False), (0, 1, 0, False), (0.5, 0.5, 0, False), (0.5, 0.5, 1, False), (0, 1, 0.5, False), (0, 1, 0.5, True)):
+            limit = 1 / radius(center(strength_compat(5))) if a + b == 1 else None
+            own = {"eps": 3.0 * limit} if limit else {"s": 3.0}  # with and without echo at one eps
+            found.append((float(a), float(b), float(g), echo, score(edges, labels, seeds, strength_compat(5), alpha=a, beta=b, gamma=g, echo=echo, r=4, **own)))
     return rows(spark, found, "alpha double, beta double, gamma double, echo boolean, accuracy double")
 
 
 def ratio_clamped(spark, d) -> DataFrame:
     """Unscaled stability ratio (radius at eps = 1) with and without clamping."""
-    edges, _, seeds = fixture(spark, d, 5, 25, 0.05)
     k = radius(center(strength_compat(5)))
-    return rows(spark, [(g, k * spectral_radius(operator(edges, seeds, 0, 0, g))) for g in (0.0, 1.0)], "gamma double, s0 double")
+    with planted(spark, d, 5, 25, 0.05) as (edges, _, seeds):
+        found = [(g, k * spectral_radius(operator(edges, seeds, 0, 0, g))) for g in (0.0, 1.0)]
+    return rows(spark, found, "gamma double, s0 double")
 
 
 def estimator_error(spark, d) -> DataFrame:
     """Distance from the planted K by hops, normalisation and weight; paths with and without backtracking."""
-    h = 8
-    edges, _, seeds = fixture(spark, d, h, 25, 0.1)
-    true, found = strength_compat(h), []
-    for back in (False, True):
-        M = count_matrices(edges, seeds, 3, 5, back)
-        for lmax, variant, lam in ((1, 1, 10.0), (3, 1, 10.0), (5, 1, 10.0), (5, 2, 10.0), (5, 3, 10.0), (5, 1, 0.1), (5, 1, 1.0), (5, 1, 100.0), (5, 1, 1000.0)):
-            K = fit_powers([normalize_counts(m, variant) for m in M[:lmax]], lam)[0]
-            found.append((back, lmax, variant, lam, float(np.linalg.norm(K - true))))
+    h, found = 8, []
+    with planted(spark, d, h, 25, 0.1) as (edges, _, seeds):
+        for back in (False, True):
+            M = count_matrices(edges, seeds, 3, 5, back)
+            for lmax, variant, lam in OPTIONS:
+                K = fit_powers([normalize_counts(m, variant) for m in M[:lmax]], lam)[0]
+                found.append((back, lmax, variant, lam, float(np.linalg.norm(K - strength_compat(h)))))
     return rows(spark, found, "backtracking boolean, lmax int, variant int, lambda double, l2 double")
 
 
-def degree_and_labels(spark, d) -> DataFrame:
-    """Error of one-hop and five-hop estimates by mean degree and share of labels."""
+def degree_and_labels(spark, d, degrees=(5, 10, 25), shares=SHARES) -> DataFrame:
+    """Error of one-hop and five-hop estimates by mean degree and share of labels; all shares of a graph in one run of the hops."""
     found = []
-    for degree in (5, 10, 25):
-        edges, labels, _ = fixture(spark, d, 8, degree, 0.1)
-        for f in (0.02, 0.1, 0.5):
-            M = [normalize_counts(m) for m in count_matrices(edges, hide_labels(labels, f), 3, 5)]
-            found += [(degree, f, lmax, float(np.linalg.norm(fit_powers(M[:lmax])[0] - strength_compat(8)))) for lmax in (1, 5)]
+    for degree in degrees:
+        with planted(spark, d, 8, degree) as (edges, labels, _):
+            for f, M in zip(shares, batched_matrices(edges, [cut(hide_stratified(labels, f)) for f in shares], 3, 5), strict=True):
+                T = [normalize_counts(m) for m in M]
+                found += [(degree, f, lmax, float(np.linalg.norm(fit_powers(T[:lmax])[0] - strength_compat(8)))) for lmax in (1, 5)]
     return rows(spark, found, "degree int, f double, lmax int, l2 double")
 
 
-def bias(spark, d) -> DataFrame:
+def bias(spark, d, runs: int = 10, name: str = "customer", key: str = "c_custkey") -> DataFrame:
     """Mean top entry of the normalised counts by hop, with and without backtracking, over repetitions, against K^l."""
-    edges, labels, _ = fixture(spark, d, 8, 10, 0.1)
     found = []
-    for back in (False, True):
-        runs = [[normalize_counts(m) for m in count_matrices(edges, hide_labels(labels, 0.1, run), 3, 4, back)] for run in range(3)]
-        for l in range(4):
-            top = [float(np.mean([T[l][c, p] for c, p in enumerate((1, 0, 2) if l % 2 == 0 else (0, 1, 2))])) for T in runs]
-            found.append((back, l + 1, float(np.mean(top)), float(np.linalg.matrix_power(strength_compat(8), l + 1)[(0, 1) if l % 2 == 0 else (0, 0)])))
-    return rows(spark, found, "backtracking boolean, hop int, measured double, expected double")
+    with planted(spark, d, 8, 10, 0.1, name, key) as (edges, labels, _):
+        sets = [cut(hide_labels(labels, 0.1, run)) for run in range(runs)]
+        for back in (False, True):
+            T = [[normalize_counts(m) for m in M] for M in batched_matrices(edges, sets, 3, 4, back)]
+            for l in range(4):
+                top = [float(np.mean([t[l][c, p] for c, p in enumerate((1, 0, 2) if l % 2 == 0 else (0, 1, 2))])) for t in T]
+                want = float(np.linalg.matrix_power(strength_compat(8), l + 1)[(0, 1) if l % 2 == 0 else (0, 0)])
+                found.append((back, l + 1, float(np.mean(top)), float(np.std(top, ddof=1) / len(top) ** 0.5) if runs > 1 else float("nan"), want))
+    return rows(spark, found, "backtracking boolean, hop int, measured double, error double, expected double")
 
 
 def three_estimators(spark, d, h: int = 8, s: float = 5.0) -> DataFrame:
     """Estimate, then label, with each estimator; known K with the baseline for comparison."""
     found = []
-    edges, labels, seeds = fixture(spark, d, h, 25, 0.05)
-    M = [normalize_counts(m) for m in count_matrices(edges, seeds, 3, 5)]
-    for name, K in (("multihop", fit_powers(M)[0]), ("onehop", nearest_compat(M[0])), ("energy", estimate_energy(edges, seeds, 3, alpha=1.0)), ("known", strength_compat(h))):
-        found.append((h, name, float(np.linalg.norm(K - strength_compat(h))), score(edges, labels, seeds, K, s=s, **REC)))
-    found.append((h, "known, linear", 0.0, score(edges, labels, seeds, strength_compat(h), s=0.5, r=10)))
+    with planted(spark, d, h, 25, 0.05) as (edges, labels, seeds):
+        M = [normalize_counts(m) for m in count_matrices(edges, seeds, 3, 5)]
+        for name, K in (("multihop", fit_powers(M)[0]), ("onehop", nearest_compat(M[0])), ("energy", estimate_energy(edges, seeds, 3, alpha=1.0)), ("energy, labelled rows", estimate_energy(edges, seeds, 3, alpha=1.0, rows="labelled")), ("known", strength_compat(h))):
+            found.append((h, name, float(np.linalg.norm(K - strength_compat(h))), score(edges, labels, seeds, K, s=s, **REC)))
+        found.append((h, "known, linear", 0.0, score(edges, labels, seeds, strength_compat(h), s=0.5, r=10)))
     return rows(spark, found, "h int, estimator string, l2 double, accuracy double")
 
 
 def path_growth(spark, d) -> DataFrame:
-    """Entries of the explicit path matrices against the n x k state."""
-    edges, labels, _ = fixture(spark, d, 8, 10, 0.1)
-    n = labels.count()
-    return rows(spark, [(l, path_matrix(edges, l).count(), 3 * n) for l in (1, 2, 3)], "hop int, entries long, state long")
-
-
-def phases(spark, d, name: str = "orders", key: str = "o_orderkey", degree: float = 25) -> DataFrame:
-    """Seconds of each phase on one graph."""
-    edges, labels, seeds = fixture(spark, d, 8, degree, 0.01, name, key)
-    m = edges.count()
+    """Entries of the explicit path matrices (up to 3 hops) against the n x k state of the chained counts (up to 8), with seconds."""
     found = []
-
-    def timed(phase, action):
-        t = time.perf_counter()
-        action()
-        found.append((phase, m // 2, time.perf_counter() - t))
-
-    K = strength_compat(8)
-    timed("one-hop", lambda: count_matrices(edges, seeds, 3, 1))
-    timed("energy fit", lambda: estimate_energy(edges, seeds, 3, alpha=1.0))
-    timed("multi-hop", lambda: fit_powers([normalize_counts(x) for x in count_matrices(edges, seeds, 3, 5)]))
-    timed("stability limit", lambda: spectral_radius(edges))
-    timed("propagation 10", lambda: propagate(edges, seeds, K, beta=1.0, gamma=0.5, s=3.0, r=10).agg(F.sum("b0")).first())
-    edges.unpersist()
+    with planted(spark, d, 8, 10, 0.1) as (edges, labels, seeds):
+        n = labels.count()
+        for l in range(1, 9):
+            t = time.perf_counter()
+            entries = path_matrix(edges, l).count() if l <= 3 else None
+            explicit, t = (time.perf_counter() - t if l <= 3 else None), time.perf_counter()
+            count_matrices(edges, seeds, 3, l)
+            found.append((l, entries, 3 * n, explicit, time.perf_counter() - t))
+    return rows(spark, found, "hop int, entries long, state long, explicit_sec double, chained_sec double")
+
+
+def phases(spark, d, name: str = "orders", key: str = "o_orderkey", degree: float = 25, nodes: DataFrame | None = None) -> DataFrame:
+    """Seconds of each phase on one graph, with edges cached by sending node, as an engine that labels a graph holds them."""
+    found = []
+    with planted(spark, d, 8, degree, 0.01, name, key, nodes) as (edges, labels, seeds):
+        m, K = edges.count(), strength_compat(8)
+        seeds = seeds.persist()
+        seeds.count()
+
+        def timed(phase, action):
+            t = time.perf_counter()
+            action()
+            found.append((phase, m // 2, time.perf_counter() - t))
+
+        timed("one-hop", lambda: count_matrices(edges, seeds, 3, 1))
+        timed("energy fit", lambda: estimate_energy(edges, seeds, 3, alpha=1.0))
+        timed("multi-hop", lambda: fit_powers([normalize_counts(x) for x in count_matrices(edges, seeds, 3, 5)]))
+        timed("stability limit", lambda: spectral_radius(edges))
+        timed("propagation 10", lambda: propagate(edges, seeds, K, beta=1.0, gamma=0.5, s=3.0, r=10).agg(F.sum("b0")).first())
+        seeds.unpersist()
     return rows(spark, found, "phase string, edges long, seconds double")
 
 
+def scalability(spark, d, sizes=(("customer", "c_custkey"), ("part", "p_partkey"), ("orders", "o_orderkey"))) -> DataFrame:
+    """The phases over growing graphs: the keys of three tables."""
+    out = None
+    for name, key in sizes:
+        own = phases(spark, d, name, key).withColumn("keys", F.lit(name))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
 def weak_potential(spark, d) -> DataFrame:
     """Weak attraction (h = 2) with few and with most labels: the choice of scaling matters less once labels are dense."""
     found = []
     for f in (0.05, 0.9):
-        edges, labels, seeds = fixture(spark, d, 2, 25, f)
-        for name, options in (("linear", {"s": 0.5, "r": 10}), ("symmetric, clamped", {"alpha": 0.5, "beta": 0.5, "gamma": 1.0, "s": 3.0, "r": 4}), ("recommended", {"s": 3.0, **REC})):
-            found.append((f, name, score(edges, labels, seeds, strength_compat(2), **options)))
+        with planted(spark, d, 2, 25, f) as (edges, labels, seeds):
+            for name, options in (("linear", {"s": 0.5, "r": 10}), ("symmetric, clamped", {"alpha": 0.5, "beta": 0.5, "gamma": 1.0, "s": 3.0, "r": 4}), ("recommended", {"s": 3.0, **REC})):
+                found.append((f, name, score(edges, labels, seeds, strength_compat(2), **options)))
     return rows(spark, found, "f double, method string, accuracy double")
 
 
 def real_labels(spark, d) -> DataFrame:
-    """Estimate, then label, on graphs of the given tables: roles of turns carry a signal, regions of trade and nearest vectors are held against the majority share."""
+    """Estimate, then label, on graphs of the given tables; roles of turns carry a signal, the others are held against the majority share."""
     vectors = table(spark, d, "embeddings", "vec_id", "label").select(F.col("vec_id").alias("node"), F.col("label").cast("int").alias("cls"))
+    graphs = (
+        ("turns", turns(spark, d), turn_labels(spark, d), 3), ("trade", trade(spark, d), trade_labels(spark, d), 5), ("steps", steps(spark, d), step_labels(spark, d), 5), ("vectors", knn(spark, d), vectors, 10),
+        ("quality of equal texts", same_text(spark, d), doc_labels(spark, d, "quality"), 2), ("toxic, shared lines", shared_lines(spark, d), doc_labels(spark, d, "toxic"), 2), ("language of pages", pages(spark, d), page_labels(spark, d), 4),
+    )
     found = []
-    for name, edges, labels, k in (("turns", turns(spark, d), turn_labels(spark, d), 3), ("trade", trade(spark, d), trade_labels(spark, d), 5), ("vectors", knn(spark, d), vectors, 10)):
-        edges, seeds = edges.repartition("dst").persist(), cut(hide_labels(labels, 0.5))
+    for name, edges, labels, k in graphs:
+        # scored on the nodes that have an edge; the majority share is theirs
+        edges = edges.repartition("dst").persist()
+        labels = cut(labels.join(edges.select(F.col("src").alias("node")).distinct(), "node", "left_semi"))
+        seeds = cut(hide_labels(labels, 0.5))
         K = nearest_compat(normalize_counts(count_matrices(edges, seeds, k, 1)[0]))
         got = accuracy(hold_out(predict(propagate(edges, seeds, K, s=0.5, **REC), k), labels, seeds)).first()
-        sizes = [r["count"] for r in labels.groupBy("cls").count().collect()]  # one row a class
-        found.append((name, got.correct / max(1, got.hidden), max(sizes, default=0) / max(1, sum(sizes))))
+        sizes = [r["count"] for r in labels.join(seeds.select("node"), "node", "left_anti").groupBy("cls").count().collect()]  # one row a class
+        found.append((name, got.hidden, (got.correct or 0) / max(1, got.hidden), (got.unreached or 0) / max(1, got.hidden), max(sizes, default=0) / max(1, sum(sizes))))
         edges.unpersist()
-    return rows(spark, found, "graph string, accuracy double, majority double")
+    return rows(spark, found, "graph string, hidden long, accuracy double, unreached double, majority double")
 
 
 def echo_on_tree(spark, d) -> DataFrame:
@@ -179,10 +249,55 @@ def echo_on_tree(spark, d) -> DataFrame:
     seeds, K = cut(hide_labels(labels, 0.1)), 0.1 * np.ones((5, 5)) + 0.5 * np.eye(5)
     found = []
     for echo in (False, True):
-        got = accuracy(hold_out(predict(propagate(edges, seeds, K, s=0.5, r=4, beta=1.0, echo=echo), 5), labels, seeds)).first()
-        found.append((echo, got.correct / max(1, got.hidden)))
+        got = accuracy(hold_out(predict(propagate(edges, seeds, K, eps=0.5 / radius(center(K)), r=4, beta=1.0, echo=echo), 5), labels, seeds)).first()
+        found.append((echo, (got.correct or 0) / max(1, got.hidden)))
     return rows(spark, found, "echo boolean, accuracy double")
 
 
-WORKLOADS = {"w_headline": headline, "w_sweep_steps": sweep_steps, "w_scaling_grid": scaling_grid, "w_ratio_clamped": ratio_clamped, "w_estimator_error": estimator_error, "w_degree_and_labels": degree_and_labels, "w_bias": bias, "w_three_estimators": three_estimators, "w_three_estimators_weak": lambda spark, d: three_estimators(spark, d, 3, 3.0), "w_path_growth": path_growth, "w_weak_potential": weak_potential, "w_real_labels": real_labels, "w_echo_on_tree": echo_on_tree}
-assert set(members())
+def generator_tables(spark, d) -> DataFrame:
+    """Class-pair counts and degrees of the generator's directed examples: uneven classes, and rows weighted for even mean degrees."""
+    keys, out = table(spark, d, "customer", "c_custkey").select(F.col("c_custkey").alias("node")), None
+    alpha = [1 / 6, 1 / 3, 1 / 2]
+    for name, K in (("uneven degrees", cyclic_compat(8)), ("even degrees", balanced_rows(cyclic_compat(8), alpha))):
+        arcs, labels, _ = planted_graph(keys, K, 9, alpha=alpha, delta=0.4, directed=True, independent=True)
+        a, b = labels.toDF("src", "c"), labels.toDF("dst", "d")
+        pairs = arcs.join(a, "src").join(b, "dst").groupBy("c", "d").agg(F.count(F.lit(1)).alias("n")).select(F.lit("pairs").alias("kind"), F.col("c").alias("x"), F.col("d").cast("long").alias("y"), "n")
+        degrees = degree_histogram(arcs, labels).select(F.lit("degrees").alias("kind"), F.col("cls").alias("x"), F.col("deg").alias("y"), "n")
+        bins = clustered_adjacency(arcs, labels, 100).select(F.lit("clusters").alias("kind"), F.col("row_bin").alias("x"), F.col("col_bin").cast("long").alias("y"), "n")
+        own = pairs.unionByName(degrees).unionByName(bins).withColumn("graph", F.lit(name))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+def grid(spark, d, strengths=(3, 8), degrees=(10,), shares=(0.05,), runs: int = 2) -> DataFrame:
+    """The grid of parameters, one record a run: strength, degree, label share and draw, by how K is had and which member labels."""
+    found, ways = [], {"linear": ("linear", {"s": 0.5, "r": 10}), "recommended": ("recommended", {"r": 4})}
+    for h in strengths:
+        for degree in degrees:
+            with planted(spark, d, h, degree) as (edges, labels, _):
+                for f in shares:
+                    for run in range(runs):
+                        seeds = cut(hide_stratified(labels, f, run))
+                        M = [normalize_counts(m) for m in count_matrices(edges, seeds, 3, 5)]
+                        for had, K in (("known", strength_compat(h)), ("multihop", fit_powers(M)[0]), ("onehop", nearest_compat(M[0])), ("identity", identity_compat(3))):
+                            for who, (name, options) in ways.items():
+                                own = options | ({"s": float(h if h <= 3 else 5)} if who == "recommended" else {})
+                                t = time.perf_counter()
+                                got = accuracy(hold_out(predict(member(name, edges, seeds, K, **own), 3), labels, seeds)).first()
+                                params = {"strength": str(h), "degree": str(degree), "share": str(f), "draw": str(run), "compat": had, "member": who, **{k: str(v) for k, v in members()[name].items()}, **{k: str(v) for k, v in own.items()}}
+                                found.append((uuid.uuid4().hex, params, (got.correct or 0) / max(1, got.hidden), float(np.linalg.norm(K - strength_compat(h))), time.perf_counter() - t))
+    return rows(spark, found, "run_id string, params map<string,string>, accuracy double, l2 double, seconds double")
+
+
+def grid_stats(runs: DataFrame) -> DataFrame:
+    """Mean, deviation and standard error of accuracy over the draws of each setting of ``grid``."""
+    by = [F.col("params")[x].alias(x) for x in ("strength", "degree", "share", "compat", "member")]
+    flat = runs.select(*by, "accuracy")
+    return flat.groupBy("strength", "degree", "share", "compat", "member").agg(F.avg("accuracy").alias("mean"), F.stddev_samp("accuracy").alias("std"), (F.stddev_samp("accuracy") / F.sqrt(F.count(F.lit(1)))).alias("error"), F.count(F.lit(1)).alias("runs"))
+
+
+WORKLOADS = {
+    "w_headline": headline, "w_sweep_steps": sweep_steps, "w_scaling_grid": scaling_grid, "w_ratio_clamped": ratio_clamped, "w_estimator_error": estimator_error, "w_degree_and_labels": degree_and_labels, "w_bias": bias,
+    "w_three_estimators": three_estimators, "w_three_estimators_weak": lambda spark, d: three_estimators(spark, d, 3, 3.0), "w_path_growth": path_growth, "w_scalability": scalability, "w_weak_potential": weak_potential,
+    "w_real_labels": real_labels, "w_echo_on_tree": echo_on_tree, "w_generator_tables": generator_tables, "w_grid": lambda spark, d: grid_stats(grid(spark, d)),
+}
