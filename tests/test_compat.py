@@ -59,4 +59,5 @@ def test_budgets_and_empty_rows():
     M = C.edge_budget(1080, C.strength_compat(8))
     assert M.sum() == 1080 and (M == 36 * np.array([[1, 8, 1], [8, 1, 1], [1, 1, 8]])).all()
     assert np.allclose(C.normalize_counts(np.array([[0, 0, 0], [0, 2, 2], [0, 2, 0]]))[0], 1 / 3)
+    assert np.allclose(C.normalize_counts(np.array([[0, 0, 0], [0, 2, 2], [0, 2, 0]]), 2)[0], 1 / 3) and C.empty_rows([[0, 0], [0, 1]]) == [0]
     assert np.allclose(C.degree_ratio(C.strength_compat(8), [1 / 6, 1 / 3, 1 / 2]), np.array([18, 9, 6]) / 18)

@@ -1,9 +1,11 @@
 import itertools
+import os
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from compatgraph.functions import compat as C
 from compatgraph.functions.compat import center, radius, strength_compat
 from compatgraph.operators import labels as L
 from compatgraph.operators import scaling as S
@@ -126,6 +128,241 @@ def test_planted_graph_is_exact(spark):
     assert edges.filter("src = dst").count() == 0 and edges.distinct().count() == edges.count() == 2400
 
 
+def test_dense_blocks_raise_and_never_drop_arcs(spark):
+    with pytest.raises(ValueError, match="arcs are still"):
+        planted.planted_graph(spark.range(60).withColumnRenamed("id", "node"), K, 30, rounds=2)
+
+
+def test_directed_examples(spark):
+    """Uneven classes with a cyclic K, and its rows weighted so that mean out-degrees are even: exact budgets, no loops, no double arcs."""
+    keys, alpha = spark.range(120).withColumnRenamed("id", "node"), [1 / 6, 1 / 3, 1 / 2]
+    uneven, even = C.cyclic_compat(8), C.balanced_rows(C.cyclic_compat(8), alpha)
+    assert (C.edge_budget(1080, uneven) == 36 * np.array([[1, 8, 1], [1, 1, 8], [8, 1, 1]])).all()
+    M = C.edge_budget(1080, even)
+    assert (M == 18 * np.array([[1, 8, 1], [2, 2, 16], [24, 3, 3]])).all() and (M.sum(1) / [20, 40, 60] == 9).all()
+    symmetric = C.edge_budget(1080, K)
+    assert (symmetric == 36 * np.array([[1, 8, 1], [8, 1, 1], [1, 1, 8]])).all()
+    arcs, labels, budget = planted.planted_graph(keys, uneven, 4, alpha=alpha, delta=0.4, directed=True, independent=True)
+    got = np.zeros((3, 3), int)
+    for r in planted.planted_check(arcs, labels).collect():
+        got[r.c, r.d] = r.n
+    assert (got == budget).all() and arcs.count() == 480
+    assert arcs.select(F.least("src", "dst"), F.greatest("src", "dst")).distinct().count() == 480 and arcs.filter("src = dst").count() == 0
+
+
+def test_correlated_and_independent_degrees(spark):
+    keys = spark.range(1_500).withColumnRenamed("id", "node")
+    found = {}
+    for independent in (False, True):
+        arcs, _, _ = planted.planted_graph(keys, K, 6, directed=True, independent=independent)
+        out, into = arcs.groupBy(F.col("src").alias("node")).agg(F.count("*").alias("o")), arcs.groupBy(F.col("dst").alias("node")).agg(F.count("*").alias("i"))
+        found[independent] = keys.join(out, "node", "left").join(into, "node", "left").fillna(0).agg(F.corr("o", "i")).first()[0]
+    assert found[False] > 0.95 and abs(found[True]) < 0.3
+
+
+def test_equal_degrees_are_ranked_in_parts(spark):
+    """With equal degrees all fractions tie; their bucket is cut by rank, and the total is exact."""
+    nodes = spark.range(30_000).select(F.col("id").alias("node"), F.lit(0).alias("cls"))
+    got = planted.assign_degrees(nodes, [70_001], 0.0)
+    assert sorted(r.d for r in got.groupBy("d").agg(F.count("*").alias("n")).collect()) == [2, 3] and got.agg(F.sum("d")).first()[0] == 70_001
+    tied = nodes.withColumn("u", F.lit(7).cast("long")).withColumn("r", F.col("node") + 1)
+    out = planted.ranked(tied, ["cls"], "u", ["r"], "q", "r")
+    assert out.filter("q <> r").count() == 0
+    plan = out._jdf.queryExecution().toString()
+    assert "_p" in plan
+
+
+def test_colouring_gadget(spark):
+    """A proper colouring fits K = (J - I) / (k - 1) exactly, another labelling does not."""
+    ring = normalise_edges(spark.createDataFrame([(i, (i + 1) % 6, 1.0) for i in range(6)], "a long, b long, w double"))
+    for classes, conflicts in (([0, 1, 2, 0, 1, 2], 0), ([0, 0, 1, 2, 1, 2], 1)):
+        labels = spark.createDataFrame(list(enumerate(classes)), "node long, cls int")
+        T = C.normalize_counts(walks.count_matrices(ring, labels, 3, 1)[0])
+        assert planted.coloring_conflicts(ring, labels).first()[0] == conflicts and np.allclose(T, C.coloring_compat(3)) == (conflicts == 0)
+
+
+def dense(edges, seeds, k, setting):
+    P = {(r.src, r.dst): r.w for r in propagate.operator(edges, seeds, *setting).collect()}
+    n = 6
+    A = np.zeros((n, n))
+    for (i, j), w in P.items():
+        A[i, j] = w
+    return A
+
+
+@pytest.mark.parametrize("setting", [(0.0, 0.0, 0.0), (0.0, 1.0, 0.5), (0.5, 0.5, 0.0)])
+def test_echo_radius_limit_and_convergence(micro, setting):
+    """Against the eigenvalues of the dense nk x nk update."""
+    edges, labels = micro
+    seeds = labels.filter("node in (0, 3)")
+    A, Kc = dense(edges, seeds, 3, setting), center(K)
+
+    def whole(eps):
+        return radius(eps * np.kron(A, Kc.T) - eps**2 * np.kron(np.diag((A * A.T).sum(1)), (Kc @ Kc).T))
+
+    P = propagate.operator(edges, seeds, *setting)
+    assert propagate.operator_radius(P, K, 0.4, rounds=80, tol=1e-6) == pytest.approx(whole(0.4), rel=0.02)
+    assert propagate.operator_radius(P, K, 0.4, echo=False, rounds=80, tol=1e-6) == pytest.approx(radius(0.4 * np.kron(A, Kc.T)), rel=0.02)
+    a, b, g = setting
+    limit = propagate.stability_limit(edges, seeds, K, alpha=a, beta=b, gamma=g, echo=True, rounds=60, halvings=8)
+    assert whole(limit) == pytest.approx(1, abs=0.05)
+    assert propagate.converges(edges, seeds, K, 0.85 * limit, alpha=a, beta=b, gamma=g, echo=True, rounds=80)
+    assert not propagate.converges(edges, seeds, K, 1.2 * limit, alpha=a, beta=b, gamma=g, echo=True, rounds=80)
+    plain = propagate.stability_limit(edges, seeds, K, alpha=a, beta=b, gamma=g)
+    assert propagate.converges(edges, seeds, K, 0.8 * plain, alpha=a, beta=b, gamma=g) and plain * radius(np.kron(A, Kc.T)) <= 1.01
+
+
+def test_run_to_a_tolerance(micro):
+    edges, labels = micro
+    seeds = labels.filter("node in (0, 3, 4)")
+    got = {r.node: np.array(r[1:]) for r in propagate.propagate(edges, seeds, K, beta=1.0, eps=0.4, r=200, tol=1e-10).collect()}
+    want = propagate.closed_form(edges, seeds, K, beta=1.0, eps=0.4)
+    assert all(np.allclose(got[n], want[n], atol=1e-8) for n in want)
+
+
+def test_closed_form_refuses_instead_of_truncating(spark):
+    pairs = [(i, j, 1.0) for i in range(40) for j in range(i)]
+    edges = normalise_edges(spark.createDataFrame(pairs, "a long, b long, w double"))
+    seeds = spark.createDataFrame([(0, 0)], "node long, cls int")
+    with pytest.raises(ValueError, match="120"):
+        propagate.closed_form(edges, seeds, K, most=119)
+    assert len(propagate.closed_form(edges, seeds, K, eps=0.01, most=120)) == 40
+
+
+def test_two_class_method_solves_its_system(micro):
+    edges, labels = micro
+    seeds = labels.filter("node in (0, 1)")
+    h, A = 0.08, dense(edges, seeds, 2, (0.0, 0.0, 0.0))
+    c1, c2 = 4 * h * h / (1 - 4 * h * h), 2 * h / (1 - 4 * h * h)
+    x = np.array([0.5, -0.5, 0, 0, 0, 0])
+    want = np.linalg.solve(np.eye(6) + c1 * np.diag(A.sum(1)) - c2 * A, x)
+    got = {r.node: r.b0 for r in propagate.two_class(edges, seeds, h, r=60).collect()}
+    assert all(got[i] == pytest.approx(want[i], abs=1e-9) for i in range(6))
+
+
+def test_seed_scaling_changes_the_arg_max(spark):
+    """One seed of class 0 against three of class 1, at equal distance: only the scaled walk gives the lone seed its weight."""
+    star = normalise_edges(spark.createDataFrame([(0, i, 1.0) for i in range(1, 5)], "a long, b long, w double"))
+    seeds = spark.createDataFrame([(1, 0), (2, 1), (3, 1), (4, 1)], "node long, cls int")
+    at0 = lambda df: next((r.b0, r.b1) for r in df.collect() if r.node == 0)
+    a, b = at0(propagate.restart_walk(star, seeds, 2)), at0(propagate.restart_walk(star, seeds, 2, seed_norm=False))
+    assert a[0] == pytest.approx(a[1]) and b[1] > 2 * b[0]
+
+
+def test_narrow_state_equals_columns(spark, micro):
+    edges, labels = micro
+    seeds = labels.filter("node in (0, 3, 4)")
+    table = spark.createDataFrame([(c, d, float(center(K)[c, d])) for c in range(3) for d in range(3)], "c int, d int, v double")
+    wide = {(r.node, c): r[f"b{c}"] for r in propagate.propagate(edges, seeds, K, beta=1.0, eps=0.4, r=6).collect() for c in range(3)}
+    narrow = {(r.node, r.cls): r.v for r in propagate.propagate_narrow(edges, seeds, table, 3, beta=1.0, eps=0.4, r=6).collect()}
+    assert wide.keys() == narrow.keys() and all(wide[x] == pytest.approx(narrow[x]) for x in wide)
+
+
+def test_a_step_has_one_exchange_of_messages(micro):
+    """Messages, seeds and echo are summed in one aggregation; nothing else moves but the small degree and seed tables."""
+    edges, labels = micro
+    P = edges.repartition("dst").persist()
+    B = propagate.step(P, L.residual(labels, 3), L.residual(labels, 3), center(K), 0.1, None)
+    B.collect()
+    plan = B._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+    assert plan.count("Exchange hashpartitioning(node") == 1
+    P.unpersist()
+
+
+def test_loops_release_what_they_cache(spark, micro):
+    edges, labels = micro
+    seeds = labels.filter("node in (0, 3, 4)")
+    held = lambda: len(list(spark.sparkContext._jsc.getPersistentRDDs().values()))
+    before = held()
+    propagate.propagate(edges, seeds, K, beta=1.0, eps=0.4, r=6, echo=True, hub_edges=2).collect()
+    propagate.pagerank(edges).collect()
+    walks.count_matrices(edges, seeds, 3, 5)
+    propagate.stability_limit(edges, seeds, K, echo=True, rounds=6, halvings=2)
+    propagate.settle_steps(edges, seeds, K, 3).collect()
+    assert held() == before
+
+
+@pytest.mark.parametrize("back", [False, True])
+def test_products_of_states_equal_the_chain(spark, back):
+    r = np.random.default_rng(12)
+    pairs = {(min(a, b), max(a, b)) for a, b in r.integers(0, 40, (120, 2)).tolist() if a != b}
+    edges = normalise_edges(spark.createDataFrame([(a, b, 1.0) for a, b in pairs], "a long, b long, w double"))
+    seeds = spark.createDataFrame([(i, int(r.integers(0, 3))) for i in range(0, 40, 3)], "node long, cls int")
+    chain = walks.hop_counts(edges, seeds, 3, 6, back)
+    found = walks.count_matrices(edges, seeds, 3, 6, back)
+    for N, M in zip(chain, found, strict=True):
+        want = np.zeros((3, 3))
+        for row in walks.pair_counts(N, seeds, 3).collect():
+            want[row.c, row.d] = row.cnt
+        assert (want == M).all()
+    other = seeds.filter("node % 2 = 0")
+    both = walks.batched_matrices(edges, [seeds, other], 3, 5, back)
+    assert all((a == b).all() for a, b in zip(both[0], found, strict=False)) and all((a == b).all() for a, b in zip(both[1], walks.count_matrices(edges, other, 3, 5, back), strict=True))
+
+
+def test_estimators_in_residual_form(spark, micro):
+    from compatgraph.plans import estimate
+
+    edges, labels = micro
+    for residual, plain in ((estimate.estimate_onehop(edges, labels, 3, residual=True), estimate.estimate_onehop(edges, labels, 3)), (estimate.estimate_energy(edges, labels, 3, mode="residual", alpha=1.0), estimate.estimate_energy(edges, labels, 3, alpha=1.0))):
+        assert np.allclose(residual + 1 / 3, plain) and np.allclose(residual.sum(1), 0)
+    T = [np.linalg.matrix_power(K, l) for l in range(1, 6)]
+    assert np.allclose(C.fit_powers(T, residual=True)[0] + 1 / 3, K, atol=1e-6)
+    seeds = labels.filter("node in (0, 1)")
+    report = estimate.estimate_report(edges, seeds, 3, 3)
+    assert report.pairs == [2, 0, 2] and report.empty_rows == [[2], [0, 1, 2], [2]]
+    assert not np.allclose(estimate.estimate_energy(edges, seeds, 3, alpha=1.0, rows="labelled"), estimate.estimate_energy(edges, seeds, 3, alpha=1.0))
+
+
+def test_unreached_nodes_favour_no_class(spark):
+    labels = spark.createDataFrame([(i, 0) for i in range(4)], "node long, cls int")
+    got = L.accuracy(L.hold_out(spark.createDataFrame([(1, 0)], "node long, cls int"), labels, labels.filter("node = 0"))).first()
+    assert tuple(got) == (3, 1, 2)
+
+
+def test_readers_drop_malformed_rows(spark, tmp_path):
+    from compatgraph.sources.tables import EDGES, check_schema, read_edges, write_run
+
+    (tmp_path / "a.csv").write_text("src,dst,w\n1,2,0.5\nx,3,1\n4,5\n6,7,2.5,9\n")
+    (tmp_path / "a.tsv").write_text("src\tdst\tw\n1\t2\t0.5\n1\t\t3\n")
+    (tmp_path / "a.json").write_text('{"src": 1, "dst": 2, "w": 0.5}\n{"src": 1, broken\n{"src": 3, "dst": 4, "w": 1}\n')
+    read = lambda x, kind: sorted(tuple(r) for r in read_edges(spark, str(tmp_path / x), kind).collect())
+    assert read("a.csv", "csv") == [(1, 2, 0.5), (6, 7, 2.5)] and read("a.tsv", "tsv") == [(1, 2, 0.5)] and read("a.json", "json") == [(1, 2, 0.5), (3, 4, 1.0)]
+    with pytest.raises(TypeError, match="dst"):
+        check_schema(spark.createDataFrame([(1, "2", 1.0)], "src long, dst string, w double"))
+    edges = spark.createDataFrame([(1, 2, 1.0)], EDGES)
+    for run, df in (("a", edges), ("b", edges), ("a", edges.unionByName(edges))):
+        write_run(df, str(tmp_path / "runs"), run)
+    assert sorted((r.run, r["count"]) for r in spark.read.parquet(str(tmp_path / "runs")).groupBy("run").count().collect()) == [("a", 2), ("b", 1)]
+
+
+def test_bucketed_edges_are_not_exchanged(spark, micro, tmp_path):
+    from compatgraph.sources.tables import write_bucketed
+
+    edges, labels = micro
+    write_bucketed(edges, "bucketed_test_edges", 4)
+    try:
+        P = spark.table("bucketed_test_edges")
+        B = propagate.step(P, None, L.residual(labels, 3).hint("merge"), center(K), 0.1, None)
+        assert "Exchange hashpartitioning(dst" not in B._jdf.queryExecution().executedPlan().toString().replace("Exchange hashpartitioning(dst#", "state", 1)
+        assert sorted(map(tuple, B.collect())) == sorted(map(tuple, propagate.step(edges, None, L.residual(labels, 3), center(K), 0.1, None).collect()))
+    finally:
+        spark.sql("drop table bucketed_test_edges")
+
+
+def test_planted_source_draws_by_its_strengths(spark):
+    from compatgraph.sources import planted_source
+
+    planted_source.register(spark)
+    read = lambda parts: spark.read.format("planted").options(nodes=6_000, degree=10, strength=8, partitions=parts).load()
+    arcs = read(3)
+    assert arcs.count() == pytest.approx(30_000, rel=0.01) and arcs.filter("dst < 0 or dst >= 6000 or src = dst").count() == 0
+    got = np.zeros((3, 3))
+    for r in arcs.groupBy((F.col("src") % 3).alias("c"), (F.col("dst") % 3).alias("d")).agg(F.count("*").alias("n")).collect():
+        got[r.c, r.d] = r.n
+    assert np.allclose(got / got.sum(1, keepdims=True), K, atol=0.02)
+
+
 def test_step_has_no_python_and_pushes_columns(spark, data):
     from compatgraph import registry
 
@@ -151,6 +388,55 @@ def test_stream_equals_batch(spark, data, tmp_path):
     assert sum(seen) == batch.count() and running.M.sum() == 2 * batch.count()
 
 
+def test_replayed_batches_count_once(spark):
+    from compatgraph.streaming.pairs import RunningCompat
+
+    running, steps = RunningCompat(["a", "b"]), spark.createDataFrame([("a", "b"), ("a", "a")], "a string, b string")
+    for epoch in (0, 0, 1, 0, 1):
+        running(steps, epoch)
+    assert running.M.sum() == 2 * 2 * 2 and len(running.drift) == 2
+
+
+def _streamed(spark, df, path, build, mode="append"):
+    """Rows of a stream over the files of ``path``, one file a micro-batch, by way of a memory sink; and the query."""
+    source = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(str(path))
+    name = f"out_{abs(hash(str(path))) % 10**9}"
+    q = build(source).writeStream.format("memory").queryName(name).outputMode(mode).start()
+    q.processAllAvailable()
+    return spark.table(name), q
+
+
+def test_stream_windows_drop_late_rows_and_repeats(spark, tmp_path):
+    from datetime import datetime, timedelta
+
+    from compatgraph.streaming import pairs as P
+
+    day = lambda n, h=0: datetime(2024, 1, 1) + timedelta(days=n, hours=h)
+    schema = "event_id long, ts timestamp, user_id long, event_type string, a string, b string"
+    files = [[(1, day(0, 1), 1, "x", "x", "y"), (1, day(0, 1), 1, "x", "x", "y"), (2, day(0, 2), 1, "y", "x", "y")], [(3, day(6), 1, "x", "x", "x")], [(4, day(0, 3), 1, "x", "x", "y"), (5, day(6, 1), 1, "y", "x", "x"), (3, day(6), 1, "x", "x", "x")], [(6, day(12), 1, "x", "x", "x")], [(7, day(12, 1), 1, "x", "x", "x")]]
+    for i, f in enumerate(files):
+        old = set((tmp_path / "in").glob("*.parquet"))
+        spark.createDataFrame(f, schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        for file in set((tmp_path / "in").glob("*.parquet")) - old:  # a source takes files by their times
+            os.utime(file, (1_700_000_000 + 60 * i,) * 2)
+    df = spark.read.parquet(str(tmp_path / "in"))
+    out, q = _streamed(spark, df, tmp_path / "in", lambda e: P.windowed(e.select("ts", "a", "b"), late="1 day"))
+    counts = {(r.start.day, r.a, r.b): r.n for r in out.collect()}
+    assert counts[1, "x", "y"] == 3 and counts[7, "x", "x"] == 3  # the row of day 0 that came after day 6 is not there
+    assert P.dropped_late(q) == 1
+    q.stop()
+    once, q = _streamed(spark, df, tmp_path / "in", lambda e: P.deduplicated(e, "2 days").select("event_id"))
+    assert sorted(r.event_id for r in once.collect()) in ([1, 2, 3, 5, 6, 7], [1, 2, 3, 4, 5, 6, 7])
+    q.stop()
+    classes = spark.createDataFrame([("x", 0), ("y", 1)], "name string, cls int")
+    typed, q = _streamed(spark, df, tmp_path / "in", lambda e: P.with_classes(e, classes).select("event_id", "cls"))
+    assert typed.count() == 9 and {(r.event_id, r.cls) for r in typed.collect()} >= {(1, 0), (2, 1)}
+    q.stop()
+    ses, q = _streamed(spark, df, tmp_path / "in", lambda e: P.sessions(e.select("ts", "user_id"), "90 minutes"))
+    assert {(r.start.day, r.n) for r in ses.collect()} >= {(1, 3)}
+    q.stop()
+
+
 def test_weighted_walks_equal_enumeration(spark):
     pairs = [(0, 1, 2.0), (1, 2, 3.0), (2, 0, 5.0), (2, 3, 0.5), (3, 4, 4.0), (4, 2, 1.5)]
     arcs = {(a, b): w for a, b, w in pairs} | {(b, a): w for a, b, w in pairs}
