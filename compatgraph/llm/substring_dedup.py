@@ -179,8 +179,9 @@ def remove_repeats(docs: DataFrame, *, k: int = K, m: int = M, hot: int = HOT, w
             row = np.array(row, np.int64)
             return pa.RecordBatch.from_arrays([pa.array(digest, pa.binary()), did.take(pa.array(row)), th.take(pa.array(row)), pa.array(first[row] + np.array(at, np.int64))], names=["digest", "did", "th", "a"])
 
-        windows = map_text(by_document(hot_keys), lambda b: packed(b, single), "digest binary, did long, th long, a long")
-        twice = materialise(windows.groupBy("digest").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "substring-windows")
+        # written down: 40 bytes a window, where reading them twice would shuffle their texts twice
+        windows = materialise(map_text(by_document(hot_keys), lambda b: packed(b, single), "digest binary, did long, th long, a long"), "substring-windows")
+        twice = materialise(windows.groupBy("digest").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "substring-repeated")
         met = join_spread(windows, twice.select("digest"), "digest", heavy(twice, "digest", "n"))
         ranges = ranges.unionByName(met.select("did", "th", "a", (F.col("a") + k).alias("b")))
 
