@@ -13,13 +13,14 @@ from collections.abc import Iterator
 from contextlib import contextmanager
 
 import numpy as np
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions.compat import balanced_rows, center, cyclic_compat, fit_powers, identity_compat, nearest_compat, normalize_counts, radius, strength_compat
 from .operators.labels import accuracy, hide_labels, hold_out, modulate, names, predict, residual, uniform
 from .plans.estimate import estimate_energy
-from .plans.lineage import cut
+from .plans.lineage import cut, shared_dir
 from .plans.planted import clustered_adjacency, degree_histogram, planted_graph, ranked
 from .plans.propagate import member, members, operator, propagate, send, spectral_radius
 from .plans.walks import batched_matrices, count_matrices, path_matrix
@@ -38,11 +39,28 @@ def hide_stratified(labels: DataFrame, f: float, run: int | None = None) -> Data
     return own.filter("r <= most").select("node", "cls")
 
 
+#: Folders of graphs planted in this application, by table and parameters: the workloads of one application plant each graph once.
+_PLANTED: dict[tuple, str] = {}
+
+
+def _graph(spark: SparkSession, d: str, h: float, degree: float, name: str, key: str) -> tuple[DataFrame, DataFrame]:
+    at = (spark.sparkContext.applicationId, str(d), h, degree, name)
+    if at in _PLANTED:
+        try:
+            return spark.read.parquet(f"{_PLANTED[at]}/edges"), spark.read.parquet(f"{_PLANTED[at]}/labels")
+        except AnalysisException:  # the folder was cleared
+            del _PLANTED[at]
+    edges, labels, _ = planted_graph(table(spark, d, name, key).withColumnRenamed(key, "node"), strength_compat(h), degree)
+    path = f"{shared_dir(spark)}/planted-{uuid.uuid4().hex}"
+    edges.write.parquet(f"{path}/edges"), labels.write.parquet(f"{path}/labels")
+    _PLANTED[at] = path
+    return _graph(spark, d, h, degree, name, key)
+
+
 @contextmanager
 def planted(spark: SparkSession, d: str, h: float, degree: float, f: float = 0.1, name: str = "customer", key: str = "c_custkey", nodes: DataFrame | None = None) -> Iterator[tuple[DataFrame, DataFrame, DataFrame]]:
     """Edges (cached by sending node while in use), labels and seeds of a planted graph."""
-    keys = table(spark, d, name, key).withColumnRenamed(key, "node") if nodes is None else nodes
-    edges, labels, _ = planted_graph(keys, strength_compat(h), degree)
+    edges, labels = _graph(spark, d, h, degree, name, key) if nodes is None else planted_graph(nodes, strength_compat(h), degree)[:2]
     edges = edges.repartition("dst").persist()
     try:
         yield edges, labels, cut(hide_stratified(labels, f))
