@@ -172,8 +172,8 @@ def converges_echo(spark, d):
     edges, _, seeds = turns(spark, d)
     found = []
     for echo in (False, True):
-        limit = propagate.stability_limit(edges, seeds, K3, echo=echo)
-        found += [(echo, limit, f, propagate.converges(edges, seeds, K3, f * limit, echo=echo)) for f in (0.9, 1.1)]
+        limit = propagate.stability_limit(edges, seeds, K3, echo=echo, halvings=3, rounds=8)
+        found += [(echo, limit, f, propagate.converges(edges, seeds, K3, f * limit, echo=echo, rounds=12)) for f in (0.7, 1.3)]
     return spark.createDataFrame(found, "echo boolean, eps_star double, share double, converges boolean")
 
 
