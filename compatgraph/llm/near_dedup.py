@@ -37,6 +37,8 @@ from .components import connected
 from .substring_dedup import gram_hashes, mixed, word_hashes
 
 SHINGLE, HASHES, CHUNKS, DISTANCE, BLOCK, PARITY = 5, 64, 16, 31, 4_000, 2_048
+#: Nodes whose ids are broadcast at most (about 100 bytes each); beyond it the texts are shuffled to them.
+BROADCAST_IDS = 500_000
 _SEEDS = np.random.default_rng(20_240_229).integers(1, 2**63, (2, HASHES), dtype=np.uint64) | np.uint64(1)
 
 
@@ -183,10 +185,11 @@ def near_duplicates(docs: DataFrame, *, percent: int = 75, block: int = BLOCK) -
     shared = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("top"), F.count(F.lit(1)).alias("size")).filter("lead < top").drop("top")
     index = materialise(keys.join(shared, "key"), "near-index")
 
-    # the texts of the nodes that share a key: Catalyst broadcasts the ids only below the session's threshold of size
+    # the texts of the nodes that share a key
     some = nodes.join(index.select("id").distinct(), "id", "left_semi").select("first", "id", F.col("digest").alias("own"))
     some = materialise(some, "near-candidates")
-    own = rows.join(some, rows.did == some["first"]).select("id", "own", "text")
+    near = F.broadcast(some) if some.count() <= BROADCAST_IDS else some
+    own = rows.join(near, rows.did == near["first"]).select("id", "own", "text")
 
     def kept_sets(batch: pa.RecordBatch) -> pa.RecordBatch:
         sets = [x.tobytes() for x in shingle_sets(texts(batch))]
