@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import col, heavy, join_spread, map_text, materialise, texts
+from .common import SALTS, col, heavy, map_text, materialise, texts
 
 K, M, HOT = 35, 8, 20_000
 _MUL = np.uint64(0x9E3779B97F4A7C15)
@@ -177,12 +177,16 @@ def remove_repeats(docs: DataFrame, *, k: int = K, m: int = M, hot: int = HOT, w
                 for j, (a, b) in enumerate(zip([0, *ends], ends[k - 1 :], strict=False)):
                     row.append(i), digest.append(hashlib.blake2b(s[a : b - 1], digest_size=16).digest()), at.append(j)
             row = np.array(row, np.int64)
-            return pa.RecordBatch.from_arrays([pa.array(digest, pa.binary()), did.take(pa.array(row)), th.take(pa.array(row)), pa.array(first[row] + np.array(at, np.int64))], names=["digest", "did", "th", "a"])
-
-        # written down: 40 bytes a window, where reading them twice would shuffle their texts twice
-        windows = materialise(map_text(by_document(hot_keys), lambda b: packed(b, single), "digest binary, did long, th long, a long"), "substring-windows")
-        twice = materialise(windows.groupBy("digest").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "substring-repeated")
-        met = join_spread(windows, twice.select("digest"), "digest", heavy(twice, "digest", "n"))
+            return pa.RecordBatch.from_arrays([pa.array(key[row]), pa.array(digest, pa.binary()), did.take(pa.array(row)), th.take(pa.array(row)), pa.array(first[row] + np.array(at, np.int64))], names=["key", "digest", "did", "th", "a"])
+
+        # one plan, so the texts are shuffled once for all uses; a digest's windows share a bucket, and those of busy buckets are spread
+        windows = map_text(by_document(hot_keys), lambda b: packed(b, single), "key long, digest binary, did long, th long, a long")
+        busy = F.broadcast(heavy(shared, "key", "n").withColumn("busy", F.lit(True)))
+        marked = windows.join(busy, "key", "left").withColumn("busy", F.coalesce("busy", F.lit(False)))
+        parts = F.when(F.col("busy"), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+        twice = marked.groupBy("digest").agg(F.count(F.lit(1)).alias("n"), F.max("busy").alias("busy")).filter("n > 1").select("digest", F.explode(parts).alias("salt"))
+        salt = F.when(F.col("busy"), F.pmod(F.xxhash64("did", "a"), F.lit(SALTS))).otherwise(0).cast("int")
+        met = marked.withColumn("salt", salt).join(twice, ["digest", "salt"], "left_semi")
         ranges = ranges.unionByName(met.select("did", "th", "a", (F.col("a") + k).alias("b")))
 
     def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
