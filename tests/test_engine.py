@@ -507,3 +507,57 @@ def test_nearest_is_exact_beyond_ten_thousand_vectors(spark):
         cos[a] = -2
         want = sorted(range(len(x)), key=lambda b: (-cos[b], b))[:3]
         assert [b for _, b, _ in sorted(got[a])] == want and np.allclose([c for *_, c in sorted(got[a])], cos[want], atol=2e-6)
+
+
+def test_brute_force_walks_leave_out_what_leads_nowhere(spark):
+    """The leaves of a star would meet each other in 3.6 thousand million walks of two hops."""
+    star = spark.range(1, 60_001).selectExpr("0L as src", "id as dst", "1.0D as w")
+    path = spark.createDataFrame([(0, -1, 1.0), (-1, -2, 1.0)], "src long, dst long, w double")
+    edges = star.unionByName(path)
+    edges = edges.unionByName(edges.selectExpr("dst as src", "src as dst", "w"))
+    got = walks.enumerate_walks(edges, 3)
+    assert got.filter("n = 1").count() == 120_000 and got.filter("src = -2 or dst = -2").count() == 120_000  # a leaf, 0, -1, -2 and back
+    arcs = spark.createDataFrame([(0, 1, 1.0), (1, 2, 1.0), (2, 3, 1.0), (1, 0, 1.0)], "src long, dst long, w double")  # one way
+    assert [tuple(r) for r in walks.enumerate_walks(arcs, 3).collect()] == [(0, 3, 1)]
+    assert sorted(tuple(r) for r in walks.enumerate_walks(arcs, 3, True).collect()) == [(0, 0 + 1, 1), (0, 3, 1), (1, 0, 1), (1, 2, 1)]
+
+
+def test_pagerank_takes_the_echo_from_sums(spark, micro, monkeypatch):
+    """The echo diagonal is not a join of edges to edges, which writes them twice more."""
+    def no_join(edges):
+        raise AssertionError("edges meet edges")
+
+    monkeypatch.setattr(propagate, "echo_diagonal", no_join)
+    edges = micro[0].withColumn("w", F.lit(1.0) + F.pmod(F.col("src") * F.col("dst"), F.lit(3)))
+    rows = edges.collect()
+    at = {n: i for i, n in enumerate(sorted({r.src for r in rows}))}
+    A = np.zeros((len(at), len(at)))
+    for r in rows:
+        A[at[r.src], at[r.dst]] = r.w
+    P = A / A.sum(0)
+    for echo in (False, True):
+        f = np.full(len(at), 1 / len(at))
+        for _ in range(4):
+            f = 0.15 / len(at) + 0.85 * P @ f - echo * 0.85**2 * (P * P.T).sum(1) * f
+        assert {r.node: pytest.approx(f[at[r.node]]) for r in propagate.pagerank(edges, echo=echo).collect()} == {r.node: r.b0 for r in propagate.pagerank(edges, echo=echo).collect()}
+
+
+def test_hashed_neighbours_meet_in_blocks(spark, monkeypatch):
+    """One large bucket of copies: a bucket's pairs are never rows, and blocks of queries lose none."""
+    from compatgraph.sources import tables as T
+
+    monkeypatch.setattr(T, "QUERIES", 7)
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((120, 6)).astype(np.float32)
+    x[40:100] = x[40]
+    vectors = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    planes = np.random.default_rng(1).standard_normal((2, 2, 6)).round(6)
+    keys = [[tuple((x[i].astype(float) @ p) > 0 for p in planes[t]) for t in range(2)] for i in range(120)]
+    d = x.astype(float) / np.linalg.norm(x.astype(float), axis=1)[:, None]
+    want = set()
+    for a in range(120):
+        met = [b for b in range(120) if b != a and any(keys[a][t] == keys[b][t] for t in range(2))]
+        want |= {(a, b, p) for p, b in enumerate(sorted(met, key=lambda b: (-round(d[a] @ d[b], 6), b))[:5], 1)}
+    df = T.nearest(vectors, 5, bits=2, tables=2)
+    assert {(r.a, r.b, r.pos) for r in df.collect()} == want
+    assert "SortMergeJoin" not in df._jdf.queryExecution().executedPlan().toString()
