@@ -47,10 +47,24 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
         yield batch.slice(i, step)
 
 
-def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema, column: str = "text") -> DataFrame:
-    """``mapInArrow`` of a function on bounded slices."""
+#: What an operator left in this Python worker for its next tasks, by a key of its own.
+KEPT: dict[str, object] = {}
+
+
+def release(keeps: str = "") -> None:
+    """Drop what other operators left: workers live on through all operators of an application, and their memory counts with the executor's."""
+    gone = [k for k in KEPT if k != keeps]
+    for k in gone:
+        del KEPT[k]
+    if gone:
+        pa.default_memory_pool().release_unused()
+
+
+def map_text(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema, column: str = "text", keeps: str = "") -> DataFrame:
+    """``mapInArrow`` of a function on bounded slices; ``keeps`` names what ``fn`` leaves in ``KEPT``."""
 
     def run(batches):
+        release(keeps)
         for batch in batches:
             for part in slices(batch, column):
                 out = fn(part)

@@ -348,3 +348,15 @@ def test_entry_without_the_optional_parts(tmp_path):
     (tmp_path / "c/corpus_pipeline.py").unlink()
     assert int(n) > 150 and none == "0" and run(tmp_path / "c", "pass") == [n, "0"]
     assert run(root, "sys.modules['public_tokenizers'] = None") == [n, "0"] and run(root, "pass") == [str(int(n) + 11), "11"]
+
+
+def test_a_worker_drops_what_another_operator_left(spark, hard):
+    """A vocabulary's coder and its cache would stay in the worker while later operators run."""
+    def left(batch):
+        return pa.RecordBatch.from_pydict({"n": pa.array([len(common.KEPT)] * batch.num_rows, pa.int64())})
+
+    for _ in range(2):
+        assert bpe.encode(hard, RANKS, P.PATTERN).count() == len(HARD)
+        assert {r.n for r in common.map_text(hard.select("text"), left, "n long").collect()} == {0}
+        keep = common.map_text(bpe.encode(hard, RANKS, P.PATTERN).select("doc_id", F.lit("x").alias("text")), left, "n long", keeps="none")
+        assert {r.n for r in keep.collect()} == {0}
