@@ -652,3 +652,45 @@ def test_scalability_plants_side_by_side(spark, data, monkeypatch):
     got = W.scalability(spark, data).collect()
     assert sorted(done[:3]) == ["customer", "orders", "part"] and done[3:] == ["phases"] * 3
     assert [r["keys"] for r in got] == ["customer", "part", "orders"]
+
+
+def jobs(spark, group: str, action):
+    spark.sparkContext.setJobGroup(group, group)
+    try:
+        return action(), len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+
+
+def test_rounds_over_blocks_are_few_jobs_and_the_same_numbers(spark, monkeypatch):
+    """Many parts, negative numbers as nodes, weights, seeds without edges; forty rounds are not forty jobs."""
+    from compatgraph.plans import blocks
+
+    monkeypatch.setattr(blocks, "LEAST", 4)
+    rng = np.random.default_rng(3)
+    A = np.triu((rng.random((30, 30)) < 0.2) * rng.integers(1, 4, (30, 30)), 1).astype(float)
+    A += A.T
+    name = lambda i: int(i) * 7_919_000_000_003 - 10**14
+    edges = spark.createDataFrame([(name(i), name(j), float(A[i, j])) for i, j in zip(*np.nonzero(A), strict=True)], "src long, dst long, w double").localCheckpoint()
+    labels = spark.createDataFrame([*[(name(i), i % 3) for i in range(0, 30, 4)], (5, 1)], "node long, cls int").localCheckpoint()
+    own = blocks.Blocks(edges, labels)
+    assert own.n == 4 and sorted(n for _, x in own.rdd.collect() for n in x["nodes"].tolist()) == sorted({name(i) for i in range(30) if A[i].any()} | {r.node for r in labels.collect()})
+    (root, _), used = jobs(spark, "perron", lambda: blocks.perron(own, 40, 0.0))
+    assert root == pytest.approx(max(abs(np.linalg.eigvalsh(A))), rel=1e-3) and used <= 10
+    lopsided = edges.filter("src < dst or src % 2 = 0")
+    B = np.where((np.arange(30)[:, None] < np.arange(30)[None]) | (np.array([name(i) % 2 == 0 for i in range(30)])[:, None]), A, 0)
+    assert propagate.spectral_radius(lopsided, 40, 0.0) == pytest.approx(max(abs(np.linalg.eigvals(B))), rel=0.02)
+    K = strength_compat(8)
+    runs = [{"seeds": 0, "K": M, "eps": e, "r": r, "beta": 1.0, "gamma": 0.5} for M, e, r in ((K, 0.3, 2), (np.eye(3), 0.9, 4), (K, 0.0, 3))]
+    found, used = jobs(spark, "many", lambda: {x.node: x for x in propagate.propagate_many(edges, [labels], runs, 3, own).collect()})
+    assert used <= 10 and found[5].b0_1 == pytest.approx(2 / 3)
+    for j, x in enumerate(runs):
+        options = {k: v for k, v in x.items() if k not in ("seeds", "K")}
+        want = {r.node: pytest.approx(tuple(r)[1:], abs=1e-12) for r in propagate.propagate(edges, labels, x["K"], **options).collect()}
+        assert {n: tuple(r[f"b{j}_{c}"] for c in range(3)) for n, r in found.items() if r[f"b{j}_0"] is not None} == want
+        assert {r.node: tuple(r)[1:] for r in propagate.propagate(edges, labels, x["K"], held=own, **options).collect()} == want
+    with pytest.raises(Exception, match="do not hold"):
+        propagate.propagate_many(edges, [spark.createDataFrame([(77, 0)], "node long, cls int")], runs, 3, own)
+    own.drop()
+    none = edges.filter("w < 0")
+    assert propagate.spectral_radius(none) == 0.0 and propagate.propagate_many(none, [labels], runs, 3).filter("b0_0 is not null").count() == labels.count()
